@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .fingerprints import op8_threshold_sketches
 from .near_dedup import op1_circulant_near_duplicates
 from .sharding import op9_proportional_shards
 from .suffix_dedup import op7_difference_cover_repeats
@@ -13,7 +14,7 @@ from .token_counts import op5_transducer_token_counts
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_circulant_near_duplicates, op5_transducer_token_counts, op7_difference_cover_repeats, op9_proportional_shards)}
+    return {f.__name__: f for f in (op1_circulant_near_duplicates, op5_transducer_token_counts, op7_difference_cover_repeats, op8_threshold_sketches, op9_proportional_shards)}
 
 
 def oracle_sql() -> dict[str, str]:
