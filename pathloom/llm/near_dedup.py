@@ -6,10 +6,12 @@ one contiguous slice of a table. Coordinates are cut into bands; documents that
 candidates, and every link is confirmed on the full shingle sets.
 
 Texts with the same words are one class, represented by its smallest id, before any candidate is
-made. Within a band's bucket candidates are tested against a pivot, not against each other:
-members that reach one component need no further test, and a bucket stays open, with another pivot,
-until its members are one component or all their pairs across components have been tested. So no
-bucket is expanded into all its pairs, and none is capped.
+made. Within a band's bucket candidates are first tested against its smallest member only.
+Buckets whose members are then one component are settled, however large; that is what groups of
+copies are. What is left are texts that resemble each other and yet are not linked so far. Those are
+gathered by family (or by bucket, where families are large), cut into blocks of bounded size, and each
+pair of blocks is joined exactly as a product of two small set matrices. No pair is emitted that is not a
+link, and no bucket is capped.
 """
 
 from __future__ import annotations
@@ -18,6 +20,7 @@ from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
@@ -31,8 +34,10 @@ SHINGLE = 5
 BANDS, ROWS = 32, 4
 DOMAIN = 1 << 20
 SEED = 20_011
-#: Buckets with no more open members than this get all their open pairs at once; larger ones go on by pivots.
-SMALL_BUCKET = 24
+#: Members and bytes of sets in a block; members up to which a family is joined as one.
+BLOCK, BLOCK_BYTES, FAMILY = 192, 8 << 20, 4096
+#: Columns of the set matrices that are multiplied at once.
+COLUMNS = 8192
 MEMO = 400_000
 
 _MIX = [np.uint64(c) for c in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD)]
@@ -174,41 +179,17 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     open_ = stored(member.join(shared, "bucket"), "buckets")
     texts = rows.filter("key is not null and text is not null")
 
-    label: DataFrame | None = None  # (node, component), for nodes with links
-    alike = "least(size, pivot_size) >= 0.75 * greatest(size, pivot_size)"  # else their sets are too unequal for a link
-    todo = open_.filter("rep <> pivot").filter(alike).select(F.col("rep").alias("a"), F.col("pivot").alias("b")).distinct()
-    open_ = open_.filter("rep <> pivot").select("bucket", "rep", "size")
-    turn = 0
-    while True:
-        links = _verified(todo, texts)
-        if label is not None:
-            now = label
-            links = _relabelled(links, now)
-        if not links.isEmpty():
-            found = components(links)
-            label = stored(found if label is None else _merged(label, found), "labels")
-        if label is None:
-            label = stored(classes.select(F.col("rep").alias("node"), F.col("rep").alias("component")).limit(0), "labels")
-        # what is left: buckets whose members, the tested pivots apart, are in several components
-        named = open_.join(label.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-        named = stored(named, "named")
-        several = named.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("n")).filter("low <> high")
-        rest = stored(named.join(several.select("bucket", "n"), "bucket"), "open")
-        if rest.isEmpty():
-            break
-        # small buckets are settled at once; in the others some members, more each round, are pivots for the rest
-        turn += 1
-        pivot = (F.col("n") <= SMALL_BUCKET) | (F.pmod(F.xxhash64("rep", F.lit(turn)), F.col("n")) < 4**turn)
-        marked = rest.withColumn("turn", pivot)
-        pivots = marked.filter("turn").select("bucket", F.col("rep").alias("pivot"), F.col("size").alias("pivot_size"), F.col("component").alias("of_pivot"))
-        todo = (
-            marked.join(pivots, "bucket")
-            .filter("component <> of_pivot and (not turn or rep < pivot)")
-            .filter(alike)
-            .select(F.col("rep").alias("a"), F.col("pivot").alias("b"))
-            .distinct()
-        )
-        open_ = marked.filter("not turn").select("bucket", "rep", "size")
+    alike = "4 * least(size, pivot_size) >= 3 * greatest(size, pivot_size)"  # else the sets are too unequal for a link
+    open_ = open_.filter("rep <> pivot")
+    links = _verified(open_.filter(alike).select(F.col("rep").alias("a"), F.col("pivot").alias("b")).distinct(), texts)
+    label = stored(components(links), "labels")
+    named = open_.join(label.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+    named = stored(named, "named")
+    several = named.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min("rep").alias("lead")).filter("low <> high")
+    rest = stored(named.join(several.select("bucket", "lead"), "bucket"), "open")
+    if not rest.isEmpty():
+        merges = _relabelled(_joined_in_blocks(rest, texts), label)
+        label = stored(_merged(label, components(merges)), "labels")
 
     reps = classes.select("k1", "k2", "rep").join(label.select(F.col("node").alias("rep"), "component"), "rep", "left")
     reps = reps.select("k1", "k2", F.coalesce("component", "rep").alias("component"))
@@ -219,6 +200,67 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     )
 
 
+def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    memo = WordHashes()
+    for batch in batches:
+        sets = [shingle_hashes(words(t.as_py()), memo).tobytes() for t in batch.column("text")]
+        yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(sets, pa.binary())], names=["key", "hashes"])
+
+
+def common_counts(a: list[np.ndarray], b: list[np.ndarray]) -> np.ndarray:
+    """How many elements each set of a has in common with each of b."""
+    shared = np.intersect1d(np.concatenate(a), np.concatenate(b))
+    out = np.zeros((len(a), len(b)), np.float32)
+    for at in range(0, len(shared), COLUMNS):
+        names = shared[at : at + COLUMNS]
+        sides = []
+        for side in (a, b):
+            matrix = np.zeros((len(side), len(names)), np.float32)
+            for row, x in zip(matrix, side, strict=True):
+                x = x[np.searchsorted(x, names[0]) : np.searchsorted(x, names[-1], "right")]
+                where = np.searchsorted(names, x)
+                row[where[names[where] == x]] = 1
+            sides.append(matrix)
+        out += sides[0] @ sides[1].T
+    return out
+
+
+def _block_links(rows: pd.DataFrame) -> pd.DataFrame:
+    """The links between two blocks, or within one, whose ends are in different components."""
+    rows = rows.drop_duplicates("rep")
+    sides = []
+    for i in (rows["i"].iloc[0], rows["j"].iloc[0]):
+        part = rows[rows["own"] == i]
+        sides.append((part["rep"].to_numpy(), part["component"].to_numpy(), [np.frombuffer(h, np.uint64) for h in part["hashes"]]))
+    (ra, ca, a), (rb, cb, b) = sides
+    if not len(ra) or not len(rb) or (ca[0] == cb[0] and (ca == ca[0]).all() and (cb == cb[0]).all()):
+        return pd.DataFrame({"a": [], "b": []}, dtype="int64")
+    both = common_counts(a, b)
+    whole = np.array(list(map(len, a)))[:, None] + np.array(list(map(len, b)))[None, :] - both
+    x, y = np.nonzero((100 * both >= 75 * whole) & (ca[:, None] != cb[None, :]))
+    return pd.DataFrame({"a": ra[x], "b": rb[y]})
+
+
+def _joined_in_blocks(rest: DataFrame, texts: DataFrame) -> DataFrame:
+    """All links within the open buckets between different components; rest: bucket, lead, rep, size, component."""
+    family = stored(components(rest.select(F.col("rep").alias("a"), F.col("lead").alias("b"))), "families").withColumnRenamed("node", "rep").withColumnRenamed("component", "family")
+    small = family.groupBy("family").agg(F.count("*").alias("members")).filter(F.col("members") <= FAMILY).select("family")
+    families = family.join(small.withColumn("whole", F.lit(True)), "family", "left")
+    placed = rest.join(families, "rep").withColumn("by_bucket", F.col("whole").isNull())
+    placed = placed.select("by_bucket", F.when(F.col("by_bucket"), F.col("bucket")).otherwise(F.col("family")).alias("group"), "rep", "size", "component").distinct()
+    placed = stored(placed, "placed")
+    sizes = placed.groupBy("by_bucket", "group").agg(F.count("*").alias("n"), F.sum("size").alias("total"))
+    blocks = F.greatest(F.ceil(F.col("n") / BLOCK), F.ceil(F.col("total") * 8 / BLOCK_BYTES)).cast("int")
+    dealt = placed.join(sizes.withColumn("blocks", blocks).drop("n", "total"), ["by_bucket", "group"])
+    dealt = dealt.withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    ids = stored(placed.select(F.col("rep").alias("key")).distinct(), "open-ids")
+    sets = texts.join(broadcast_if_small(ids, 16), "key", "left_semi").mapInArrow(_sets, "key long, hashes binary")
+    full = dealt.join(sets.withColumnRenamed("key", "rep"), "rep").select(
+        "by_bucket", "group", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rep", "component", "hashes"
+    )
+    return stored(full.groupBy("by_bucket", "group", "i", "j").applyInPandas(_block_links, "a long, b long"), "block-links")
+
+
 def _relabelled(links: DataFrame, label: DataFrame) -> DataFrame:
     """Links between components instead of nodes."""
     for c in ("a", "b"):
