@@ -8,13 +8,15 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .fingerprints import op8_threshold_sketches
 from .near_dedup import op1_circulant_near_duplicates
+from .pieces import op2_lattice_sampled_pieces
+from .quality import op4_latent_neighbour_quality
 from .sharding import op9_proportional_shards
 from .suffix_dedup import op7_difference_cover_repeats
 from .token_counts import op5_transducer_token_counts
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_circulant_near_duplicates, op5_transducer_token_counts, op7_difference_cover_repeats, op8_threshold_sketches, op9_proportional_shards)}
+    return {f.__name__: f for f in (op1_circulant_near_duplicates, op2_lattice_sampled_pieces, op4_latent_neighbour_quality, op5_transducer_token_counts, op7_difference_cover_repeats, op8_threshold_sketches, op9_proportional_shards)}
 
 
 def oracle_sql() -> dict[str, str]:
