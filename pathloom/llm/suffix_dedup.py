@@ -31,7 +31,7 @@ from .common import BROADCAST_BYTES, pick, stored, table
 LENGTH = 100
 #: A perfect difference set. Every difference modulo 57 is that of exactly one pair.
 PERIOD, COVER = 57, (0, 1, 3, 13, 32, 36, 43, 52)
-SLICE_BYTES = 12 << 20
+SLICE_BYTES = 4 << 20
 LEAST_BITS = 10
 BUCKET_WINDOWS = 4_000_000
 
