@@ -226,7 +226,7 @@ def common_counts(a: list[np.ndarray], b: list[np.ndarray]) -> np.ndarray:
 
 
 def _block_links(rows: pd.DataFrame) -> pd.DataFrame:
-    """The links between two blocks, or within one, whose ends are in different components."""
+    """Links between two blocks, or within one, between different components: as many as it takes to join what they join."""
     rows = rows.drop_duplicates("rep")
     sides = []
     for i in (rows["i"].iloc[0], rows["j"].iloc[0]):
@@ -238,7 +238,26 @@ def _block_links(rows: pd.DataFrame) -> pd.DataFrame:
     both = common_counts(a, b)
     whole = np.array(list(map(len, a)))[:, None] + np.array(list(map(len, b)))[None, :] - both
     x, y = np.nonzero((100 * both >= 75 * whole) & (ca[:, None] != cb[None, :]))
-    return pd.DataFrame({"a": ra[x], "b": rb[y]})
+    few = _spanning(ca[x], cb[y])
+    return pd.DataFrame({"a": ra[x[few]], "b": rb[y[few]]})
+
+
+def _spanning(a: np.ndarray, b: np.ndarray) -> list[int]:
+    """The places of links that are enough to join what all links (a, b) join."""
+    up: dict[int, int] = {}
+
+    def root(x: int) -> int:
+        while (y := up.setdefault(x, x)) != x:
+            up[x] = up[y]
+            x = up[x]
+        return x
+
+    out = []
+    for i, (x, y) in enumerate(zip(a.tolist(), b.tolist(), strict=True)):
+        if (x := root(x)) != (y := root(y)):
+            up[x] = y
+            out.append(i)
+    return out
 
 
 def _joined_in_blocks(rest: DataFrame, texts: DataFrame) -> DataFrame:
