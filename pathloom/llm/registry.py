@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .decontamination import op3_template_leaks
 from .fingerprints import op8_threshold_sketches
+from .html_extraction import op6_wrapper_extraction
 from .licenses import op10_license_digests
 from .near_dedup import op1_circulant_near_duplicates
 from .pieces import op2_lattice_sampled_pieces
@@ -18,7 +19,7 @@ from .token_counts import op5_transducer_token_counts
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_circulant_near_duplicates, op2_lattice_sampled_pieces, op3_template_leaks, op4_latent_neighbour_quality, op5_transducer_token_counts, op7_difference_cover_repeats, op8_threshold_sketches, op9_proportional_shards, op10_license_digests)}
+    return {f.__name__: f for f in (op1_circulant_near_duplicates, op2_lattice_sampled_pieces, op3_template_leaks, op4_latent_neighbour_quality, op5_transducer_token_counts, op6_wrapper_extraction, op7_difference_cover_repeats, op8_threshold_sketches, op9_proportional_shards, op10_license_digests)}
 
 
 def oracle_sql() -> dict[str, str]:
