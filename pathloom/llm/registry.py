@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import corpus_pipeline
 from pyspark.sql import DataFrame, SparkSession
 
 from .decontamination import op3_template_leaks
@@ -17,10 +18,24 @@ from .sharding import op9_proportional_shards
 from .suffix_dedup import op7_difference_cover_repeats
 from .token_counts import op5_transducer_token_counts
 
+OPERATORS = (
+    op1_circulant_near_duplicates,
+    op2_lattice_sampled_pieces,
+    op3_template_leaks,
+    op4_latent_neighbour_quality,
+    op5_transducer_token_counts,
+    op6_wrapper_extraction,
+    op7_difference_cover_repeats,
+    op8_threshold_sketches,
+    op9_proportional_shards,
+    op10_license_digests,
+)
+
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_circulant_near_duplicates, op2_lattice_sampled_pieces, op3_template_leaks, op4_latent_neighbour_quality, op5_transducer_token_counts, op6_wrapper_extraction, op7_difference_cover_repeats, op8_threshold_sketches, op9_proportional_shards, op10_license_digests)}
+    return {f.__name__: f for f in OPERATORS} | {"pipeline": corpus_pipeline.run}
 
 
 def oracle_sql() -> dict[str, str]:
+    """None of these is within reach of SQL on whole tables; tests/llm holds each against a brute-force version."""
     return {}

@@ -279,8 +279,8 @@ def _joined(docs: DataFrame, few: DataFrame, row_bytes: str, how: str) -> DataFr
     return docs.join(F.broadcast(few) if size <= BROADCAST_BYTES else few, "digest", how)
 
 
-def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """The rows of docs with what is repeated in them: columns key, text, n_bytes, n_removed, n_spans, starts, sizes.
+def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", text: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
+    """The rows of docs with what is repeated in them: columns key, text, those to carry, n_bytes, n_removed, n_spans, starts, sizes.
 
     A byte is removed if a string of ``length`` bytes over it also starts earlier: in a row with a
     smaller key, or earlier in the same row. starts and sizes are the stretches of bytes that stay. Null texts
@@ -290,7 +290,9 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", t
     """
     if length < PERIOD + 8:
         raise ValueError(f"length must be at least {PERIOD + 8}")
-    rows = pick(docs, key, text).toDF("key", "text").select(F.col("key").cast("long").alias("key"), F.coalesce("text", F.lit("")).alias("text"))
+    carried = [f"carried{i}" for i in range(len(carry))]
+    rows = pick(docs, key, text, *carry).toDF("key", "text", *carried)
+    rows = rows.select(F.col("key").cast("long").alias("key"), F.coalesce("text", F.lit("")).alias("text"), *carried)
     order = F.coalesce("key", F.lit(-(1 << 63)))
     rows = rows.withColumn("digest", F.unhex(F.md5("text"))).withColumn("order", order)
     facts = stored(rows.select("order", "digest", F.octet_length("text").cast("long").alias("n")), "text-keys")
@@ -323,6 +325,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", t
     return out.select(
         F.col("key").alias(key),
         F.col("text").alias(text),
+        *(F.col(c).alias(name) for c, name in zip(carried, carry, strict=True)),
         n.alias("n_bytes"),
         F.when(whole, n).otherwise(F.coalesce("n_removed", F.lit(0))).cast("long").alias("n_removed"),
         F.when(whole, 1).otherwise(F.coalesce("n_spans", F.lit(0))).cast("long").alias("n_spans"),
@@ -341,6 +344,23 @@ def kept_bytes(text: Column, starts: Column, sizes: Column) -> Column:
     )
 
 
+def kept_text(text: Column, starts: Column, sizes: Column) -> Column:
+    """The stretches that stay, as text: characters of which a byte stays, stay whole."""
+    data = text.cast("binary")
+
+    def inside(at: Column) -> Column:
+        """Is the byte at a place one that goes on a character."""
+        return F.hex(F.substring(data, (at + 1).cast("int"), F.lit(1))).between("80", "BF")
+
+    def stretch(x: Column) -> Column:
+        begin, end = x["s"], x["s"] + x["n"]
+        back = F.when(inside(begin), F.when(inside(begin - 1), F.when(inside(begin - 2), 3).otherwise(2)).otherwise(1)).otherwise(0)
+        on = F.when(inside(end), F.when(inside(end + 1), F.when(inside(end + 2), 3).otherwise(2)).otherwise(1)).otherwise(0)
+        return F.substring(data, (begin - back + 1).cast("int"), (end + on - begin + back).cast("int")).cast("string")
+
+    return F.array_join(F.transform(F.arrays_zip(starts.alias("s"), sizes.alias("n")), stretch), "")
+
+
 def op7_difference_cover_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = repeated_spans(table(spark, sf_dir, "documents"))
     kept = F.when(F.col("n_removed") == 0, F.sha2(F.col("text"), 256)).otherwise(F.sha2(kept_bytes(F.col("text"), F.col("starts"), F.col("sizes")), 256))
