@@ -1,4 +1,4 @@
-"""Connected components over DataFrames."""
+"""Connected components over DataFrames, by contraction."""
 
 from __future__ import annotations
 
@@ -7,26 +7,37 @@ from pyspark.sql import functions as F
 
 from .common import stored
 
+#: Times a round follows the chain of smaller neighbours, each time twice as far.
+DOUBLINGS = 3
+
 
 def components(edges: DataFrame) -> DataFrame:
     """(node, component) for the nodes of edges (a, b): the smallest node reachable.
 
-    Each round every node takes the smallest label among its neighbours' (partially aggregated, so a
-    hub's edges are reduced where they lie), then the label of its label. Rounds are cut by tables in the
-    shared folder; the loop ends when no label changes. Self-edges and repeated edges do no harm.
+    Each round hangs every node under its smallest smaller neighbour (partially aggregated, so a hub's
+    edges are reduced where they lie), follows those chains, and contracts: edges go between the nodes hung
+    on, and those within one are gone. So rounds get smaller, and the loop ends when no edge is left.
+    Rounds are tables in the shared folder. Self-edges and repeated edges do no harm.
     """
-    both = stored(edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "cc-edges")
-    labels = stored(both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("l")).withColumnRenamed("a", "node"), "cc-labels")
-    while True:
-        heard = (
-            both.join(labels.select(F.col("node").alias("b"), "l"), "b")
-            .groupBy(F.col("a").alias("node"))
-            .agg(F.min("l").alias("heard"))
-            .join(labels, "node")
-            .select("node", F.col("l").alias("was"), F.least("heard", "l").alias("l"))
-        )
-        jump = labels.select(F.col("node").alias("l"), F.col("l").alias("further"))
-        new = stored(heard.join(jump, "l", "left").select("node", "was", F.least("l", "further").alias("l")), "cc-labels")
-        if new.filter("l <> was").isEmpty():
-            return new.select("node", F.col("l").alias("component"))
-        labels = new.select("node", "l")
+    rest = stored(_proper(edges), "cc-edges")
+    labels = edges.select(F.col("a").alias("node")).union(edges.select("b")).distinct().withColumn("component", F.col("node"))
+    while not rest.isEmpty():
+        up = rest.groupBy(F.col("b").alias("node")).agg(F.min("a").alias("to"))
+        for _ in range(DOUBLINGS):
+            further = up.select(F.col("node").alias("to"), F.col("to").alias("top"))
+            up = up.join(further, "to", "left").select("node", F.coalesce("top", "to").alias("to"))
+        up = stored(up, "cc-up")
+        labels = stored(_moved(labels, "component", up), "cc-labels")
+        rest = stored(_proper(_moved(_moved(rest, "a", up), "b", up)), "cc-edges")
+    return labels
+
+
+def _proper(edges: DataFrame) -> DataFrame:
+    return edges.filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def _moved(df: DataFrame, column: str, up: DataFrame) -> DataFrame:
+    """df with the nodes of a column replaced by those they hang under."""
+    others = [c for c in df.columns if c != column]
+    moved = df.join(up.select(F.col("node").alias(column), "to"), column, "left")
+    return moved.select(*others, F.coalesce("to", column).alias(column))
