@@ -33,7 +33,7 @@ LITERAL = "\n\n"
 THETA = 1.0
 SEED = 11
 #: Word beginnings that a worker keeps, and characters walked back at once.
-MOST_NODES, BATCH_CHARS = 600_000, 3 << 20
+MOST_NODES, BATCH_CHARS = 1_000_000, 3 << 20
 #: Every character's factor in a spelling's weight. The same for all spellings of a word, it keeps masses in range.
 LEVEL, LONG = 30.0, 64
 #: Weight of spelling a character by bytes, as of a piece of this rank.
@@ -73,10 +73,21 @@ class PieceSampler:
 
     def _restart(self) -> None:
         self.base: dict[str, int] = {}
-        self.mass: list[float] = []
+        # node 0 is the start of every word; above: the node of the beginning that is one character shorter
+        self.mass: list[float] = [1.0]
+        self.above: list[int] = [0]
         self.edges = (np.empty(1 << 16), np.empty(1 << 16, np.int32), np.empty(1 << 16, np.int32))
         self.filled = 0
-        self.fresh: tuple[list, list, list] = ([], [], [])
+        self._refresh()
+
+    def _refresh(self) -> None:
+        """Empty the lists of new edges (running mass, node where they start, piece) and of new nodes (mass, number of edges, node)."""
+        self.running: list[float] = []
+        self.origin: list[int] = []
+        self.piece: list[int] = []
+        self.totals: list[float] = []
+        self.counts: list[int] = []
+        self.first = len(self.mass)
 
     def _spelling(self, c: str) -> int:
         """The code of a character spelled by bytes: the byte piece, or one from size on for several."""
@@ -87,65 +98,70 @@ class PieceSampler:
                 self.spellings.append(ids)
         return self.spelled[c]
 
-    def _node(self, edges: list, total: float) -> int:
-        """A new node with the edges that end there."""
-        node = len(self.mass)
+    def _edge(self, running: float, origin: int, piece: int) -> None:
+        self.running.append(running)
+        self.origin.append(origin)
+        self.piece.append(piece)
+
+    def _node(self, total: float, edges: int, above: int) -> int:
+        """A new node where the last edges made end."""
+        self.totals.append(total)
+        self.counts.append(edges)
         self.mass.append(total)
-        top, origin, piece = self.fresh
-        for t, s, p in edges:
-            top.append(node + t / total)
-            origin.append(s)
-            piece.append(p)
-        return node
+        self.above.append(above)
+        return len(self.mass) - 1
 
     def _add(self, word: str) -> int:
         """Filter a word forward; the number of its end node."""
         if word == LITERAL:
-            self.base[word] = node = self._node([(1.0, -1, self._spelling(MARK))], 1.0)
+            self._edge(1.0, 0, self._spelling(MARK))
+            self.base[word] = node = self._node(1.0, 1, 0)
             return node
         n = len(word)
         if n > LONG:
             return self._add_long(word)
-        known, nodes = self.base.get, []
+        base, end, mass, above = self.base, self.ends.get, self.mass, self.above
+        add_running, add_origin, add_piece = self.running.append, self.origin.append, self.piece.append
+        last = 0
         for e in range(n - 1, 0, -1):
-            if (node := known(word[:e])) is not None:
+            if last := base.get(word[:e], 0):
                 break
         else:
             e = 0
-        nodes = [-1, *(known(word[:i]) for i in range(1, e + 1))]
-        ends, mass = self.ends, self.mass
         for e in range(e + 1, n + 1):
-            edges, total = [], 0.0
+            total, at, before = 0.0, last, len(self.origin)
             for s in range(e - 1, -1, -1):
-                found = ends.get(word[s:e], 0)
+                found = end(word[s:e], 0)
                 if found:
-                    total += found[1] * mass[nodes[s]] if s else found[1]
-                    edges.append((total, nodes[s], found[0]))
+                    total += found[1] * mass[at]
+                    add_running(total)
+                    add_origin(at)
+                    add_piece(found[0])
                 elif found == 0:
                     break
-            if not ends.get(word[e - 1]):
-                total += self.byte_weight * (mass[nodes[e - 1]] if e > 1 else 1.0)
-                edges.append((total, nodes[e - 1], self._spelling(word[e - 1])))
-            nodes.append(self._node(edges, total))
-            self.base[word[:e]] = nodes[-1]
-        return nodes[-1]
+                at = above[at]
+            if not end(word[e - 1]):
+                total += self.byte_weight * mass[last]
+                self._edge(total, last, self._spelling(word[e - 1]))
+            base[word[:e]] = last = self._node(total, len(self.origin) - before, last)
+        return last
 
     def _add_long(self, word: str) -> int:
         """As _add, for a word of any length: nodes of its own, masses kept in range as they come."""
-        scaled, nodes = [1.0], [-1]
+        scaled, nodes = [1.0], [0]
         for e in range(1, len(word) + 1):
-            edges, total = [], 0.0
+            total, before = 0.0, len(self.origin)
             for s in range(e - 1, -1, -1):
                 found = self.ends.get(word[s:e], 0)
                 if found:
                     total += found[1] * scaled[s]
-                    edges.append((total, nodes[s], found[0]))
+                    self._edge(total, nodes[s], found[0])
                 elif found == 0:
                     break
             if not self.ends.get(word[e - 1]):
                 total += self.byte_weight * scaled[e - 1]
-                edges.append((total, nodes[e - 1], self._spelling(word[e - 1])))
-            nodes.append(self._node(edges, total))
+                self._edge(total, nodes[e - 1], self._spelling(word[e - 1]))
+            nodes.append(self._node(total, len(self.origin) - before, 0))
             scaled.append(total)
             if not 1e-60 < total < 1e60:  # only proportions within reach of a piece matter
                 scaled[-40:] = [x / total for x in scaled[-40:]]
@@ -153,13 +169,16 @@ class PieceSampler:
         return nodes[-1]
 
     def _tables(self) -> tuple[np.ndarray, ...]:
-        n = len(self.fresh[0])
-        to = self.filled + n
+        """Of all edges, by node: the node plus the share of its mass up to the edge, where the edge starts, its piece."""
+        counts = np.array(self.counts, np.int64)
+        share = np.array(self.running) / np.repeat(np.array(self.totals), counts) + np.repeat(np.arange(self.first, len(self.mass)), counts)
+        to = self.filled + len(share)
         if to > len(self.edges[0]):
             self.edges = tuple(np.concatenate([x[: self.filled], np.empty(to, x.dtype)]) for x in self.edges)
-        for x, new in zip(self.edges, self.fresh, strict=True):
+        for x, new in zip(self.edges, (share, self.origin, self.piece), strict=True):
             x[self.filled : to] = new
-        self.filled, self.fresh = to, ([], [], [])
+        self.filled = to
+        self._refresh()
         return tuple(x[:to] for x in self.edges)
 
     def sample(self, texts: list[str | None], seeds: list[int]) -> list[np.ndarray]:
@@ -194,7 +213,7 @@ class PieceSampler:
             steps.append((live, piece[edge]))
             length[live] += 1
             node[live] = origin[edge]
-            live = live[node[live] >= 0]
+            live = live[node[live] > 0]
         at = np.cumsum(length)
         out = np.empty(int(at[-1]), np.int32)
         for k, (which, ids) in enumerate(steps):
