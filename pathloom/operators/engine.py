@@ -21,7 +21,7 @@ from pathloom.plans.planner import ChainPlanner, Known, Plan
 from pathloom.plans.policies import MOST_SHARE, LruPolicy, SizeCostPolicy, dependency_policy
 from pathloom.plans.query import PathQuery
 from pathloom.sources.networks import TypedNetwork
-from pathloom.sources.storage import METRICS_SCHEMA, stored
+from pathloom.sources.storage import METRICS_SCHEMA, stored_counted
 
 from .matrix import dense_multiply, dense_rows, multiply, restrict, sparse_rows, summary
 
@@ -194,9 +194,8 @@ class WorkloadEngine:
         m.products = len(list(plan.products()))
         for p in self._offers(q, plan):
             key = (q.span(p.i, p.j), q.key(p.i, p.j))
-            made = stored(lower(self.net, q, p, have), "span")
+            made, nnz = stored_counted(lower(self.net, q, p, have), "span")
             have[p.i, p.j] = made
-            nnz = made.count()
             outcome = self.cache.request(key, max(p.cost - sum(c.cost for c in p.parts if (c.i, c.j) in have), 1.0), nnz * ENTRY_BYTES)
             m.offers += 1
             m.evictions += len(outcome.evicted)

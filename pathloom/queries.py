@@ -300,7 +300,7 @@ def cost_fit(spark: SparkSession, sf: str) -> DataFrame:
 for _kind in ("sparse", "left", "dense", "traversal"):
 
     def _uncached(spark: SparkSession, sf: str, kind: str = _kind) -> DataFrame:
-        n = commerce(spark, sf)
+        n = commerce(spark, sf, keep=True)
         return run_uncached(n, fixed_30(n), kind)
 
     register({"traversal": "engine_traversal", "sparse": "engine_sparse"}.get(_kind, f"engine_order_{_kind}"), FIXED_30_SQL)(_uncached)
@@ -308,7 +308,7 @@ for _kind in ("sparse", "left", "dense", "traversal"):
 for _name in ("final_cache", "all_products", "tree_lru", "tree_size_cost", "reference"):
 
     def _cached(spark: SparkSession, sf: str, name: str = _name) -> DataFrame:
-        n = commerce(spark, sf)
+        n = commerce(spark, sf, keep=True)
         return engine(n, name).run(fixed_30(n))
 
     register(f"engine_{_name}", FIXED_30_SQL)(_cached)
@@ -331,7 +331,7 @@ def engine_metrics(spark: SparkSession, sf: str) -> DataFrame:
     """What each caching engine did over the fixed workload: products, stored spans read, offers, evictions, seconds."""
     parts = []
     for name in ("final_cache", "reference"):
-        e = engine(commerce(spark, sf), name, capacity=4 << 20)
+        e = engine(commerce(spark, sf, keep=True), name, capacity=4 << 20)
         e.run(fixed_30(e.net))
         parts.append(e.metrics_df())
     return reduce(DataFrame.unionByName, parts)

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from pathloom.plans.cost import MatrixStats
 
-from .storage import read_table
+from .storage import read_table, stored
 
 
 @dataclass(frozen=True)
@@ -41,7 +41,10 @@ class TypedNetwork:
     nodes: dict[str, NodeType]
     edges: list[EdgeType]
     weight: str = "binary"
+    #: Keep each step's matrix, once it is used, as a table sorted by src; else matrices are read off the source tables each time.
+    keep: bool = False
     counted: dict = field(default_factory=dict)
+    kept: dict = field(default_factory=dict)
 
     def edge(self, src: str, dst: str, name: str | None = None) -> tuple[EdgeType, bool]:
         """The edge type for a step and whether it is walked backward. Without a name it must be the only unnamed one."""
@@ -56,10 +59,18 @@ class TypedNetwork:
     def adjacency(self, src: str, dst: str, name: str | None = None, weight: str | None = None) -> DataFrame:
         """The step's matrix as (src, dst, n) with unique pairs; n is 1, or the number of parallel edges."""
         e, back = self.edge(src, dst, name)
-        pairs = e.df.select(F.col("dst").alias("src"), F.col("src").alias("dst")) if back else e.df.select("src", "dst")
-        if (weight or self.weight) == "multiplicity":
-            return pairs.groupBy("src", "dst").agg(F.count("*").alias("n"))
-        return pairs.distinct().withColumn("n", F.lit(1).cast("long"))
+        weight = weight or self.weight
+        key = (e.name, back, weight)
+        if key not in self.kept:
+            pairs = e.df.select(F.col("dst").alias("src"), F.col("src").alias("dst")) if back else e.df.select("src", "dst")
+            if weight == "multiplicity":
+                matrix = pairs.groupBy("src", "dst").agg(F.count("*").alias("n"))
+            else:
+                matrix = pairs.distinct().withColumn("n", F.lit(1).cast("long"))
+            if not self.keep:
+                return matrix
+            self.kept[key] = stored(matrix.sortWithinPartitions("src", "dst"), "adjacency")
+        return self.kept[key]
 
     def selection(self, node_type: str, predicate: str) -> DataFrame:
         """The keys (id) of a type's nodes for which a predicate holds; type = value stands for its key."""
@@ -81,7 +92,7 @@ class TypedNetwork:
         e, back = self.edge(src, dst, name)
         key = ("edges", e.name, self.weight)
         if key not in self.counted:
-            self.counted[key] = e.df.distinct().count()
+            self.counted[key] = self.adjacency(src, dst, name).count()
         return MatrixStats(self.size(src), self.size(dst), self.counted[key])
 
     def share(self, node_type: str, predicate: str) -> float:
@@ -180,7 +191,7 @@ def _named(df: DataFrame, key: str, value: str, names: DataFrame) -> DataFrame:
     return df.select(F.col(key).cast("long").alias("src"), F.col(value).alias("name")).join(names, "name").select("src", F.col("id").alias("dst"))
 
 
-def commerce(spark: SparkSession, folder: str) -> TypedNetwork:
+def commerce(spark: SparkSession, folder: str, keep: bool = False) -> TypedNetwork:
     """Customers, orders, parts, suppliers, nations, regions, brands, part types, segments and order months."""
     t = {n: read_table(spark, folder, n) for n in ("customer", "orders", "lineitem", "part", "supplier", "nation", "region")}
     month = t["orders"].withColumn("month", F.date_trunc("month", "o_orderdate"))
@@ -213,10 +224,10 @@ def commerce(spark: SparkSession, folder: str) -> TypedNetwork:
         EdgeType("O-M", "O", "M", _named(month, "o_orderkey", "month", months)),
         EdgeType("next", "O", "O", after, bidirectional=False),
     ]
-    return TypedNetwork("commerce", spark, {n.name: n for n in nodes}, edges)
+    return TypedNetwork("commerce", spark, {n.name: n for n in nodes}, edges, keep=keep)
 
 
-def activity(spark: SparkSession, folder: str) -> TypedNetwork:
+def activity(spark: SparkSession, folder: str, keep: bool = False) -> TypedNetwork:
     """A star of events with users, event types, the key in their JSON properties, and days."""
     e = read_table(spark, folder, "events")
     e = e.withColumn("k", F.get_json_object("props", "$.k").cast("long")).withColumn("day", F.date_trunc("day", "ts"))
@@ -234,11 +245,11 @@ def activity(spark: SparkSession, folder: str) -> TypedNetwork:
         EdgeType("E-K", "E", "K", _pairs(e, "event_id", "k")),
         EdgeType("E-D", "E", "D", _named(e, "event_id", "day", days)),
     ]
-    return TypedNetwork("activity", spark, {n.name: n for n in nodes}, edges)
+    return TypedNetwork("activity", spark, {n.name: n for n in nodes}, edges, keep=keep)
 
 
 NETWORKS = {"commerce": commerce, "activity": activity}
 
 
-def from_tables(spark: SparkSession, folder: str, name: str) -> TypedNetwork:
-    return NETWORKS[name](spark, folder)
+def from_tables(spark: SparkSession, folder: str, name: str, keep: bool = False) -> TypedNetwork:
+    return NETWORKS[name](spark, folder, keep)

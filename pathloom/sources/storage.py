@@ -5,7 +5,8 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, IntegerType, LongType, MapType, StringType, StructField, StructType
 
 WORKLOAD_SCHEMA = StructType(
@@ -16,6 +17,7 @@ WORKLOAD_SCHEMA = StructType(
         StructField("constraints", MapType(IntegerType(), StringType())),
     ]
 )
+LOG_SCHEMA = "pos int, session int, path string, constraints map<string,string>"
 MATRIX_SCHEMA = StructType([StructField(c, LongType()) for c in ("src", "dst", "n")])
 METRICS_SCHEMA = StructType(
     [
@@ -53,6 +55,12 @@ def stored(df: DataFrame, label: str = "table") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def stored_counted(df: DataFrame, label: str = "table") -> tuple[DataFrame, int]:
+    """As stored, with the number of rows, counted while they are written."""
+    rows = Observation()
+    return stored(df.observe(rows, F.count(F.lit(1)).alias("n")), label), rows.get["n"]
+
+
 def read_table(spark: SparkSession, folder: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{folder}/{name}.parquet")
 
@@ -63,8 +71,13 @@ def read_edge_csv(spark: SparkSession, path: str, header: bool = True) -> DataFr
 
 
 def read_workload(spark: SparkSession, path: str) -> DataFrame:
-    """A query log of JSON lines with the workload's columns."""
-    return spark.read.schema(WORKLOAD_SCHEMA).json(path)
+    """A query log of JSON lines with the workload's columns; positions are names there."""
+    return typed_log(spark.read.schema(LOG_SCHEMA).json(path))
+
+
+def typed_log(log: DataFrame) -> DataFrame:
+    """A log read with LOG_SCHEMA, streamed or not, with positions as numbers."""
+    return log.withColumn("constraints", F.transform_keys("constraints", lambda k, v: k.cast("int")))
 
 
 def write_results(df: DataFrame, path: str, mode: str = "overwrite", by: str | None = None) -> None:
