@@ -8,7 +8,7 @@ the whole result and the longest computed overlap, and replaces by utility with
 from __future__ import annotations
 
 import time
-from collections.abc import Iterable
+from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
 from functools import reduce
 
@@ -23,7 +23,7 @@ from pathloom.plans.query import PathQuery
 from pathloom.sources.networks import TypedNetwork
 from pathloom.sources.storage import METRICS_SCHEMA, stored_counted
 
-from .matrix import dense_multiply, dense_rows, multiply, restrict, sparse_rows, summary
+from .matrix import dense_multiply, dense_rows, multiply, restrict, sparse_rows, summary, transposed
 
 #: Largest number of cells of a matrix that the dense baseline takes on.
 MOST_CELLS = 4_000_000
@@ -118,6 +118,7 @@ class QueryMetrics:
     offers: int = 0
     evictions: int = 0
     rejected: int = 0
+    cost: float = 0.0
 
 
 @dataclass
@@ -127,7 +128,10 @@ class WorkloadEngine:
     admission: none, final (whole results), all (every product) or overlap (the whole result and the longest
     computed span that the index has at an internal node). policy: lru, size_cost or dependency.
     substitute: none, cached, or cached+evicted, what the planner is told of earlier results.
-    Results are kept as tables in the shared folder; size is entries times ENTRY_BYTES.
+    Results are kept as tables in the shared folder; size is entries times ENTRY_BYTES. With reuse_reverse,
+    a stored result also serves the reversed path. With second_level, tables of evicted results stay and are
+    read again when the result is wanted. With simulate nothing is executed: estimates stand for
+    entries, so that long workloads can be compared by cost.
     """
 
     net: TypedNetwork
@@ -138,6 +142,10 @@ class WorkloadEngine:
     substitute: str = "cached+evicted"
     min_freq: int = 2
     name: str = "reference"
+    reuse_reverse: bool = False
+    second_level: bool = False
+    simulate: bool = False
+    dependency: Callable = below
 
     def __post_init__(self):
         if self.policy == "lru":
@@ -145,9 +153,10 @@ class WorkloadEngine:
         elif self.policy == "size_cost":
             self.cache = SizeCostPolicy(self.capacity, MOST_SHARE)
         else:
-            self.cache = dependency_policy(self.capacity, below, MOST_SHARE)
+            self.cache = dependency_policy(self.capacity, self.dependency, MOST_SHARE)
         self.index = SubpathIndex()
         self.tables: dict[tuple, DataFrame] = {}
+        self.demoted: dict[tuple, DataFrame] = {}
         self.metrics: list[QueryMetrics] = []
 
     def _known(self, q: PathQuery) -> dict[tuple[int, int], Known]:
@@ -159,10 +168,34 @@ class WorkloadEngine:
                 if self.admission == "final" and (i, j) != (0, len(q) - 1):
                     continue
                 record = self.index.record(q.span(i, j), q.key(i, j))
-                if record and (record.stored or self.substitute == "cached+evicted"):
-                    out[i, j] = Known(record.nnz, 0.0 if record.stored else record.cost, record.stored)
+                demoted = self.second_level and (q.span(i, j), q.key(i, j)) in self.demoted
+                if record and (record.stored or demoted or self.substitute == "cached+evicted"):
+                    out[i, j] = Known(record.nnz, 0.0 if record.stored or demoted else record.cost, record.stored or demoted)
+                elif self.reuse_reverse and (back := self._reversed(q, i, j)):
+                    found = self.index.record(*back)
+                    if found and found.stored:
+                        out[i, j] = Known(found.nnz, 0.0, True)
         return out
 
+    def _reversed(self, q: PathQuery, i: int, j: int) -> tuple | None:
+        """The key of a span's reverse; None where a named relation has a direction."""
+        if any(q.edges[i:j]):
+            return None
+        text = " & ".join(f"{j - p}:{c}" for p, c in sorted(((p, c) for p, c in q.constraints if i <= p <= j), key=lambda x: (j - x[0], x[1])))
+        return tuple(reversed(q.span(i, j))), text
+
+    def _read(self, q: PathQuery, i: int, j: int) -> DataFrame | None:
+        """The table of a stored span, one demoted, or its reverse's."""
+        key = (q.span(i, j), q.key(i, j))
+        if key in self.cache:
+            self.cache.touch(key)
+            return self.tables[key]
+        if key in self.demoted:
+            return self.demoted[key]
+        back = self._reversed(q, i, j)
+        self.cache.touch(back)
+        return None if self.simulate else transposed(self.tables[back])
+
     def _offers(self, q: PathQuery, plan: Plan) -> list[Plan]:
         made = list(plan.products())
         if self.admission == "none" or not made:
@@ -176,8 +209,8 @@ class WorkloadEngine:
         longest = sorted(seen, key=lambda p: (p.i - p.j, p.i))[:1]
         return longest + whole
 
-    def run_one(self, q: PathQuery, pos: int = 0) -> DataFrame:
-        """The query's result, as a lazy DataFrame over what is stored."""
+    def run_one(self, q: PathQuery, pos: int = 0) -> DataFrame | None:
+        """The query's result, as a lazy DataFrame over what is stored; None when simulated."""
         m = QueryMetrics(self.name, pos, q.path)
         t = time.perf_counter()
         self.index.insert(q)
@@ -186,28 +219,30 @@ class WorkloadEngine:
         t = time.perf_counter()
         have: dict[tuple[int, int], DataFrame] = {}
         for p in _spans(plan):
-            key = (q.span(p.i, p.j), q.key(p.i, p.j))
             if p.cached:
-                have[p.i, p.j] = self.tables[key]
-                self.cache.touch(key)
+                have[p.i, p.j] = self._read(q, p.i, p.j)
                 m.cached_spans += 1
-        m.products = len(list(plan.products()))
+        made = list(plan.products())
+        m.products = len(made)
+        m.cost = sum(self.planner.step_cost(*(x.stats for x in p.parts), p.stats) for p in made)
         for p in self._offers(q, plan):
             key = (q.span(p.i, p.j), q.key(p.i, p.j))
-            made, nnz = stored_counted(lower(self.net, q, p, have), "span")
+            made, nnz = (None, p.stats.nnz) if self.simulate else stored_counted(lower(self.net, q, p, have), "span")
             have[p.i, p.j] = made
             outcome = self.cache.request(key, max(p.cost - sum(c.cost for c in p.parts if (c.i, c.j) in have), 1.0), nnz * ENTRY_BYTES)
             m.offers += 1
             m.evictions += len(outcome.evicted)
             for old in outcome.evicted:
                 self.index.note(*old, stored=False)
-                self.tables.pop(old, None)
+                table = self.tables.pop(old, None)
+                if self.second_level:
+                    self.demoted[old] = table
             self.index.note(*key, cost=p.cost, nnz=float(nnz), stored=outcome.stored)
             if outcome.stored:
                 self.tables[key] = made
             else:
                 m.rejected += 1
-        result = lower(self.net, q, plan, have)
+        result = None if self.simulate else lower(self.net, q, plan, have)
         m.exec_seconds = time.perf_counter() - t
         self.metrics.append(m)
         return result
@@ -243,10 +278,18 @@ CACHES = {
 }
 
 
-def engine(net: TypedNetwork, name: str, capacity: float = 64 << 20) -> WorkloadEngine:
+def engine(net: TypedNetwork, name: str, capacity: float = 64 << 20, **options) -> WorkloadEngine:
     admission, policy = CACHES[name]
     substitute = "cached" if name in ("final_cache", "all_products") else "cached+evicted"
-    return WorkloadEngine(net, admission, policy, capacity, substitute=substitute, name=name)
+    return WorkloadEngine(net, admission, policy, capacity, substitute=substitute, name=name, **options)
+
+
+def simulated_cost(net: TypedNetwork, queries: list[PathQuery], name: str, capacity: float) -> tuple[float, int, int, int]:
+    """Estimated cost, products, stored spans read and evictions of an engine over a workload, without executing it."""
+    e = engine(net, name, capacity, simulate=True)
+    for i, q in enumerate(queries):
+        e.run_one(q, i)
+    return tuple(sum(getattr(m, f) for m in e.metrics) for f in ("cost", "products", "cached_spans", "evictions"))
 
 
 def run_uncached(net: TypedNetwork, queries: list[PathQuery], kind: str) -> DataFrame:

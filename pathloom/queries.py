@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from pathloom.functions.workload import FIXED_30, cumulative, fixed_30, generate_workload, improvement, mine_overlaps, quartiles, workload_df
 from pathloom.operators import analytics as A
-from pathloom.operators.engine import engine, evaluate, evaluate_dense, instances, operand_stats, run_uncached, traversal
+from pathloom.operators.engine import engine, evaluate, evaluate_dense, instances, operand_stats, run_uncached, simulated_cost, traversal
 from pathloom.operators.matrix import added, degree_profile, multiply, operations, summary, transposed
 from pathloom.plans.cost import CountSketch, MatrixStats, dense_cost, fit_coefficients, sketch_product, uniform_density, uniform_operations, uniform_product
 from pathloom.plans.overlap import SubpathIndex
@@ -337,6 +337,54 @@ def engine_metrics(spark: SparkSession, sf: str) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
 
+#: Engines of the sweeps over caching, and over replacement.
+_CACHING, _REPLACING = ("sparse", "final_cache", "all_products", "reference"), ("tree_lru", "tree_size_cost", "reference")
+#: Queries per workload, and workloads averaged, in sweeps.
+_LONG, _REPEATS = 500, 3
+
+
+def _sweep(engines: tuple[str, ...], settings: list[tuple[str, float]], of: Callable) -> Query:
+    """setting, value, engine, cost, products, cached_spans, evictions, summed over workloads; of(net, value, seed) gives (net, queries, capacity)."""
+
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        net, rows = commerce(spark, sf), []
+        for setting, value in settings:
+            loads = [of(net, value, seed) for seed in range(_REPEATS)]
+            for name in engines:
+                found = [simulated_cost(*load[:2], name, load[2]) for load in loads]
+                rows.append((setting, float(value), name, *(type(f[0])(sum(f)) for f in zip(*found, strict=True))))
+        return _rows(spark, rows, "setting string, value double, engine string, cost double, products long, cached_spans long, evictions long")
+
+    return run
+
+
+def _matrix_bytes(net) -> float:
+    return sum(net.step_stats(e.src, e.dst, e.name if e.name == "next" else None).bytes for e in net.edges)
+
+
+def _load(net, value: float = 3.0, seed: int = 0, ratio: float = 3.0, **options):
+    rows = generate_workload(net, _LONG, seed=seed, **options)
+    return net, [parse_path(p, None, {a: c}) for _, p, a, c in rows], ratio * _matrix_bytes(net)
+
+
+def _split_load(net, percent: float, seed: int):
+    key = ("split", percent)
+    if key not in net.counted:
+        net.counted[key] = net.core_split("O", int(percent)) if percent < 100 else net
+    return _load(net.counted[key], seed=seed)
+
+
+_SWEEPS = {
+    "cache_size": ([("cache_size", r) for r in (0.75, 1.5, 3.0, 6.0, 12.0)], lambda net, v, seed: _load(net, seed=seed, ratio=v)),
+    "data_size": ([("data_size", r) for r in (60, 80, 100)], _split_load),
+    "restart": ([("restart", r) for r in (0.04, 0.06, 0.08, 0.10, 0.12)], lambda net, v, seed: _load(net, seed=seed, restart_p=v)),
+    "zipf": ([("zipf", r) for r in (0, 1.2, 1.6, 2.0)], lambda net, v, seed: _load(net, seed=seed, dist="zipf" if v else "uniform", alpha=v)),
+}
+for _name, (_settings, _of) in _SWEEPS.items():
+    register(f"sweep_{_name}")(_sweep(_CACHING, _settings, _of))
+    register(f"sweep_policy_{_name}")(_sweep(_REPLACING, _settings, _of))
+
+
 # overlaps and caches ------------------------------------------------------------------------------
 
 _GOLDEN = ("G-C-O-P", "N-C-O-P-B", "C-O-P-Y", "C-O-P-Y-P", "G-C-O-P")

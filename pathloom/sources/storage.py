@@ -31,6 +31,7 @@ METRICS_SCHEMA = StructType(
         StructField("offers", IntegerType()),
         StructField("evictions", IntegerType()),
         StructField("rejected", IntegerType()),
+        StructField("cost", DoubleType()),
     ]
 )
 
