@@ -31,7 +31,7 @@ from .common import pick, table
 
 CHUNK_CHARS = 1 << 16
 #: Memo sizes at which the compiled tables of a worker start anew; they bound memory, not results.
-MOST_WORDS, MOST_STATES = 600_000, 250_000
+MOST_WORDS, MOST_STATES = 600_000, 180_000
 #: The token limit that over_limit is about.
 LIMIT = 1024
 #: The white space of Unicode, and English clitics that are pre-tokens of their own.
@@ -108,8 +108,10 @@ class BpeTransducer:
         self.trie[at] = (self.trie[at][0], token)
 
     def _restart(self) -> None:
-        start = ((0, None, 0),)
-        self.states, self.number, self.steps = [start], {start: 0}, [{}]
+        # a state is a flat tuple of (trie node, token before it or None, tokens up to there less those of the whole)
+        start = (0, None, 0)
+        self.states, self.number = [start], {start: 0}
+        self.steps: dict[int, int] = {}  # state * 256 + byte: next state * 1024 + 512 + change of the count
 
     def _spine(self, token: bytes, side: int) -> list[tuple[bytes, int]]:
         """The parts that stand at one end of a token (1: right, 0: left) while it is merged, each with the rank of the merge that takes it up."""
@@ -136,34 +138,36 @@ class BpeTransducer:
             )
         return self.fits[a, b]
 
-    def _step(self, state: int, byte: int) -> tuple[int, int]:
-        """Build the transition of a state on a byte: next state, change of the number of tokens."""
-        live, ends = [], None
-        for node, last, rel in self.states[state]:
+    def _step(self, state: int, byte: int) -> int:
+        """Build the transition of a state on a byte."""
+        live, token, delta = [], None, 0
+        parts = iter(self.states[state])
+        for node, last, rel in zip(parts, parts, parts, strict=True):
             below = self.trie[node][0].get(byte)
             if below is None:
                 continue
-            children, token = self.trie[below]
-            if token is not None and ends is None and self._meet(last, token):
-                ends = (token, rel + 1)
+            children, ended = self.trie[below]
+            if ended is not None and token is None and self._meet(last, ended):
+                token, delta = ended, rel + 1
             if children:
                 live.append((below, last, rel))
-        token, delta = ends
-        new = (*((n, last, rel - delta) for n, last, rel in live), (0, token, 0))
-        if new not in self.number:
-            self.number[new] = len(self.states)
+        new = (*(x for n, last, rel in live for x in (n, last, rel - delta)), 0, token, 0)
+        to = self.number.get(new)
+        if to is None:
+            self.number[new] = to = len(self.states)
             self.states.append(new)
-            self.steps.append({})
-        self.steps[state][byte] = out = (self.number[new], delta)
+        self.steps[state << 8 | byte] = out = to << 10 | (delta + 512)
         return out
 
     def run(self, data: bytes) -> int:
+        """The number of tokens of a pre-token: the sum of the changes along its path."""
         if len(self.states) > MOST_STATES:
             self._restart()
-        state, count, steps = 0, 0, self.steps
+        state, count, steps = 0, 0, self.steps.get
         for b in data:
-            state, delta = steps[state].get(b) or self._step(state, b)
-            count += delta
+            t = steps(state << 8 | b) or self._step(state, b)
+            state = t >> 10
+            count += (t & 1023) - 512
         return count
 
     def plain(self, text: str) -> int:
