@@ -7,7 +7,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from pathloom.plans.query import PathQuery
+from pathloom.plans.query import PathQuery, parse_path
 from pathloom.sources.networks import TypedNetwork
 from pathloom.sources.storage import stored
 
@@ -74,3 +74,8 @@ def labelled(result: DataFrame, net: TypedNetwork, q: PathQuery) -> DataFrame:
         node = net.nodes[t]
         result = result.join(node.df.select(F.col("id").alias(side), F.col(node.label).cast("string").alias(f"{side}_name")), side)
     return result.select("src", "src_name", "dst", "dst_name", "n")
+
+
+def define(net: TypedNetwork, view: str, path: str, constraints: dict[int, str] | None = None) -> None:
+    """A metapath's result (src, dst, n) as a temporary view, computed when SQL reads it."""
+    evaluate(net, parse_path(path, net, constraints)).createOrReplaceTempView(view)
