@@ -77,7 +77,7 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, n_pieces, pieces: one sampled segmentation of each text, from which decoding gives the text back."""
-    return sampled_pieces(docs, public_tokenizers.path("piece_bpe_32k.model"), key=KEY, text=TEXT)
+    return sampled_pieces(docs, public_tokenizers.path("piece_bpe_32k.model"), key=KEY, text=TEXT, most_nodes=120_000)
 
 
 STAGES = [("quality", quality), ("near_dedup", near_dedup), ("suffix_dedup", suffix_dedup), ("decontamination", decontamination), ("pieces", pieces)]

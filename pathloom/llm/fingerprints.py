@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import pick, table
+from .memory import released
 from .near_dedup import WordHashes, shingle_hashes, words
 
 #: One of this many hashes is retained. A power of two.
@@ -127,7 +128,7 @@ def neighbour_fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "te
         .sortWithinPartitions("part", F.desc("ghost"), "order", "digest")
         .select("key", "text", "part", "ghost")
     )
-    return dealt.mapInArrow(_compared, _SCHEMA).withColumnRenamed("key", key)
+    return dealt.mapInArrow(released(_compared), _SCHEMA).withColumnRenamed("key", key)
 
 
 _SCHEMA = "key long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"

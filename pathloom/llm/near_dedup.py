@@ -28,6 +28,7 @@ from pyspark.sql import functions as F
 
 from .common import broadcast_if_small, pick, stored, table
 from .components import components
+from .memory import released
 
 SHINGLE = 5
 #: A pair at a similarity of 0.75 shares none of 32 bands of 4 rows with probability 5e-6.
@@ -158,7 +159,7 @@ def _verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     full = pairs.join(few.select(F.col("key").alias("a"), F.col("text").alias("ta")), "a").join(
         few.select(F.col("key").alias("b"), F.col("text").alias("tb")), "b"
     )
-    return stored(full.select("a", "b", "ta", "tb").mapInArrow(_linked, "a long, b long"), "links")
+    return stored(full.select("a", "b", "ta", "tb").mapInArrow(released(_linked), "a long, b long"), "links")
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -171,7 +172,7 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     agree. Empty tables give empty results; extra columns are ignored.
     """
     rows = pick(docs, key, text).toDF("key", "text").withColumn("key", F.col("key").cast("long"))
-    signed = stored(rows.mapInArrow(_signed, "key long, n_shingles long, k1 long, k2 long, bands array<long>"), "signatures")
+    signed = stored(rows.mapInArrow(released(_signed), "key long, n_shingles long, k1 long, k2 long, bands array<long>"), "signatures")
     linkable = signed.filter("n_shingles > 0 and key is not null")
     classes = stored(linkable.groupBy("k1", "k2").agg(F.min(F.struct("key", "bands", "n_shingles")).alias("first")).select("k1", "k2", F.col("first.key").alias("rep"), "first.bands", F.col("first.n_shingles").alias("size")), "classes")
     member = classes.select("rep", "size", F.explode("bands").alias("bucket"))
@@ -203,8 +204,10 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     memo = WordHashes()
     for batch in batches:
-        sets = [shingle_hashes(words(t.as_py()), memo).tobytes() for t in batch.column("text")]
-        yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(sets, pa.binary())], names=["key", "hashes"])
+        for i in range(0, batch.num_rows, 1000):
+            part = batch.slice(i, 1000)
+            sets = [shingle_hashes(words(t.as_py()), memo).tobytes() for t in part.column("text")]
+            yield pa.RecordBatch.from_arrays([part.column("key"), pa.array(sets, pa.binary())], names=["key", "hashes"])
 
 
 def common_counts(a: list[np.ndarray], b: list[np.ndarray]) -> np.ndarray:
@@ -273,7 +276,7 @@ def _joined_in_blocks(rest: DataFrame, texts: DataFrame) -> DataFrame:
     dealt = placed.join(sizes.withColumn("blocks", blocks).drop("n", "total"), ["by_bucket", "group"])
     dealt = dealt.withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     ids = stored(placed.select(F.col("rep").alias("key")).distinct(), "open-ids")
-    sets = texts.join(broadcast_if_small(ids, 16), "key", "left_semi").mapInArrow(_sets, "key long, hashes binary")
+    sets = texts.join(broadcast_if_small(ids, 16), "key", "left_semi").mapInArrow(released(_sets), "key long, hashes binary")
     full = dealt.join(sets.withColumnRenamed("key", "rep"), "rep").select(
         "by_bucket", "group", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rep", "component", "hashes"
     )

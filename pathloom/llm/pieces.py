@@ -20,11 +20,13 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import pick, table
+from .memory import released
 
 #: The model's mark for a space.
 MARK = "\u2581"
@@ -32,8 +34,8 @@ MARK = "\u2581"
 LITERAL = "\n\n"
 THETA = 1.0
 SEED = 11
-#: Word beginnings that a worker keeps, and characters walked back at once.
-MOST_NODES, BATCH_CHARS = 1_000_000, 3 << 20
+#: Word beginnings that a worker keeps, and bytes of text walked back at once.
+MOST_NODES, BATCH_CHARS = 1_000_000, 2 << 20
 #: Every character's factor in a spelling's weight. The same for all spellings of a word, it keeps masses in range.
 LEVEL, LONG = 30.0, 64
 #: Weight of spelling a character by bytes, as of a piece of this rank.
@@ -41,9 +43,10 @@ BYTE_RANK = 64_000
 
 
 class PieceSampler:
-    def __init__(self, path: str, theta: float = THETA):
+    def __init__(self, path: str, theta: float = THETA, most_nodes: int = MOST_NODES):
         import sentencepiece
 
+        self.most_nodes = most_nodes
         model = sentencepiece.SentencePieceProcessor(model_file=path)
         size = model.get_piece_size()
         plain = [i for i in range(size) if not (model.is_byte(i) or model.is_control(i) or model.is_unknown(i) or model.is_unused(i))]
@@ -69,9 +72,10 @@ class PieceSampler:
         self.find = re.compile(f"\n|{MARK}*[^{MARK}\n]+|{MARK}+").findall
         self.spelled: dict[str, int] = {}  # characters spelled by bytes: codes from size on
         self.spellings: list[list[int]] = []
-        self._restart()
+        self.forget()
 
-    def _restart(self) -> None:
+    def forget(self) -> None:
+        """Drop all word beginnings; results do not depend on what is kept."""
         self.base: dict[str, int] = {}
         # node 0 is the start of every word; above: the node of the beginning that is one character shorter
         self.mass: list[float] = [1.0]
@@ -183,8 +187,8 @@ class PieceSampler:
 
     def sample(self, texts: list[str | None], seeds: list[int]) -> list[np.ndarray]:
         """Piece ids of one drawn segmentation of each text."""
-        if len(self.mass) > MOST_NODES:
-            self._restart()
+        if len(self.mass) > self.most_nodes:
+            self.forget()
         ends: list[int] = []
         counts = []
         get, add = self.base.get, self._add
@@ -257,9 +261,9 @@ def _uniform(state: np.ndarray, step: int) -> np.ndarray:
 
 
 @lru_cache(maxsize=2)
-def sampler(path: str, theta: float) -> PieceSampler:
+def sampler(path: str, theta: float, most_nodes: int = MOST_NODES) -> PieceSampler:
     """One sampler per Python worker."""
-    return PieceSampler(path, theta)
+    return PieceSampler(path, theta, most_nodes)
 
 
 def _row_seed(key, text: str | None, seed: int) -> int:
@@ -267,18 +271,26 @@ def _row_seed(key, text: str | None, seed: int) -> int:
 
 
 def _portions(batch: pa.RecordBatch) -> Iterator[tuple[list, list]]:
-    keys, texts = batch.column("key").to_pylist(), batch.column("text").to_pylist()
-    at, size = 0, 0
-    for i, t in enumerate(texts):
-        size += len(t or "")
-        if size >= BATCH_CHARS or i == len(texts) - 1:
-            yield keys[at : i + 1], texts[at : i + 1]
-            at, size = i + 1, 0
-
-
-def _sampled(path: str, theta: float, seed: int, ids: bool):
+    """Keys and texts of a batch, some rows at a time."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column("text")), 0).to_numpy(zero_copy_only=False))
+    at = 0
+    while at < batch.num_rows:
+        base = ends[at - 1] if at else 0
+        to = max(at + 1, int(np.searchsorted(ends, base + BATCH_CHARS, "right")))
+        part = batch.slice(at, to - at)
+        yield part.column("key").to_pylist(), part.column("text").to_pylist()
+        at = to
+
+
+def _sampled(path: str, theta: float, seed: int, ids: bool, most_nodes: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = sampler(path, theta)
+        model = sampler(path, theta, most_nodes)
+        try:
+            yield from draw(model, batches)
+        finally:
+            model.forget()  # the worker goes on to other stages
+
+    def draw(model: PieceSampler, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for keys, texts in _portions(batch):
                 rows = model.sample(texts, [_row_seed(k, t, seed) for k, t in zip(keys, texts, strict=True)])
@@ -295,18 +307,19 @@ def _sampled(path: str, theta: float, seed: int, ids: bool):
     return run
 
 
-def sampled_pieces(docs: DataFrame, model_path: str, theta: float = THETA, seed: int = SEED, key: str = "doc_id", text: str = "text", ids: bool = True) -> DataFrame:
+def sampled_pieces(docs: DataFrame, model_path: str, theta: float = THETA, seed: int = SEED, key: str = "doc_id", text: str = "text", ids: bool = True, most_nodes: int = MOST_NODES) -> DataFrame:
     """key, n_pieces, pieces (ids) of one drawn segmentation of each row's text.
 
     With ids=False the ids stay in the worker: pieces_sha256 is the digest of their little-endian 32-bit
     form and lossless says whether decoding them gave the text back. Null and empty texts have no
     pieces. Rows with equal key and text get equal pieces; rows with a null key are seeded by their
-    text. Extra columns are ignored; nothing is shuffled.
+    text. Extra columns are ignored; nothing is shuffled. most_nodes bounds a worker's memory and has no
+    influence on results.
     """
     rows = pick(docs, key, text).toDF("key", "text")
     kind = rows.schema["key"].dataType.simpleString()
     columns = "pieces array<int>" if ids else "pieces_sha256 string, lossless boolean"
-    return rows.mapInArrow(_sampled(model_path, theta, seed, ids), f"key {kind}, n_pieces long, {columns}").withColumnRenamed("key", key)
+    return rows.mapInArrow(released(_sampled(model_path, theta, seed, ids, most_nodes)), f"key {kind}, n_pieces long, {columns}").withColumnRenamed("key", key)
 
 
 def decoded(rows: DataFrame, model_path: str, pieces: str = "pieces", text: str = "text") -> DataFrame:

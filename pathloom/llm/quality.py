@@ -23,6 +23,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import pick, table
+from .memory import release
 
 MOST_LABELLED = 4096
 DIMENSIONS = 32
@@ -138,8 +139,11 @@ def quality_scorer(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text
 
     @F.pandas_udf("double")
     def score(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        for batch in texts:
-            yield pd.Series(voter.value.scores(batch.tolist()), dtype="float64")
+        try:
+            for batch in texts:
+                yield pd.Series(voter.value.scores(batch.tolist()), dtype="float64")
+        finally:
+            release()
 
     return score
 

@@ -27,6 +27,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import BROADCAST_BYTES, pick, stored, table
+from .memory import released
 
 LENGTH = 100
 #: A perfect difference set. Every difference modulo 57 is that of exactly one pair.
@@ -308,12 +309,12 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", t
     if not twice.isEmpty():  # rows that repeat a key and a text: one of them is ranked
         own = _joined(own, twice, "24", "left_anti").union(_joined(own, twice, "24", "left_semi").dropDuplicates(["digest"]).select("digest", "key", "text"))
 
-    sent = own.mapInArrow(_cover_samples(bits, length), _ROW)
+    sent = own.mapInArrow(released(_cover_samples(bits, length)), _ROW)
     shared = sent.groupBy("part").applyInPandas(_shared_samples, _ROW)
     ranges = stored(shared.groupBy("slice").applyInPandas(_open_ranges(length), "digest binary, ranges binary"), "ranges")
 
     near = _joined(own, ranges, "24 + length(ranges)", "inner").select("key", "digest", "text", "ranges")
-    sent = near.mapInArrow(_open_windows(bits, length), _ROW)
+    sent = near.mapInArrow(released(_open_windows(bits, length)), _ROW)
     later = sent.groupBy("part").applyInPandas(_later_windows(bits), _ROW)
     spans = stored(
         later.groupBy("slice").applyInPandas(_spans(length), "digest binary, n_removed long, n_spans long, starts array<long>, sizes array<long>"), "spans"
