@@ -18,7 +18,7 @@ from pathloom.plans.overlap import SubpathIndex
 from pathloom.plans.planner import ChainPlanner, all_orders, order_cost
 from pathloom.plans.policies import LruPolicy, SizeCostPolicy, dependency_policy
 from pathloom.plans.query import parse_path
-from pathloom.sources.networks import activity, commerce
+from pathloom.sources.networks import activity, commerce, corpus, vectors
 from pathloom.sources.storage import read_table
 from pathloom.streaming.log import overlap_counts
 
@@ -41,6 +41,11 @@ STEP_SQL = {
     "ET": "SELECT event_id AS s, CAST(DENSE_RANK() OVER (ORDER BY event_type) AS BIGINT) AS d FROM events",
     "EK": "SELECT event_id AS s, CAST(json_extract(props, '$.k') AS BIGINT) AS d FROM events",
     "ED": "SELECT event_id AS s, CAST(DENSE_RANK() OVER (ORDER BY DATE_TRUNC('day', ts)) AS BIGINT) AS d FROM events",
+    "DL": "SELECT doc_id AS s, CAST(DENSE_RANK() OVER (ORDER BY lang) AS BIGINT) AS d FROM documents",
+    "DZ": "SELECT doc_id AS s, CAST(DENSE_RANK() OVER (ORDER BY source) AS BIGINT) AS d FROM documents",
+    "DQ": "SELECT DISTINCT doc_id AS s, CAST(quality AS BIGINT) AS d FROM labels",
+    "DX": "SELECT DISTINCT doc_id AS s, CAST(toxic AS BIGINT) AS d FROM labels",
+    "VA": "SELECT vec_id AS s, CAST(label AS BIGINT) AS d FROM embeddings",
     "next": "SELECT s, d FROM (SELECT o_orderkey AS s, LEAD(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS d FROM orders) z WHERE d IS NOT NULL",
 }
 #: Each type's keys and properties in SQL.
@@ -138,6 +143,7 @@ PATHS = {
     "mqe_cop": (commerce, "C-O-P"), "mqe_pop": (commerce, "P-O-P"), "mqe_sos": (commerce, "S-O-S"), "mqe_copb": (commerce, "C-O-P-B"), "mqe_nco": (commerce, "N-C-O"),
     "mqe_ncopy": (commerce, "N-C-O-P-Y"), "mqe_bpsn": (commerce, "B-P-S-N"), "mqe_gcopb": (commerce, "G-C-O-P-B"), "mqe_rncop": (commerce, "R-N-C-O-P"),
     "mqe_copoc": (commerce, "C-O-P-O-C"), "mqe_uet": (activity, "U-E-T"), "mqe_uek": (activity, "U-E-K"), "mqe_uekeu": (activity, "U-E-K-E-U"), "mqe_ted": (activity, "T-E-D"),
+    "mqe_lang_source": (corpus, "L-D-Z"), "mqe_quality_source": (corpus, "Q-D-Z"), "mqe_toxic_lang": (corpus, "X-D-L"), "mqe_vec_label": (vectors, "V-A-V"),
     "mqe_next_edge": (commerce, "C-O-[next]->O-P"), "mqe_reverse": (commerce, "P-O-C"),
 }
 for _name, (_net, _path) in PATHS.items():
@@ -472,7 +478,7 @@ def cache_oversize(spark: SparkSession, sf: str) -> DataFrame:
 
 # workloads and networks ---------------------------------------------------------------------------
 
-_TYPE_EDGES = " UNION ALL ".join(f"SELECT '{a}' AS a, '{b}' AS b" for s in STEP_SQL if len(s) == 2 and s[0] not in "UE" for a, b in (s, s[::-1]))
+_TYPE_EDGES = " UNION ALL ".join(f"SELECT '{a}' AS a, '{b}' AS b" for s in STEP_SQL if len(s) == 2 and s[0] not in "UEDV" for a, b in (s, s[::-1]))
 for _length in (3, 4, 5):
     _joins = ", ".join(f"({_TYPE_EDGES}) t{i}" for i in range(_length - 1))
     _on = " AND ".join(f"t{i}.b = t{i + 1}.a" for i in range(_length - 2))
@@ -664,6 +670,16 @@ def stream_tumbling(spark: SparkSession, sf: str) -> DataFrame:
     return overlap_counts(_log(spark, sf), "1 day").withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
+@register("stream_sliding", f"SELECT sub_path, start, CAST(COUNT(*) AS BIGINT) AS f FROM (SELECT sub_path, CAST(DATE_TRUNC('day', ts) AS TIMESTAMP) AS start FROM ({_PAIRS_SQL}) a UNION ALL SELECT sub_path, CAST(DATE_TRUNC('day', ts) AS TIMESTAMP) - INTERVAL 1 DAY AS start FROM ({_PAIRS_SQL}) b) q GROUP BY 1, 2")
+def stream_sliding(spark: SparkSession, sf: str) -> DataFrame:
+    return overlap_counts(_log(spark, sf), "2 days", slide="1 day").withColumn("start", F.col("start").cast("timestamp_ntz"))
+
+
+@register("stream_session_windows", f"SELECT sub_path, MIN(ts) AS start, CAST(COUNT(*) AS BIGINT) AS f FROM (SELECT sub_path, ts, SUM(fresh) OVER (PARTITION BY sub_path ORDER BY ts ROWS UNBOUNDED PRECEDING) AS session FROM (SELECT sub_path, ts, CASE WHEN ts <= LAG(ts) OVER (PARTITION BY sub_path ORDER BY ts) + INTERVAL 10 MINUTE THEN 0 ELSE 1 END AS fresh FROM ({_PAIRS_SQL}) q) x) y GROUP BY sub_path, session")
+def stream_session_windows(spark: SparkSession, sf: str) -> DataFrame:
+    return overlap_counts(_log(spark, sf), "", gap="10 minutes").withColumn("start", F.col("start").cast("timestamp_ntz"))
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 

@@ -248,7 +248,34 @@ def activity(spark: SparkSession, folder: str, keep: bool = False) -> TypedNetwo
     return TypedNetwork("activity", spark, {n.name: n for n in nodes}, edges, keep=keep)
 
 
-NETWORKS = {"commerce": commerce, "activity": activity}
+def corpus(spark: SparkSession, folder: str, keep: bool = False) -> TypedNetwork:
+    """Documents with their languages, sources and labels."""
+    d, labels = read_table(spark, folder, "documents").select("doc_id", "lang", "source", "n_chars"), read_table(spark, folder, "labels")
+    langs, sources = dictionary(d.select("lang")), dictionary(d.select("source"))
+    nodes = [
+        NodeType("D", _keyed(d, "doc_id")),
+        NodeType("L", langs.withColumn("lang", F.col("name")), "name"),
+        NodeType("Z", sources.withColumn("source", F.col("name")), "name"),
+        NodeType("Q", labels.select(F.col("quality").cast("long").alias("id")).distinct()),
+        NodeType("X", labels.select(F.col("toxic").cast("long").alias("id")).distinct()),
+    ]
+    edges = [
+        EdgeType("D-L", "D", "L", _named(d, "doc_id", "lang", langs)),
+        EdgeType("D-Z", "D", "Z", _named(d, "doc_id", "source", sources)),
+        EdgeType("D-Q", "D", "Q", _pairs(labels, "doc_id", "quality")),
+        EdgeType("D-X", "D", "X", _pairs(labels, "doc_id", "toxic")),
+    ]
+    return TypedNetwork("corpus", spark, {n.name: n for n in nodes}, edges, keep=keep)
+
+
+def vectors(spark: SparkSession, folder: str, keep: bool = False) -> TypedNetwork:
+    """Vectors with their labels."""
+    v = read_table(spark, folder, "embeddings").select("vec_id", "label")
+    nodes = [NodeType("V", _keyed(v, "vec_id")), NodeType("A", v.select(F.col("label").cast("long").alias("id")).distinct())]
+    return TypedNetwork("vectors", spark, {n.name: n for n in nodes}, [EdgeType("V-A", "V", "A", _pairs(v, "vec_id", "label"))], keep=keep)
+
+
+NETWORKS = {"commerce": commerce, "activity": activity, "corpus": corpus, "vectors": vectors}
 
 
 def from_tables(spark: SparkSession, folder: str, name: str, keep: bool = False) -> TypedNetwork:
