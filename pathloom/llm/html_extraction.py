@@ -30,7 +30,7 @@ LEAST_PAGES, CONSTANT_SHARE, REGION_SHARE = 4, 0.6, 0.9
 #: Element kinds of HTML, and words of class, id and role that name parts which are not content.
 VOID = set("area base br col embed hr img input link meta param source track wbr".split())
 BLOCKS = set("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol optgroup option p pre section summary table tbody td tfoot th thead tr ul".split())
-CLOSES_P = BLOCKS - {"td", "th", "tr", "tbody", "thead", "tfoot", "option", "optgroup", "html", "body", "legend", "dd", "dt", "li"} | {"li", "dd", "dt"}
+CLOSES_P = BLOCKS - set("td th tr tbody thead tfoot option optgroup html body legend".split())
 LEFT_OUT = set("head nav footer aside form script style noscript template button select textarea iframe svg canvas object dialog menu audio video".split())
 ROLES = set("navigation banner contentinfo complementary search alert alertdialog dialog menu menubar form".split())
 NAMES = set(
