@@ -43,7 +43,7 @@ _TOKEN = re.compile(
     r"""<!--.*?(?:-->|\Z)|<(?P<raw>script|style)\b(?:"[^"]*"|'[^']*'|[^>"'])*>.*?(?:</(?P=raw)[^>]*>|\Z)|<(?P<end>/?)(?P<tag>[a-zA-Z][^\s/>]*)(?P<attrs>(?:"[^"]*"|'[^']*'|[^>"'])*)>|<(?P<end2>/?)(?P<tag2>[a-zA-Z][^\s/>]*)(?P<attrs2>[^>]*)>|<[!?/][^>]*(?:>|\Z)|<[a-zA-Z][^>]*\Z""",
     re.DOTALL | re.IGNORECASE,
 )
-_NAMED = re.compile(r"""\b(class|id|role|hidden|aria-hidden)\b(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", re.IGNORECASE)
+_ATTRIBUTE = re.compile(r"""([^\s"'>/=]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
 
 
 class Node:
@@ -54,18 +54,19 @@ class Node:
 
 
 def _left_out(tag: str, attrs: str, inside: bool) -> bool:
-    """Is an element, by what it says of itself, no content. inside: within an article or main element."""
+    """Is an element, by its tag and attributes, no content. inside: within an article or main element, where only whole names count."""
     if tag in LEFT_OUT or (tag == "header" and not inside):
         return True
-    if "=" in attrs or "hidden" in attrs:
-        for name, a, b, c in _NAMED.findall(attrs):
-            name, value = name.lower(), (a or b or c).lower()
-            if name == "role":
-                if value in ROLES:
-                    return True
-            elif name == "hidden" or (name == "aria-hidden" and value == "true"):
+    for name, a, b, c in _ATTRIBUTE.findall(attrs) if attrs and not attrs.isspace() else ():
+        name, value = name.lower(), (a or b or c).lower()
+        if name == "role":
+            if not ROLES.isdisjoint(value.split()):
                 return True
-            elif name in ("class", "id") and tag not in ("body", "html", "main") and not NAMES.isdisjoint(re.split(r"[^a-z]+", value)):
+        elif name == "hidden" or (name == "aria-hidden" and value.strip() == "true"):
+            return True
+        elif name in ("class", "id") and tag not in ("body", "html", "main"):
+            # within content a word of a longer name tells of a topic as often as of a part
+            if not NAMES.isdisjoint(value.split() if inside else re.split(r"[^a-z]+", value)):
                 return True
     return False
 

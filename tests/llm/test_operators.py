@@ -236,6 +236,17 @@ def test_main_text_of_a_page():
     assert html_extraction.main_text("<div>" * 3000 + "deep") == "deep"
 
 
+@pytest.mark.parametrize("attrs", ['style="overflow:hidden"', 'title="hidden gems"', 'href="/hidden/x"', 'href="/x?id=search"', "href=/x?id=search", 'data-id="search"', 'data-class="ad"'])
+def test_attributes_that_only_look_like_names_drop_nothing(attrs):
+    assert html_extraction.main_text(f"<body><div {attrs}>kept</div></body>") == "kept"
+
+
+def test_names_inside_content_must_be_whole():
+    page = '<article><h2 id="search-and-rescue">Rescue</h2><section id="related-work">Others</section><div class="x share">Share</div><p id=search>Find</p><p HIDDEN>no</p></article>'
+    assert html_extraction.main_text(page) == "Rescue\nOthers"
+    assert html_extraction.main_text('<div class="site-search">no</div><div role="alert x">no</div><div aria-hidden=true>no</div>yes') == "yes"
+
+
 def test_wrappers_find_the_content_region(spark):
     page = lambda i: f"<html><body><div><p>Our site</p><p>Since 1999</p></div><div><div><h2>{prose(i, 5)}</h2><p>{prose(i + 50, 30)}</p></div><p>All rights</p></div></body></html>"
     rows = [(i, f"http://h.example/{i}", page(i)) for i in range(8)] + [(50, "http://lone.example/", page(50)), (51, None, None), (None, "x", ""), (52, "http://h.example/52", None)]
