@@ -5,9 +5,9 @@ at which both occurrences hit positions of the cover (a perfect difference set m
 each document's start). So the suffixes at cover positions, compared by their first ``length - v + 1``
 bytes, tell which parts of which documents can hold repeats at all. Only the windows there are
 ranked, one suffix bucket at a time: a bucket is a range of fingerprints, of bounded size, and within it
-the windows are sorted by fingerprint, document and place; all but the first of equal ones are repeats.
-Ranks are by 64-bit fingerprint instead of by bytes, since the result needs equality and first
-occurrence but no alphabetic order.
+the windows are sorted by fingerprints, document and place; all but the first of equal ones are repeats.
+No suffix is sorted: the result needs equality and first occurrence but no alphabetic order, so windows are
+ranked by two independent 64-bit fingerprints, 128 bits together, and their bytes are not compared.
 
 Both passes reduce within slices of the input before they shuffle (a string that is common everywhere
 is sent once per slice), texts that occur more than once are ranked once, and texts themselves
@@ -38,7 +38,7 @@ BUCKET_WINDOWS = 4_000_000
 
 _ROW = "part int, slice long, kind int, a binary, b binary, c binary, d binary"
 _NAMES = ["part", "slice", "kind", "a", "b", "c", "d"]
-_ODD = np.random.Generator(np.random.PCG64(7)).integers(1, 1 << 63, 16).astype(np.uint64) * np.uint64(2) + np.uint64(1)
+_ODD, _ODD_TOO = (np.random.Generator(np.random.PCG64(seed)).integers(1, 1 << 63, 16).astype(np.uint64) * np.uint64(2) + np.uint64(1) for seed in (7, 11))
 
 
 def _planes(x: np.ndarray, width: int) -> bytes:
@@ -53,16 +53,16 @@ def _numbers(data: bytes, width: int) -> np.ndarray:
     return out.view("<u8").ravel()
 
 
-def _fingerprints(data: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
-    """64-bit fingerprints of the strings of length bytes at the given places."""
+def _fingerprints(data: np.ndarray, at: np.ndarray, length: int, odd: np.ndarray = _ODD) -> np.ndarray:
+    """64-bit fingerprints of the strings of length bytes at the given places, by a table of odd factors."""
     eight = np.ndarray((len(data) - 7,), "<u8", data, 0, (1,))
     out = np.full(len(at), length, np.uint64)
     for i, step in enumerate([*range(0, length - 8, 8), length - 8]):
         x = eight[at + step]
         x ^= x >> np.uint64(29)
-        x *= _ODD[i % 15]
+        x *= odd[i % 15]
         out ^= x
-        out *= _ODD[15]
+        out *= odd[15]
         out ^= out >> np.uint64(32)
     return out
 
@@ -207,21 +207,22 @@ def _open_windows(bits: int, length: int) -> Callable[[Iterator[pa.RecordBatch]]
             place = np.arange(len(doc)) - np.repeat(np.cumsum(many) - many - low, many)
             where = s.raw[doc] + place
             value = _fingerprints(s.data, where, length)
+            second = _fingerprints(s.data, where, length, _ODD_TOO)
             where += doc
-            _, first = np.unique(value, return_index=True)
-            ahead = np.zeros(len(value), bool)
+            _, first, which = np.unique(value, return_index=True, return_inverse=True)
+            ahead = second != second[first][which]
             ahead[first] = True
             left, right = _union(where[~ahead], where[~ahead] + 1)
             rows = [s.header(_planes(np.concatenate([left, right]), 5))]
-            value, where, doc = value[ahead], where[ahead], doc[ahead]
+            value, second, where, doc = value[ahead], second[ahead], where[ahead], doc[ahead]
             part = (value >> np.uint64(64 - bits)).astype(np.int64)
             order = np.argsort(part.astype(np.uint16) if bits <= 16 else part, kind="stable")
-            part, value, where, doc = part[order], value[order], where[order], doc[order]
+            part, value, second, where, doc = part[order], value[order], second[order], where[order], doc[order]
             for p, i, j in _parts(part):
                 d = doc[i:j]
                 turns = np.concatenate([[0], np.flatnonzero(np.diff(d)) + 1])
                 runs = np.diff(np.concatenate([turns, [j - i]]))
-                rows.append((p, s.id, 0, _planes(value[i:j], width), _planes(where[i:j], 5), _planes(s.keys[d[turns]].astype(np.int64), 8), _planes(runs, 4)))
+                rows.append((p, s.id, 0, _planes(value[i:j], width) + _planes(second[i:j], 8), _planes(where[i:j], 5), _planes(s.keys[d[turns]].astype(np.int64), 8), _planes(runs, 4)))
             yield _batch(rows)
 
     return run
@@ -235,17 +236,18 @@ def _later_windows(bits: int):
         rest, rows = rows[rows["kind"] == 1], rows[rows["kind"] == 0]
         out = []
         if len(rows):
-            values = [_numbers(x, width) for x in rows["a"]]
-            value = np.concatenate(values)
+            many = [len(x) // (width + 8) for x in rows["a"]]
+            value = np.concatenate([_numbers(x[: n * width], width) for x, n in zip(rows["a"], many, strict=True)])
+            second = np.concatenate([_numbers(x[n * width :], 8) for x, n in zip(rows["a"], many, strict=True)])
             doc = np.concatenate([np.repeat(_numbers(d, 8).view(np.int64), _numbers(n, 4).astype(np.int64)) for d, n in zip(rows["c"], rows["d"], strict=True)])
-            slice_ = np.repeat(rows["slice"].to_numpy(np.int64), list(map(len, values)))
-            order = np.lexsort((slice_, doc, value))
+            slice_ = np.repeat(rows["slice"].to_numpy(np.int64), many)
+            order = np.lexsort((slice_, doc, second, value))
             later = np.zeros(len(value), bool)
-            later[order[1:]] = value[order[1:]] == value[order[:-1]]
+            later[order[1:]] = (value[order[1:]] == value[order[:-1]]) & (second[order[1:]] == second[order[:-1]])
             at = 0
-            for v, where, s in zip(values, rows["b"], rows["slice"], strict=True):
-                mine = later[at : at + len(v)]
-                at += len(v)
+            for n, where, s in zip(many, rows["b"], rows["slice"], strict=True):
+                mine = later[at : at + n]
+                at += n
                 if mine.any():
                     out.append((0, s, 0, b"", _planes(_numbers(where, 5)[mine], 5), b"", b""))
         return pd.concat([rest[_NAMES], pd.DataFrame(out, columns=_NAMES)]) if out else rest[_NAMES]

@@ -298,6 +298,41 @@ def test_repeated_spans_of_hard_documents(spark):
     assert suffix_dedup.repeated_spans(empty(spark)).count() == 0
 
 
+def _colliding_texts():
+    """Two different ASCII texts of 100 bytes whose first 64-bit fingerprints are equal."""
+    odd, mask = [int(x) for x in suffix_dedup._ODD], (1 << 64) - 1
+    mix = lambda x, i: (x ^ x >> 29) * odd[i] & mask
+    turn = lambda s: s * odd[15] & mask ^ (s * odd[15] & mask) >> 32
+
+    def unmix(y: int, i: int) -> int:
+        y = y * pow(odd[i], -1, 1 << 64) & mask
+        return y ^ y >> 29 ^ y >> 58
+
+    a = prose(1, 60).encode()[:100]
+    word = lambda at: int.from_bytes(a[at : at + 8], "little")
+    state = 100
+    for i in range(9):
+        state = turn(state ^ mix(word(8 * i), i))
+    goal = turn(state ^ mix(word(72), 9)) ^ mix(word(80), 10)
+    for k in range(1 << 16):
+        other = f"{k:08d}".encode()
+        rest = unmix(goal ^ turn(state ^ mix(int.from_bytes(other, "little"), 9)), 10).to_bytes(8, "little")
+        if max(rest) < 128:
+            return a.decode(), (a[:72] + other + rest + a[88:]).decode()
+    raise AssertionError("none found")
+
+
+def test_windows_with_one_equal_fingerprint_are_no_repeats(spark, monkeypatch):
+    one, two = _colliding_texts()
+    print_of = lambda t: suffix_dedup._fingerprints(np.frombuffer(t.encode() + bytes(16), np.uint8), np.array([0]), 100)[0]
+    assert one != two and len(two) == 100 and print_of(one) == print_of(two)
+    for slice_bytes in (4 << 20, 100):  # within a slice and across slices
+        monkeypatch.setattr(suffix_dedup, "SLICE_BYTES", slice_bytes)
+        docs = spark.createDataFrame([(1, one), (2, two), (3, two + "!")], "doc_id long, text string").coalesce(1)
+        got = {r["doc_id"]: r["n_removed"] for r in suffix_dedup.repeated_spans(docs).collect()}
+        assert got == {1: 0, 2: 0, 3: 100}
+
+
 def test_kept_text_keeps_whole_characters(spark):
     rows = {r["doc_id"]: r for r in suffix_dedup.repeated_spans(hostile(spark)).select("doc_id", "text", "n_removed", suffix_dedup.kept_text(F.col("text"), F.col("starts"), F.col("sizes")).alias("new")).collect()}
     assert rows[15]["n_removed"] > 0 and "�" not in rows[15]["new"] and rows[15]["new"].endswith(prose(7, 30)[-20:])
