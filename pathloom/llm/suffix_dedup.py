@@ -17,6 +17,7 @@ are not shuffled while the tables joined to them are small.
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pandas as pd
@@ -276,6 +277,21 @@ def _spans(length: int):
     return run
 
 
+@contextmanager
+def _shuffles_removed(spark: SparkSession) -> Iterator[None]:
+    """Shuffled files of what is run inside are removed when it ends, so the second pass does not lie beside the first's on disk."""
+    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(name, None)
+    spark.conf.set(name, "true")
+    try:
+        yield
+    finally:
+        if before is None:
+            spark.conf.unset(name)
+        else:
+            spark.conf.set(name, before)
+
+
 def _joined(docs: DataFrame, few: DataFrame, row_bytes: str, how: str) -> DataFrame:
     """docs joined to few on digest; few is sent to all executors only while its measured bytes allow it."""
     size = few.agg(F.sum(F.expr(row_bytes))).first()[0] or 0
@@ -313,7 +329,8 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", t
 
     sent = own.mapInArrow(released(_cover_samples(bits, length)), _ROW)
     shared = sent.groupBy("part").applyInPandas(_shared_samples, _ROW)
-    ranges = stored(shared.groupBy("slice").applyInPandas(_open_ranges(length), "digest binary, ranges binary"), "ranges")
+    with _shuffles_removed(docs.sparkSession):
+        ranges = stored(shared.groupBy("slice").applyInPandas(_open_ranges(length), "digest binary, ranges binary"), "ranges")
 
     near = _joined(own, ranges, "24 + length(ranges)", "inner").select("key", "digest", "text", "ranges")
     sent = near.mapInArrow(released(_open_windows(bits, length)), _ROW)
