@@ -177,8 +177,9 @@ def aligned(a: Node, b: Node) -> list[tuple[Node, Node]]:
     """The pairs of a largest top-down mapping of two trees that keeps tags, ancestors and order."""
     memo: dict[tuple[int, int], tuple[int, list]] = {}
 
-    def pairs_of(x: list[Node], y: list[Node]) -> list[tuple[Node, Node]]:
-        """Pairs of children, with equal shapes at both ends taken as they are."""
+    def trimmed(p: Node, q: Node) -> tuple[list, list[Node], list[Node]]:
+        """Pairs of children with equal shapes at both ends, which are taken as they are, and the children between."""
+        x, y = _elements(p), _elements(q)
         low = 0
         while low < min(len(x), len(y)) and x[low].shape == y[low].shape:
             low += 1
@@ -186,14 +187,14 @@ def aligned(a: Node, b: Node) -> list[tuple[Node, Node]]:
         while high < min(len(x), len(y)) - low and x[-1 - high].shape == y[-1 - high].shape:
             high += 1
         outer = [*zip(x[:low], y[:low], strict=True), *zip(x[len(x) - high :], y[len(y) - high :], strict=True)]
-        x, y = x[low : len(x) - high], y[low : len(y) - high]
-        if not x or not y:
-            return outer
+        return outer, x[low : len(x) - high], y[low : len(y) - high]
+
+    def best_pairs(x: list[Node], y: list[Node]) -> list[tuple[Node, Node]]:
         best = [[0] * (len(y) + 1) for _ in range(len(x) + 1)]
         for i, p in enumerate(x, 1):
             row, above = best[i], best[i - 1]
             for j, q in enumerate(y, 1):
-                row[j] = max(above[j], row[j - 1], above[j - 1] + match(p, q)[0] if p.tag == q.tag else 0)
+                row[j] = max(above[j], row[j - 1], above[j - 1] + memo[p.number, q.number][0] if p.tag == q.tag else 0)
         i, j = len(x), len(y)
         inner = []
         while i and j:
@@ -204,20 +205,30 @@ def aligned(a: Node, b: Node) -> list[tuple[Node, Node]]:
             else:
                 i, j = i - 1, j - 1
                 inner.append((x[i], y[j]))
-        return [*outer, *inner]
-
-    def match(p: Node, q: Node) -> tuple[int, list]:
-        key = (p.number, q.number)
-        if key not in memo:
-            found = pairs_of(_elements(p), _elements(q))
-            memo[key] = (1 + sum(match(*f)[0] for f in found), found)
-        return memo[key]
+        return inner
 
-    out, work = [], [(a, b)]
+    # a pair is seen twice: first its children's pairs are put on top of it, then it is matched by theirs
+    work: list[tuple[Node, Node, tuple | None]] = [(a, b, None)]
     while work:
-        p, q = work.pop()
+        p, q, parts = work.pop()
+        if parts is None:
+            if (p.number, q.number) in memo:
+                continue
+            parts = trimmed(p, q)
+            outer, x, y = parts
+            work.append((p, q, parts))
+            work.extend((c, d, None) for c, d in outer)
+            work.extend((c, d, None) for c in x for d in y if c.tag == d.tag and (c.number, d.number) not in memo)
+        else:
+            outer, x, y = parts
+            found = [*outer, *(best_pairs(x, y) if x and y else [])]
+            memo[p.number, q.number] = (1 + sum(memo[c.number, d.number][0] for c, d in found), found)
+
+    out, walk = [], [(a, b)]
+    while walk:
+        p, q = walk.pop()
         out.append((p, q))
-        work.extend(match(p, q)[1])
+        walk.extend(memo[p.number, q.number][1])
     return out
 
 
@@ -228,29 +239,15 @@ def _seed(source: str) -> tuple[Node, list[Node], list[str]]:
     return root, nodes, [own_text(n) for n in nodes]
 
 
-#: Elements nested deeper than this are aligned no further down, which bounds recursion; their text stays.
-DEEPEST = 200
-
-
-def _depth(root: Node) -> int:
-    most, level = 0, [root]
-    while level:
-        most += 1
-        level = [c for n in level for c in _elements(n)]
-    return most
-
-
 def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """For each host and seed node: pages aligned with it, pages with the seed's text, characters that vary."""
     total: dict[tuple[str, int], list[int]] = {}
     for batch in batches:
         for host, source, seed in zip(*(batch.column(c).to_pylist() for c in ("host", "html", "seed")), strict=True):
             root, nodes, texts = _seed(seed)
-            if not source or _depth(root) > DEEPEST:
+            if not source:
                 continue
             page = parse(source)
-            if _depth(page) > DEEPEST:
-                continue
             numbered(page)
             for p, q in aligned(root, page):
                 if p.out:
@@ -306,13 +303,12 @@ def main_text(source: str | None, seed: str | None = None, stats: dict[int, tupl
         return "\n".join(t for x in landmarks for t in blocks(x))
     if seed and stats:
         top, nodes, _ = _seed(seed)
-        if _depth(top) <= DEEPEST and _depth(root) <= DEEPEST:
-            region, constant = wrapper(nodes, stats)
-            numbered(root)
-            pairs = aligned(top, root)
-            texts = [own_text(n) for n in nodes]
-            drop = {q for p, q in pairs if p.number in constant and texts[p.number] and own_text(q) == texts[p.number] and not _elements(q)}
-            return "\n".join(blocks(next((q for p, q in pairs if p.number == region), root), drop))
+        region, constant = wrapper(nodes, stats)
+        numbered(root)
+        pairs = aligned(top, root)
+        texts = [own_text(n) for n in nodes]
+        drop = {q for p, q in pairs if p.number in constant and texts[p.number] and own_text(q) == texts[p.number] and not _elements(q)}
+        return "\n".join(blocks(next((q for p, q in pairs if p.number == region), root), drop))
     return "\n".join(blocks(root))
 
 
@@ -356,8 +352,8 @@ def extracted_pages(pages: DataFrame, key: str = "page_id", url: str = "url", ht
     """key, url, text, n_chars for each row of pages.
 
     Null and empty pages have an empty text. Pages whose url is null or has no host form one host.
-    Repeated rows and null keys are kept. Hosts of few pages, and pages nested beyond DEEPEST levels, use
-    no wrapper. Extra columns are ignored; an empty table gives an empty result.
+    Repeated rows and null keys are kept. Hosts of few pages use
+    no wrapper; pages are aligned at any depth. Extra columns are ignored; an empty table gives an empty result.
     """
     rows = pick(pages, key, url, html).toDF("key", "url", "html").withColumn("host", host_of(F.col("url")))
     seeds = rows.filter("html <> ''").groupBy("host").agg(F.min_by("html", F.struct(F.coalesce(F.col("key").cast("long"), F.lit((1 << 63) - 1)), F.md5("html"))).alias("seed"))

@@ -260,6 +260,14 @@ def test_wrappers_find_the_content_region(spark):
     assert html_extraction.extracted_pages(pages.limit(0)).count() == 0
 
 
+def test_a_deeply_nested_seed_keeps_its_hosts_wrapper(spark):
+    deep = "<div>" * 600
+    page = lambda i: f"<html><body><div><p>Our site</p></div><div>{deep if i == 0 else ''}<h2>{prose(i, 5)}</h2><p>{prose(i + 50, 30)}</p></div></body></html>"
+    pages = spark.createDataFrame([(i, f"http://h.example/{i}", page(i)) for i in range(8)], "page_id long, url string, html string")
+    got = by_id(html_extraction.extracted_pages(pages), "page_id")
+    assert all("Our site" not in got[i]["text"] and prose(i + 50, 30) in got[i]["text"] for i in range(8))
+
+
 def test_alignment_is_a_largest_mapping():
     a, b = html_extraction.parse("<a><b></b><c></c><d></d></a>"), html_extraction.parse("<a><c></c><b></b><d></d></a>")
     html_extraction.numbered(a), html_extraction.numbered(b)
