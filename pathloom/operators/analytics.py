@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import re
 from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from pathloom.plans.query import PathQuery, parse_path
@@ -20,6 +21,11 @@ def top_k_per_source(pairs: DataFrame, k: int) -> DataFrame:
     return pairs.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
 
 
+def top_k(pairs: DataFrame, k: int) -> DataFrame:
+    """The k strongest pairs of all; ties go to the smaller src, then dst."""
+    return pairs.select("src", "dst", "n").orderBy(F.desc("n"), "src", "dst").limit(k)
+
+
 def path_similarity(pairs: DataFrame, k: int = 10, measure: str = "shared") -> DataFrame:
     """src, dst, score, rank over a symmetric path's result: shared paths, or normalised by both nodes' own."""
     if measure == "shared":
@@ -68,6 +74,11 @@ def unreached(net: TypedNetwork, q: PathQuery) -> DataFrame:
     return net.nodes[q.types[0]].df.select("id").join(evaluate(net, q).select(F.col("src").alias("id")).distinct(), "id", "left_anti")
 
 
+def reached(net: TypedNetwork, q: PathQuery) -> DataFrame:
+    """id: nodes of the first type from which some instance of the path starts."""
+    return net.nodes[q.types[0]].df.select("id").join(evaluate(net, q).select(F.col("src").alias("id")), "id", "left_semi")
+
+
 def labelled(result: DataFrame, net: TypedNetwork, q: PathQuery) -> DataFrame:
     """A result with the names of its end nodes."""
     for side, t in (("src", q.types[0]), ("dst", q.types[-1])):
@@ -79,3 +90,18 @@ def labelled(result: DataFrame, net: TypedNetwork, q: PathQuery) -> DataFrame:
 def define(net: TypedNetwork, view: str, path: str, constraints: dict[int, str] | None = None) -> None:
     """A metapath's result (src, dst, n) as a temporary view, computed when SQL reads it."""
     evaluate(net, parse_path(path, net, constraints)).createOrReplaceTempView(view)
+
+
+_CALL = re.compile(r"metapath\s*\(\s*'((?:[^']|'')*)'\s*\)", re.IGNORECASE)
+
+
+def metapath_sql(spark: SparkSession, net: TypedNetwork, text: str) -> DataFrame:
+    """SQL in which metapath('C-O-P {O.o_totalprice > 5}') stands for a path's result (src, dst, n), planned when the statement is."""
+    args = {}
+
+    def named(m: re.Match) -> str:
+        name = f"path{len(args)}"
+        args[name] = evaluate(net, parse_path(m[1].replace("''", "'"), net))
+        return "{" + name + "}"
+
+    return spark.sql(_CALL.sub(named, text), **args)

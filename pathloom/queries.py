@@ -2,132 +2,28 @@
 
 from __future__ import annotations
 
-import time
 from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from pathloom.functions.workload import FIXED_30, cumulative, fixed_30, generate_workload, improvement, mine_overlaps, quartiles, workload_df
+from pathloom import queries_workloads  # noqa: F401  registers its queries
+from pathloom.functions.workload import FIXED_30, SubPaths, fixed_30, mine_constrained_overlaps, mine_overlaps, workload_df
 from pathloom.operators import analytics as A
-from pathloom.operators.engine import engine, evaluate, evaluate_dense, instances, operand_stats, run_uncached, simulated_cost, traversal
-from pathloom.operators.matrix import added, degree_profile, multiply, operations, summary, transposed
-from pathloom.plans.cost import CountSketch, MatrixStats, dense_cost, fit_coefficients, sketch_product, uniform_density, uniform_operations, uniform_product
+from pathloom.operators.backends import operand_stats
+from pathloom.operators.engine import chain, engine, evaluate, evaluate_dense, evaluate_operands, instances, lower, run_uncached, traversal
+from pathloom.operators.matrix import added, degree_profile, multiply, multiply_skewed, operations, sketch_entries, summary, transposed
+from pathloom.plans.cost import CountSketch, MatrixStats, dense_cost, sketched, uniform_density, uniform_operations, uniform_product
 from pathloom.plans.overlap import SubpathIndex
 from pathloom.plans.planner import ChainPlanner, all_orders, order_cost
 from pathloom.plans.policies import LruPolicy, SizeCostPolicy, dependency_policy
-from pathloom.plans.query import parse_path
-from pathloom.sources.networks import activity, commerce, corpus, vectors
-from pathloom.sources.storage import read_table
-from pathloom.streaming.log import overlap_counts
-
-# SQL of steps -------------------------------------------------------------------------------------
-
-#: Each step's pairs in SQL; named types are numbered by the order of their names.
-STEP_SQL = {
-    "CO": "SELECT DISTINCT o_custkey AS s, o_orderkey AS d FROM orders",
-    "OP": "SELECT DISTINCT l_orderkey AS s, l_partkey AS d FROM lineitem",
-    "OS": "SELECT DISTINCT l_orderkey AS s, l_suppkey AS d FROM lineitem",
-    "PS": "SELECT DISTINCT l_partkey AS s, l_suppkey AS d FROM lineitem",
-    "CN": "SELECT CAST(c_custkey AS BIGINT) AS s, CAST(c_nationkey AS BIGINT) AS d FROM customer",
-    "SN": "SELECT CAST(s_suppkey AS BIGINT) AS s, CAST(s_nationkey AS BIGINT) AS d FROM supplier",
-    "NR": "SELECT CAST(n_nationkey AS BIGINT) AS s, CAST(n_regionkey AS BIGINT) AS d FROM nation",
-    "PB": "SELECT p_partkey AS s, CAST(DENSE_RANK() OVER (ORDER BY p_brand) AS BIGINT) AS d FROM part",
-    "PY": "SELECT p_partkey AS s, CAST(DENSE_RANK() OVER (ORDER BY p_type) AS BIGINT) AS d FROM part",
-    "CG": "SELECT c_custkey AS s, CAST(DENSE_RANK() OVER (ORDER BY c_mktsegment) AS BIGINT) AS d FROM customer",
-    "OM": "SELECT o_orderkey AS s, CAST(DENSE_RANK() OVER (ORDER BY DATE_TRUNC('month', o_orderdate)) AS BIGINT) AS d FROM orders",
-    "UE": "SELECT user_id AS s, event_id AS d FROM events",
-    "ET": "SELECT event_id AS s, CAST(DENSE_RANK() OVER (ORDER BY event_type) AS BIGINT) AS d FROM events",
-    "EK": "SELECT event_id AS s, CAST(json_extract(props, '$.k') AS BIGINT) AS d FROM events",
-    "ED": "SELECT event_id AS s, CAST(DENSE_RANK() OVER (ORDER BY DATE_TRUNC('day', ts)) AS BIGINT) AS d FROM events",
-    "DL": "SELECT doc_id AS s, CAST(DENSE_RANK() OVER (ORDER BY lang) AS BIGINT) AS d FROM documents",
-    "DZ": "SELECT doc_id AS s, CAST(DENSE_RANK() OVER (ORDER BY source) AS BIGINT) AS d FROM documents",
-    "DQ": "SELECT DISTINCT doc_id AS s, CAST(quality AS BIGINT) AS d FROM labels",
-    "DX": "SELECT DISTINCT doc_id AS s, CAST(toxic AS BIGINT) AS d FROM labels",
-    "VA": "SELECT vec_id AS s, CAST(label AS BIGINT) AS d FROM embeddings",
-    "next": "SELECT s, d FROM (SELECT o_orderkey AS s, LEAD(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS d FROM orders) z WHERE d IS NOT NULL",
-}
-#: Each type's keys and properties in SQL.
-NODE_SQL = {
-    "C": "SELECT c_custkey AS id, * FROM customer",
-    "O": "SELECT o_orderkey AS id, * FROM orders",
-    "P": "SELECT p_partkey AS id, * FROM part",
-    "S": "SELECT s_suppkey AS id, * FROM supplier",
-    "B": "SELECT DISTINCT CAST(DENSE_RANK() OVER (ORDER BY p_brand) AS BIGINT) AS id, p_brand FROM part",
-    "N": "SELECT CAST(n_nationkey AS BIGINT) AS id, * FROM nation",
-}
-
-
-def step_sql(src: str, dst: str, name: str | None = None) -> str:
-    if name:
-        return STEP_SQL[name]
-    if src + dst in STEP_SQL:
-        return STEP_SQL[src + dst]
-    return f"SELECT d AS s, s AS d FROM ({STEP_SQL[dst + src]}) r"
-
-
-def path_sql(path: str, constraints: dict[int, str] | None = None, pairs: bool = True) -> str:
-    """SQL of a metapath's result: all steps joined, paths counted."""
-    q = parse_path(path, None, constraints)
-    joins = [f"({step_sql(q.types[i], q.types[i + 1], q.edges[i])}) e{i}" for i in range(len(q) - 1)]
-    on = [f"e{i}.d = e{i + 1}.s" for i in range(len(q) - 2)]
-    for p, c in q.constraints:
-        left, eq, right = c.partition("=")
-        if eq and left.strip() == q.types[p]:
-            c = f"id = {right.strip()}"
-        column = f"e{p}.s" if p < len(q) - 1 else f"e{p - 1}.d"
-        on.append(f"{column} IN (SELECT id FROM ({NODE_SQL[q.types[p]]}) x WHERE {c})")
-    where = f" WHERE {' AND '.join(on)}" if on else ""
-    if not pairs:
-        return f"FROM {', '.join(joins)}{where}"
-    return f"SELECT e0.s AS src, e{len(q) - 2}.d AS dst, CAST(COUNT(*) AS BIGINT) AS n FROM {', '.join(joins)}{where} GROUP BY 1, 2"
-
-
-def summary_sql(path: str, constraints: dict[int, str] | None = None) -> str:
-    return f"SELECT CAST(COUNT(*) AS BIGINT) AS n_pairs, CAST(COALESCE(SUM(n), 0) AS BIGINT) AS sum_n, CAST(COALESCE(MAX(n), 0) AS BIGINT) AS max_n FROM ({path_sql(path, constraints)}) r"
-
-
-FIXED_30_SQL = " UNION ALL ".join(f"SELECT {i} AS pos, * FROM ({summary_sql(path, {at: c})}) q{i}" for i, (_, path, at, c) in enumerate(FIXED_30))
-
-# registry -----------------------------------------------------------------------------------------
-
-Query = Callable[[SparkSession, str], DataFrame]
-QUERIES: dict[str, Query] = {}
-SQL: dict[str, str] = {}
-
-
-def register(name: str, sql: str | None = None) -> Callable[[Query], Query]:
-    def add(f: Query) -> Query:
-        QUERIES[name] = f
-        if sql:
-            SQL[name] = sql
-        return f
-
-    return add
-
-
-def _rows(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
-    return spark.createDataFrame(rows, schema)
-
-
-def values_sql(rows: list[tuple], names: str) -> str:
-    """SQL of a constant table, with the numbers' types as Spark has them."""
-
-    def one(v) -> str:
-        if v is None:
-            return "NULL"
-        if isinstance(v, bool):
-            return str(v).upper()
-        if isinstance(v, int):
-            return f"CAST({v} AS BIGINT)"
-        if isinstance(v, float):
-            return f"CAST({v!r} AS DOUBLE)"
-        return "'" + v.replace("'", "''") + "'"
-
-    columns = names.split()
-    parts = ["SELECT " + ", ".join(f"{one(v)} AS {c}" for v, c in zip(r, columns, strict=True)) for r in rows]
-    return " UNION ALL ".join(parts)
+from pathloom.plans.query import key_text, parse_path
+from pathloom.registry import FIXED_30_SQL, QUERIES, SQL, STEP_SQL, Query, path_sql, register, summary_sql, values_sql
+from pathloom.registry import rows_df as _rows
+from pathloom.sources.networks import EdgeType, TypedNetwork, activity, commerce, corpus, dictionary, vectors
+from pathloom.sources.storage import bounded_column, fresh_path, read_edges, read_table, write_results
+from pathloom.streaming.log import completed, overlap_counts, overlap_states, query_log_stream
 
 
 def _path_query(net: Callable, path: str, constraints: dict[int, str] | None = None, planner: ChainPlanner | None = None) -> Query:
@@ -210,64 +106,58 @@ for _kind in ("left", "right", "dense", "sparse"):
     register(f"plan_{_kind}", path_sql("G-C-O-P-B", {2: "o_orderdate>=DATE'2001-01-01'"}))(_path_query(commerce, "G-C-O-P-B", {2: "o_orderdate>=DATE'2001-01-01'"}, ChainPlanner(_kind)))
 
 
-def _sketches(net, q) -> list[CountSketch]:
-    """Entries per node of each step, for networks whose node counts fit on the driver; the costlier estimator.
-
-    A predicate's share scales them, as it does the uniform estimate."""
-    import numpy as np
+def _sketched_stats(net, q) -> list:
+    """Sizes of a query's steps with entries per node, collected once per step: the costlier estimator, for networks whose node counts fit on the driver.
 
+    A predicate's share scales the counts, as it does the uniform estimate."""
     out = []
     for i, stats in enumerate(operand_stats(net, q)):
-        key = ("sketch", q.types[i], q.types[i + 1], q.edges[i])
-        if key not in net.counted:
-            x = net.adjacency(q.types[i], q.types[i + 1], q.edges[i])
-            sides = []
-            for side, t in (("src", q.types[i]), ("dst", q.types[i + 1])):
+        sides = []
+        for side, t in (("src", q.types[i]), ("dst", q.types[i + 1])):
+            key = ("sketch", q.types[i], q.types[i + 1], q.edges[i], side)
+            if key not in net.counted:
+                x = net.adjacency(q.types[i], q.types[i + 1], q.edges[i])
                 ids = net.nodes[t].df.select("id")
-                counts = ids.join(x.groupBy(F.col(side).alias("id")).count(), "id", "left").orderBy("id").select(F.coalesce("count", F.lit(0)).alias("c"))
-                sides.append(np.array([r["c"] for r in counts.collect()], float))
-            net.counted[key] = CountSketch(*sides)
-        x = net.counted[key]
-        share = stats.nnz / x.nnz if x.nnz else 0.0
-        out.append(CountSketch(x.rows * share, x.cols * share))
+                counts = ids.join(x.groupBy(F.col(side).alias("id")).count(), "id", "left").orderBy("id").select(F.coalesce("count", F.lit(0)).cast("double").alias("c"))
+                net.counted[key] = bounded_column(counts)
+            sides.append(net.counted[key])
+        whole = sides[0].sum()
+        share = stats.nnz / whole if whole else 0.0
+        out.append(MatrixStats(stats.rows, stats.cols, stats.nnz, CountSketch(sides[0] * share, sides[1] * share)))
     return out
 
 
-def sketch_planner(net, q) -> ChainPlanner:
-    """A planner that propagates counts instead of uniform densities, for one query."""
-    sketches = {(s.rows, s.cols, s.nnz): k for s, k in zip(operand_stats(net, q), _sketches(net, q), strict=True)}
-
-    def product(x: MatrixStats, y: MatrixStats) -> MatrixStats:
-        z = sketch_product(sketches[x.rows, x.cols, x.nnz], sketches[y.rows, y.cols, y.nnz])
-        out = MatrixStats(x.rows, y.cols, z.nnz)
-        sketches[out.rows, out.cols, out.nnz] = z
-        return out
-
-    return ChainPlanner("sparse", product=product)
-
-
 @register("plan_sketch", path_sql("N-C-O-P"))
 def plan_sketch(spark: SparkSession, sf: str) -> DataFrame:
     n = commerce(spark, sf)
     q = parse_path("N-C-O-P", n)
-    return evaluate(n, q, sketch_planner(n, q))
+    plan = ChainPlanner("sparse", product=sketched).plan(_sketched_stats(n, q))
+    return lower(n, q, plan)
 
 
-@register("plan_agreement")
-def plan_agreement(spark: SparkSession, sf: str) -> DataFrame:
-    """network, queries, agreeing, and seconds of planning: how often uniform and count-sketch densities choose the same order."""
-    rows = []
-    for net in (commerce(spark, sf), activity(spark, sf)):
-        found = [parse_path(p, None, {a: c}) for _, p, a, c in generate_workload(net, 200, seed=3)]
-        for q in found:
-            _sketches(net, q)  # counts are taken before planning is timed
-        orders, took = {}, {}
-        for name, planner in (("uniform", lambda net, q: ChainPlanner()), ("sketch", sketch_planner)):
-            t = time.perf_counter()
-            orders[name] = [planner(net, q).plan(operand_stats(net, q)).order() for q in found]
-            took[name] = time.perf_counter() - t
-        rows.append((net.name, len(found), sum(map(str.__eq__, orders["uniform"], orders["sketch"])), took["uniform"], took["sketch"]))
-    return _rows(spark, rows, "network string, queries int, agreeing int, uniform_seconds double, sketch_seconds double")
+for _name, _f in (("operand", evaluate_operands), ("folded", evaluate)):
+
+    def _selected(spark: SparkSession, sf: str, f=_f) -> DataFrame:
+        n = commerce(spark, sf)
+        return f(n, parse_path("G-C-O-P-B", n, {1: "c_acctbal>5000", 2: "o_orderdate>=DATE'2001-01-01'"}))
+
+    register(f"plan_sel_{_name}", path_sql("G-C-O-P-B", {1: "c_acctbal>5000", 2: "o_orderdate>=DATE'2001-01-01'"}))(_selected)
+
+_PLACES = "(SELECT COUNT(*) FROM customer) AS c, (SELECT COUNT(*) FROM orders) AS o, (SELECT COUNT(*) FROM part) AS p"
+
+
+@register(
+    "selection_placement",
+    f"SELECT placed, CAST(ops AS BIGINT) AS ops, ops = MIN(ops) OVER () AS chosen FROM (SELECT 'left' AS placed, c * o * o + c * o * p AS ops FROM (SELECT {_PLACES}) t UNION ALL SELECT 'right' AS placed, o * o * p + c * o * p AS ops FROM (SELECT {_PLACES}) t) x",
+)
+def selection_placement(spark: SparkSession, sf: str) -> DataFrame:
+    """Dense operations of C-O-P with a predicate on O, by the side to which the selection is multiplied, and which one the planner chooses."""
+    n = commerce(spark, sf)
+    _, stats = chain(n, parse_path("C-O-P", n, {1: "o_orderdate>=DATE'2001-01-01'"}))
+    planner = ChainPlanner("dense")
+    order = planner.plan(stats).order()
+    found = [(name, int(order_cost(o, stats, planner)[0]), order == text) for name, o, text in (("left", (((0, 1), (1, 2)), (2, 3)), "((01 12) 23)"), ("right", ((0, 1), ((1, 2), (2, 3))), "(01 (12 23))"))]
+    return _rows(spark, found, "placed string, ops long, chosen boolean")
 
 
 @register("dense_ops_example", values_sql([("left", 160), ("right", 135)], "plan ops"))
@@ -303,7 +193,7 @@ _COUNTS = "(SELECT COUNT(*) FROM customer) AS c, (SELECT COUNT(*) FROM orders) A
 @register("density_uniform", f"SELECT ROUND(1 - POWER(1 - (CAST(co AS DOUBLE) / (c * o)) * (CAST(op AS DOUBLE) / (o * p)), o), 9) AS density, ROUND(CAST(co AS DOUBLE) * op / o, 3) AS n_op FROM (SELECT {_COUNTS}) t")
 def density_uniform(spark: SparkSession, sf: str) -> DataFrame:
     n = commerce(spark, sf)
-    x, y = operand_stats(n, parse_path("C-O-P", n))
+    x, y = n.step_stats("C", "O", exact=True), n.step_stats("O", "P", exact=True)
     return _rows(spark, [(round(uniform_density(x.density, y.density, x.cols), 9), round(uniform_operations(x, y), 3))], "density double, n_op double")
 
 
@@ -312,11 +202,62 @@ def degree_hist(spark: SparkSession, sf: str) -> DataFrame:
     return degree_profile(commerce(spark, sf).adjacency("C", "O"))
 
 
-@register("cost_fit", values_sql([(1.5, 0.25, 3.0)], "alpha beta gamma"))
-def cost_fit(spark: SparkSession, sf: str) -> DataFrame:
-    samples = [(a, b, c, 1.5 * a + 0.25 * b + 3.0 * c) for a, b, c in ((10, 3, 5), (2, 80, 7), (9, 1, 40), (33, 5, 6), (7, 7, 7))]
-    c = fit_coefficients(samples)
-    return _rows(spark, [(round(c.alpha, 6), round(c.beta, 6), round(c.gamma, 6))], "alpha double, beta double, gamma double")
+def _estimates_sql(a: str, b: str, m: str, n: str, k: str) -> str:
+    """One product's exact, uniform and sketched entries and scalar products, from its steps' SQL and its node tables."""
+    x, y = (STEP_SQL[t] if t in STEP_SQL else f"SELECT d AS s, s AS d FROM ({STEP_SQL[t[::-1]]}) r" for t in (a, b))
+    return f"""
+SELECT '{a[0]}-{a[1]}-{b[1]}' AS product, nnz, ROUND(m * k * (1 - POWER(1 - (nx / (m * n)) * (ny / (n * k)), n)), 1) AS uniform_nnz,
+  ROUND(CASE WHEN rx <= 1 OR cy <= 1 THEN met ELSE cells * (1 - EXP(empty)) END, 1) AS sketch_nnz, n_op, ROUND(nx * ny / n, 1) AS uniform_n_op
+FROM (SELECT CAST((SELECT COUNT(*) FROM {m}) AS DOUBLE) AS m, CAST((SELECT COUNT(*) FROM {n}) AS DOUBLE) AS n, CAST((SELECT COUNT(*) FROM {k}) AS DOUBLE) AS k,
+  CAST((SELECT COUNT(*) FROM ({x}) u) AS DOUBLE) AS nx, CAST((SELECT COUNT(*) FROM ({y}) u) AS DOUBLE) AS ny,
+  (SELECT CAST(COUNT(*) AS BIGINT) FROM (SELECT DISTINCT u.s, v.d FROM ({x}) u JOIN ({y}) v ON u.d = v.s) w) AS nnz,
+  (SELECT MAX(c) FROM (SELECT COUNT(*) AS c FROM ({x}) u GROUP BY s) w) AS rx, (SELECT MAX(c) FROM (SELECT COUNT(*) AS c FROM ({y}) u GROUP BY d) w) AS cy) sizes,
+ (SELECT CAST(SUM(i * o) AS BIGINT) AS n_op, CAST(SUM(i * o) AS DOUBLE) AS met, SUM(LN(1 - CAST(i * o AS DOUBLE) / cells)) AS empty, MAX(cells) AS cells
+  FROM (SELECT d AS k, COUNT(*) AS i FROM ({x}) u GROUP BY 1) p JOIN (SELECT s AS k, COUNT(*) AS o FROM ({y}) u GROUP BY 1) q ON p.k = q.k,
+  (SELECT CAST((SELECT COUNT(DISTINCT s) FROM ({x}) u) AS DOUBLE) * (SELECT COUNT(DISTINCT d) FROM ({y}) u) AS cells) z) sums"""
+
+
+_ESTIMATED = (("CO", "OP", "customer", "orders", "part"), ("PO", "OP", "part", "orders", "part"), ("SO", "OS", "supplier", "orders", "supplier"), ("OP", "PS", "orders", "part", "supplier"))
+
+
+@register("estimate_errors", " UNION ALL ".join(f"SELECT * FROM ({_estimates_sql(*p)}) e{i}" for i, p in enumerate(_ESTIMATED)))
+def estimate_errors(spark: SparkSession, sf: str) -> DataFrame:
+    """Entries and scalar products of some products against the uniform and the sketched estimate."""
+    n, parts = commerce(spark, sf), []
+    for a, b, *_ in _ESTIMATED:
+        x, y = n.adjacency(*a), n.adjacency(*b)
+        sx, sy = n.step_stats(*a, exact=True), n.step_stats(*b, exact=True)
+        exact = multiply(x, y).agg(F.count("*").alias("nnz"))
+        guess = _rows(spark, [(f"{a[0]}-{a[1]}-{b[1]}", round(uniform_product(sx, sy).nnz, 1), round(uniform_operations(sx, sy), 1))], "product string, uniform_nnz double, uniform_n_op double")
+        parts.append(guess.join(exact).join(operations(x, y)).join(sketch_entries(x, y).select(F.round("sketch_nnz", 1).alias("sketch_nnz"))))
+    return reduce(DataFrame.unionByName, parts)
+
+
+@register("density_sketch", f"SELECT ROUND(sketch_nnz, 0) AS sketch_nnz FROM ({_estimates_sql(*_ESTIMATED[1])}) e")
+def density_sketch(spark: SparkSession, sf: str) -> DataFrame:
+    n = commerce(spark, sf)
+    return sketch_entries(n.adjacency("P", "O"), n.adjacency("O", "P")).select(F.round("sketch_nnz", 0).alias("sketch_nnz"))
+
+
+@register("nop_uniform", f"SELECT uniform_n_op AS n_op FROM ({_estimates_sql(*_ESTIMATED[0])}) e")
+def nop_uniform(spark: SparkSession, sf: str) -> DataFrame:
+    n = commerce(spark, sf)
+    return _rows(spark, [(round(uniform_operations(n.step_stats("C", "O", exact=True), n.step_stats("O", "P", exact=True)), 1),)], "n_op double")
+
+
+@register("multiply_skewed", path_sql("S-O-S"))
+def multiply_skewed_query(spark: SparkSession, sf: str) -> DataFrame:
+    """A product whose hot middle nodes are spread over cells."""
+    n = commerce(spark, sf)
+    return multiply_skewed(n.adjacency("S", "O"), n.adjacency("O", "S"), heavy=16)
+
+
+@register("multiply_dealt", path_sql("P-S-P"))
+def multiply_dealt(spark: SparkSession, sf: str) -> DataFrame:
+    """A product of few middle nodes, dealt by its scalar products."""
+    n = commerce(spark, sf)
+    x, y = n.adjacency("P", "S"), n.adjacency("S", "P")
+    return multiply(x, y, operations=max(1e8, uniform_operations(n.step_stats("P", "S"), n.step_stats("S", "P"))), middle=n.size("S"))
 
 
 # engines ------------------------------------------------------------------------------------------
@@ -350,65 +291,6 @@ def engine_traversal_pairs(spark: SparkSession, sf: str) -> DataFrame:
     return traversal(n, parse_path("N-C-O-P", n))
 
 
-@register("engine_metrics")
-def engine_metrics(spark: SparkSession, sf: str) -> DataFrame:
-    """What each caching engine did over the fixed workload: products, stored spans read, offers, evictions, seconds."""
-    parts = []
-    for name in ("final_cache", "reference"):
-        e = engine(commerce(spark, sf, keep=True), name, capacity=4 << 20)
-        e.run(fixed_30(e.net))
-        parts.append(e.metrics_df())
-    return reduce(DataFrame.unionByName, parts)
-
-
-#: Engines of the sweeps over caching, and over replacement.
-_CACHING, _REPLACING = ("sparse", "final_cache", "all_products", "reference"), ("tree_lru", "tree_size_cost", "reference")
-#: Queries per workload, and workloads averaged, in sweeps.
-_LONG, _REPEATS = 500, 3
-
-
-def _sweep(engines: tuple[str, ...], settings: list[tuple[str, float]], of: Callable) -> Query:
-    """setting, value, engine, cost, products, cached_spans, evictions, summed over workloads; of(net, value, seed) gives (net, queries, capacity)."""
-
-    def run(spark: SparkSession, sf: str) -> DataFrame:
-        net, rows = commerce(spark, sf), []
-        for setting, value in settings:
-            loads = [of(net, value, seed) for seed in range(_REPEATS)]
-            for name in engines:
-                found = [simulated_cost(*load[:2], name, load[2]) for load in loads]
-                rows.append((setting, float(value), name, *(type(f[0])(sum(f)) for f in zip(*found, strict=True))))
-        return _rows(spark, rows, "setting string, value double, engine string, cost double, products long, cached_spans long, evictions long")
-
-    return run
-
-
-def _matrix_bytes(net) -> float:
-    return sum(net.step_stats(e.src, e.dst, e.name if e.name == "next" else None).bytes for e in net.edges)
-
-
-def _load(net, value: float = 3.0, seed: int = 0, ratio: float = 3.0, **options):
-    rows = generate_workload(net, _LONG, seed=seed, **options)
-    return net, [parse_path(p, None, {a: c}) for _, p, a, c in rows], ratio * _matrix_bytes(net)
-
-
-def _split_load(net, percent: float, seed: int):
-    key = ("split", percent)
-    if key not in net.counted:
-        net.counted[key] = net.core_split("O", int(percent)) if percent < 100 else net
-    return _load(net.counted[key], seed=seed)
-
-
-_SWEEPS = {
-    "cache_size": ([("cache_size", r) for r in (0.75, 1.5, 3.0, 6.0, 12.0)], lambda net, v, seed: _load(net, seed=seed, ratio=v)),
-    "data_size": ([("data_size", r) for r in (60, 80, 100)], _split_load),
-    "restart": ([("restart", r) for r in (0.04, 0.06, 0.08, 0.10, 0.12)], lambda net, v, seed: _load(net, seed=seed, restart_p=v)),
-    "zipf": ([("zipf", r) for r in (0, 1.2, 1.6, 2.0)], lambda net, v, seed: _load(net, seed=seed, dist="zipf" if v else "uniform", alpha=v)),
-}
-for _name, (_settings, _of) in _SWEEPS.items():
-    register(f"sweep_{_name}")(_sweep(_CACHING, _settings, _of))
-    register(f"sweep_policy_{_name}")(_sweep(_REPLACING, _settings, _of))
-
-
 # overlaps and caches ------------------------------------------------------------------------------
 
 _GOLDEN = ("G-C-O-P", "N-C-O-P-B", "C-O-P-Y", "C-O-P-Y-P", "G-C-O-P")
@@ -422,13 +304,13 @@ def overlap_nodes(spark: SparkSession, sf: str) -> DataFrame:
     return _rows(spark, [("-".join(path), x.f) for path, x in index.internal()], "sub_path string, f long")
 
 
-@register("overlap_space", values_sql([(22, 8, 43)], "leaves internal bound"))
+@register("overlap_space", values_sql([(22, 8, 43, 2640)], "leaves internal bound bytes"))
 def overlap_space(spark: SparkSession, sf: str) -> DataFrame:
     index = SubpathIndex()
     for p in _GOLDEN:
         index.insert(parse_path(p))
     r = index.space_report()
-    return _rows(spark, [(r["leaves"], r["internal"], r["bound"])], "leaves long, internal long, bound long")
+    return _rows(spark, [(r["leaves"], r["internal"], r["bound"], r["bytes"])], "leaves long, internal long, bound long, bytes long")
 
 
 @register("overlap_freq", values_sql([("C-O", 5), ("C-O-P", 5), ("C-O-P-Y", 2), ("G-C", 2), ("G-C-O", 2), ("G-C-O-P", 2), ("O-P", 5), ("O-P-Y", 2), ("P-Y", 2)], "sub_path f"))
@@ -436,7 +318,7 @@ def overlap_freq(spark: SparkSession, sf: str) -> DataFrame:
     return mine_overlaps(workload_df(spark, [(0, p, 0, "") for p in _GOLDEN]))
 
 
-_FIXED_SQL = values_sql([(p, a, c) for _, p, a, c in FIXED_30], "path place predicate")
+_FIXED_SQL = values_sql([(q.path, q.constraints[0][0], q.constraints[0][1]) for q in fixed_30()], "path place predicate")
 
 
 @register("overlap_constrained", f"SELECT 'C-O-P' AS sub_path, CASE WHEN place BETWEEN k AND k + 2 THEN CAST(place - k AS VARCHAR) || ':' || predicate ELSE '' END AS ckey, CAST(COUNT(*) AS BIGINT) AS f FROM (SELECT *, CAST((STRPOS(path, 'C-O-P') - 1) / 2 AS BIGINT) AS k FROM ({_FIXED_SQL}) w WHERE path LIKE '%C-O-P%') x GROUP BY 2")
@@ -445,7 +327,7 @@ def overlap_constrained(spark: SparkSession, sf: str) -> DataFrame:
     for q in fixed_30():
         index.insert(q)
     node = index.find(("C", "O", "P"))
-    rows = sorted((("-".join(("C", "O", "P")), k, f) for k, f in node.keys.items()))
+    rows = sorted(("C-O-P", key_text(k), f) for k, f in node.keys.items())
     return _rows(spark, rows, "sub_path string, ckey string, f long")
 
 
@@ -463,7 +345,7 @@ def _trace(policy) -> list[tuple]:
 _TRACES = {
     "lru": (lambda: LruPolicy(10), ["", "", "COP", "COPY", "OPS", "COP", "COPY"], []),
     "size_cost": (lambda: SizeCostPolicy(10), ["", "", "COPY", "", "OPS", "COP", "COPY"], [4]),
-    "dependency": (lambda: dependency_policy(10, lambda a, b: b != a and b.startswith(a)), ["", "", "COPY", "", "OPS", "COP", "OPS"], [4]),
+    "dependency": (lambda: dependency_policy(10, lambda k: [k[:n] for n in range(1, len(k))]), ["", "", "COPY", "", "OPS", "COP", "OPS"], [4]),
 }
 for _name, (_make, _evicted, _hits) in _TRACES.items():
     _expected = [(i, k, i in _hits, e) for i, ((k, _, _), e) in enumerate(zip(_REQUESTS, _evicted, strict=True), 1)]
@@ -486,16 +368,6 @@ for _length in (3, 4, 5):
     register(f"workload_schema_paths_{_length}", f"SELECT {_text} AS path FROM {_joins} WHERE {_on}")(lambda spark, sf, length=_length: commerce(spark, sf).schema_paths(length))
 
 
-def _generated(dist: str) -> Query:
-    def run(spark: SparkSession, sf: str) -> DataFrame:
-        return workload_df(spark, generate_workload(commerce(spark, sf), 100, dist=dist, alpha=1.6)).select("pos", "session", "path", F.to_json("constraints").alias("constraints"))
-
-    return run
-
-
-register("workload_sessions")(_generated("uniform"))
-register("workload_zipf")(_generated("zipf"))
-
 for _percent in (60, 80, 100):
 
     def _split(spark: SparkSession, sf: str, percent: int = _percent) -> DataFrame:
@@ -621,39 +493,7 @@ def json_props(spark: SparkSession, sf: str) -> DataFrame:
     return read_table(spark, sf, "events").groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count("*").alias("n"))
 
 
-# measures -----------------------------------------------------------------------------------------
-
-_RUNS = [("a", i, float((i * 7) % 11)) for i in range(12)] + [("b", i, float((i * 5) % 13)) for i in range(12)]
-_RUNS_SQL = values_sql(_RUNS, "engine pos exec_seconds")
-
-
-def _runs(spark: SparkSession) -> DataFrame:
-    return _rows(spark, _RUNS, "engine string, pos long, exec_seconds double")
-
-
-@register("metrics_cumulative", f"SELECT *, SUM(exec_seconds) OVER (PARTITION BY engine ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS running FROM ({_RUNS_SQL}) m")
-def metrics_cumulative(spark: SparkSession, sf: str) -> DataFrame:
-    return cumulative(_runs(spark))
-
-
-@register("metrics_quartiles", f"SELECT engine, QUANTILE_CONT(exec_seconds, 0.25) AS q1, QUANTILE_CONT(exec_seconds, 0.5) AS q2, QUANTILE_CONT(exec_seconds, 0.75) AS q3 FROM ({_RUNS_SQL}) m GROUP BY 1")
-def metrics_quartiles(spark: SparkSession, sf: str) -> DataFrame:
-    return quartiles(_runs(spark))
-
-
-@register("metrics_improvement", f"WITH m AS (SELECT engine, AVG(exec_seconds) AS mean FROM ({_RUNS_SQL}) x GROUP BY 1) SELECT engine, mean, 1 - mean / (SELECT mean FROM m WHERE engine = 'a') AS improvement FROM m")
-def metrics_improvement(spark: SparkSession, sf: str) -> DataFrame:
-    return improvement(_runs(spark), "a")
-
-
-@register("metrics_rollup", f"SELECT engine, CAST(pos % 2 AS BIGINT) AS half, SUM(exec_seconds) AS total FROM ({_RUNS_SQL}) m GROUP BY ROLLUP (engine, pos % 2)")
-def metrics_rollup(spark: SparkSession, sf: str) -> DataFrame:
-    return _runs(spark).withColumn("half", F.col("pos") % 2).rollup("engine", "half").agg(F.sum("exec_seconds").alias("total"))
-
-
-@register("metrics_cube", f"SELECT engine, CAST(pos % 2 AS BIGINT) AS half, SUM(exec_seconds) AS total FROM ({_RUNS_SQL}) m GROUP BY CUBE (engine, pos % 2)")
-def metrics_cube(spark: SparkSession, sf: str) -> DataFrame:
-    return _runs(spark).withColumn("half", F.col("pos") % 2).cube("engine", "half").agg(F.sum("exec_seconds").alias("total"))
+# streams ------------------------------------------------------------------------------------------
 
 
 def _log(spark: SparkSession, sf: str) -> DataFrame:
@@ -680,6 +520,163 @@ def stream_session_windows(spark: SparkSession, sf: str) -> DataFrame:
     return overlap_counts(_log(spark, sf), "", gap="10 minutes").withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
+_TUMBLING_SQL = SQL["stream_tumbling"]
+
+
+@register("stream_batch_equivalence", _TUMBLING_SQL)
+def stream_batch_equivalence(spark: SparkSession, sf: str) -> DataFrame:
+    """The tumbling counts from a stream that has read all there is."""
+    found = completed(overlap_counts(query_log_stream(spark, sf), "1 day"))
+    return found.withColumn("start", F.col("start").cast("timestamp_ntz"))
+
+
+@register("stream_late", _TUMBLING_SQL)
+def stream_late(spark: SparkSession, sf: str) -> DataFrame:
+    """The tumbling counts of a stream that gets every event again a year too late: the watermark drops those."""
+    base = fresh_path(spark, "late")
+    log = _log(spark, sf)
+    log.coalesce(1).write.parquet(f"{base}/log")
+    counts = overlap_counts(spark.readStream.schema(log.schema).parquet(f"{base}/log"), "1 day")
+
+    def batch(df: DataFrame, number: int) -> None:
+        df.withColumn("batch", F.lit(number)).write.mode("overwrite").parquet(f"{base}/out/part{number}")
+
+    run = counts.writeStream.outputMode("update").foreachBatch(batch).option("checkpointLocation", f"{base}/state").start()
+    try:
+        run.processAllAvailable()
+        log.withColumn("ts", F.col("ts") - F.expr("INTERVAL 365 DAYS")).coalesce(1).write.mode("append").parquet(f"{base}/log")
+        run.processAllAvailable()
+    finally:
+        run.stop()
+    out = spark.read.option("recursiveFileLookup", True).parquet(f"{base}/out")
+    latest = out.groupBy("sub_path", "start").agg(F.max_by("f", "batch").alias("f"))
+    return latest.withColumn("start", F.col("start").cast("timestamp_ntz"))
+
+
+@register("stream_states", f"SELECT sub_path, CAST(COUNT(*) AS BIGINT) AS seen, ROUND(SUM(POWER(0.5, (EPOCH(top) - EPOCH(ts)) / 86400.0)), 6) AS f FROM (SELECT *, MAX(ts) OVER (PARTITION BY sub_path) AS top FROM ({_PAIRS_SQL}) q) x GROUP BY 1")
+def stream_states(spark: SparkSession, sf: str) -> DataFrame:
+    """Decayed frequencies kept as a stream's state."""
+    out = completed(overlap_states(query_log_stream(spark, sf)), "update")
+    return out.groupBy("sub_path").agg(F.max_by("seen", "batch").alias("seen"), F.round(F.max_by("f", "batch"), 6).alias("f"))
+
+
+# more operators on results ------------------------------------------------------------------------
+
+
+@register("pairs_semi", f"SELECT c_custkey AS id FROM customer WHERE c_custkey IN (SELECT src FROM ({path_sql('C-O-P', {2: 'p_size > 45'})}) r)")
+def pairs_semi(spark: SparkSession, sf: str) -> DataFrame:
+    """Customers from whom some path starts."""
+    n = commerce(spark, sf)
+    return A.reached(n, parse_path("C-O-P", n, {2: "p_size > 45"}))
+
+
+@register("approx_distinct", f"SELECT src, ABS(COUNT(DISTINCT dst) - COUNT(DISTINCT dst)) <= 1 AS close FROM ({path_sql('B-P-S')}) r GROUP BY 1")
+def approx_distinct(spark: SparkSession, sf: str) -> DataFrame:
+    """Is the approximate number of nodes reached within a tenth of the exact one."""
+    pairs = _pairs(spark, sf, "B-P-S")
+    return pairs.groupBy("src").agg((F.abs(F.approx_count_distinct("dst", 0.02) - F.count_distinct("dst")) <= 0.1 * F.count_distinct("dst")).alias("close"))
+
+
+@register("topk_global", f"SELECT src, dst, n FROM ({path_sql('C-O-P-B')}) r ORDER BY n DESC, src, dst LIMIT 25")
+def topk_global(spark: SparkSession, sf: str) -> DataFrame:
+    return A.top_k(_pairs(spark, sf, "C-O-P-B"), 25)
+
+
+@register("semiring_bottleneck", "SELECT o_custkey AS src, l_partkey AS dst, CAST(MAX(LEAST(x, q)) AS BIGINT) AS n FROM (SELECT o_custkey, o_orderkey, MAX(CAST(ROUND(o_totalprice) AS BIGINT)) AS x FROM orders GROUP BY 1, 2) o JOIN (SELECT l_orderkey, l_partkey, MAX(CAST(l_quantity AS BIGINT) * 1000) AS q FROM lineitem GROUP BY 1, 2) l ON o_orderkey = l_orderkey GROUP BY 1, 2")
+def semiring_bottleneck(spark: SparkSession, sf: str) -> DataFrame:
+    """The widest path between customers and parts, its width the least of its edges' weights."""
+    o, li = read_table(spark, sf, "orders"), read_table(spark, sf, "lineitem")
+    x = o.groupBy(F.col("o_custkey").alias("src"), F.col("o_orderkey").alias("dst")).agg(F.max(F.round("o_totalprice").cast("long")).alias("n"))
+    y = li.groupBy(F.col("l_orderkey").alias("src"), F.col("l_partkey").alias("dst")).agg(F.max(F.col("l_quantity").cast("long") * 1000).alias("n"))
+    return multiply(x, y, "bottleneck")
+
+
+for _hint in ("merge", "shuffle_hash", "broadcast"):
+
+    def _hinted(spark: SparkSession, sf: str, hint: str = _hint) -> DataFrame:
+        """A product whose join is of a named kind."""
+        n = commerce(spark, sf)
+        return multiply(n.adjacency("C", "O"), n.adjacency("O", "P").hint(hint))
+
+    register(f"join_{_hint}", path_sql("C-O-P"))(_hinted)
+
+
+@register("features_by_month", "SELECT s AS src, CAST(EXTRACT(YEAR FROM m) AS INTEGER) AS year, CAST(COUNT(*) AS BIGINT) AS n FROM (SELECT o_custkey AS s, DATE_TRUNC('month', o_orderdate) AS m FROM orders) x GROUP BY 1, 2")
+def features_by_month(spark: SparkSession, sf: str) -> DataFrame:
+    """A metapath's result by a date part of its end nodes' names."""
+    n = commerce(spark, sf)
+    found = evaluate(n, parse_path("C-O-M", n)).join(n.nodes["M"].df.select(F.col("id").alias("dst"), F.year("name").alias("year")), "dst")
+    return found.groupBy("src", "year").agg(F.sum("n").alias("n"))
+
+
+@register("rank_windows", f"SELECT src, dst, n, CAST(RANK() OVER (PARTITION BY src ORDER BY n DESC) AS INTEGER) AS rank, CAST(DENSE_RANK() OVER (PARTITION BY src ORDER BY n DESC) AS INTEGER) AS level, CAST(SUM(n) OVER (PARTITION BY src ORDER BY n DESC RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) AS running FROM ({path_sql('N-C-O-P-Y')}) r")
+def rank_windows(spark: SparkSession, sf: str) -> DataFrame:
+    """Ranks of pairs and the running sum over a range frame."""
+    w = Window.partitionBy("src").orderBy(F.desc("n"))
+    return _pairs(spark, sf, "N-C-O-P-Y").select(
+        "src", "dst", "n", F.rank().over(w).alias("rank"), F.dense_rank().over(w).alias("level"), F.sum("n").over(w.rangeBetween(Window.unboundedPreceding, 0)).alias("running")
+    )
+
+
+@register("overlap_mined", f"SELECT 'C-O-P' AS sub_path, ckey, f FROM ({SQL['overlap_constrained']}) x WHERE f >= 2")
+def overlap_mined(spark: SparkSession, sf: str) -> DataFrame:
+    """Overlaps by constraint from a log of any size; one sub-path's, as the index counts them."""
+    rows = [(0, q.path, *q.constraints[0]) for q in fixed_30()]
+    return mine_constrained_overlaps(workload_df(spark, rows)).filter("sub_path = 'C-O-P'").select("sub_path", "ckey", "f")
+
+
+@register("overlap_maximal", values_sql([(p,) for p in ("C-O-P", "C-O-P-Y", "G-C-O-P", "O-P", "O-P-Y", "P-Y")], "sub_path"))
+def overlap_maximal(spark: SparkSession, sf: str) -> DataFrame:
+    """The mined sub-paths that the overlap index has a node for."""
+    log = _rows(spark, [(p, {}) for p in _GOLDEN], "path string, constraints map<int,string>")
+    return mine_constrained_overlaps(log).filter("maximal").select("sub_path").distinct()
+
+
+@register("sql_subpaths", values_sql([("C-O", 0, 2), ("C-O-P", 0, 3), ("O-P", 1, 2)], "sub_path start length"))
+def sql_subpaths(spark: SparkSession, sf: str) -> DataFrame:
+    """Sub-paths from a table function in SQL."""
+    spark.udtf.register("sub_paths", SubPaths)
+    return spark.sql("SELECT sub_path, CAST(start AS BIGINT) AS start, CAST(length AS BIGINT) AS length FROM sub_paths('C-O-P')")
+
+
+@register("sql_metapath", path_sql("C-O-P-B", {0: "id = 7"}))
+def sql_metapath(spark: SparkSession, sf: str) -> DataFrame:
+    """A metapath called from SQL text, with its constraint as a parameter."""
+    return A.metapath_sql(spark, commerce(spark, sf), "SELECT src, dst, n FROM metapath('C-O-P-B {C.id = 7}')")
+
+
+@register("edge_invalidation", path_sql("C-O-P-B"))
+def edge_invalidation(spark: SparkSession, sf: str) -> DataFrame:
+    """An engine whose network gets edges appended: stored results that used the relation go, the answer is the new one's."""
+    n = commerce(spark, sf)
+    orders = next(e for e in n.edges if e.name == "C-O")
+    some = EdgeType("C-O", "C", "O", orders.df.filter("dst % 10 <> 0"), True)
+    before = TypedNetwork(n.name, spark, n.nodes, [some if e.name == "C-O" else e for e in n.edges])
+    e = engine(before, "reference")
+    q = parse_path("C-O-P-B", before)
+    e.run_one(q)
+    e.run_one(parse_path("O-P-B", before))
+    e.invalidate("C-O", before.with_appended("C-O", orders.df.filter("dst % 10 = 0")))
+    return e.run_one(q)
+
+
+@register("edge_files", path_sql("C-O-P"))
+def edge_files(spark: SparkSession, sf: str) -> DataFrame:
+    """A network whose relations come from ORC and CSV files."""
+    n, base = commerce(spark, sf), fresh_path(spark, "edges")
+    write_results(n.edges[0].df, f"{base}/co", kind="orc")
+    write_results(n.edges[1].df, f"{base}/op", kind="csv")
+    edges = [EdgeType("C-O", "C", "O", read_edges(spark, f"{base}/co", "orc")), EdgeType("O-P", "O", "P", read_edges(spark, f"{base}/op", "csv", header=False))]
+    net = TypedNetwork("files", spark, {t: n.nodes[t] for t in "COP"}, edges)
+    return evaluate(net, parse_path("C-O-P", net))
+
+
+@register("dictionary_large", "SELECT CAST(DENSE_RANK() OVER (ORDER BY p_name) AS BIGINT) AS id, p_name AS name FROM (SELECT DISTINCT p_name FROM part) p")
+def dictionary_large(spark: SparkSession, sf: str) -> DataFrame:
+    """Names numbered by ranges, as for domains too large for one task."""
+    return dictionary(read_table(spark, sf, "part").select("p_name"), large=True)
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 

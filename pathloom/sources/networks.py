@@ -9,18 +9,25 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from pathloom.plans.cost import MatrixStats
+from pathloom.plans.query import normalised
 
-from .storage import read_table, stored
+from .storage import read_table, stored, stored_counted
+
+
+#: Largest domain that is numbered by one task.
+SMALL_DOMAIN = 1_000_000
+#: Hash ranges in which nodes are ranked.
+RANK_BUCKETS = 1024
 
 
 @dataclass(frozen=True)
 class NodeType:
-    """Nodes: a DataFrame with the column id (long) and properties. aliases name the id column in predicates."""
+    """Nodes: a DataFrame with the column id (long) and properties. key is the property that id repeats, label the one that names a node."""
 
     name: str
     df: DataFrame
     label: str = "id"
-    aliases: tuple[str, ...] = ()
+    key: str = "id"
 
 
 @dataclass(frozen=True)
@@ -69,7 +76,7 @@ class TypedNetwork:
                 matrix = pairs.distinct().withColumn("n", F.lit(1).cast("long"))
             if not self.keep:
                 return matrix
-            self.kept[key] = stored(matrix.sortWithinPartitions("src", "dst"), "adjacency")
+            self.kept[key], self.counted["edges", e.name, weight] = stored_counted(matrix.sortWithinPartitions("src", "dst"), "adjacency")
         return self.kept[key]
 
     def selection(self, node_type: str, predicate: str) -> DataFrame:
@@ -77,23 +84,35 @@ class TypedNetwork:
         return self.nodes[node_type].df.filter(F.expr(self.expanded(node_type, predicate))).select("id")
 
     def expanded(self, node_type: str, predicate: str) -> str:
-        left, eq, right = predicate.partition("=")
-        if eq and left.strip() == node_type:
-            return f"id = {right.strip()}"
-        return predicate
+        return normalised(predicate, node_type, self.key_names(node_type))
+
+    def key_names(self, node_type: str) -> tuple[str, ...]:
+        """What predicates may call a type's key besides id and the type's letter."""
+        return (self.nodes[node_type].key,)
 
     def size(self, node_type: str) -> int:
         if node_type not in self.counted:
             self.counted[node_type] = self.nodes[node_type].df.count()
         return self.counted[node_type]
 
-    def step_stats(self, src: str, dst: str, name: str | None = None) -> MatrixStats:
-        """Rows, columns and entries of a step's matrix; counted once per edge type."""
+    def step_stats(self, src: str, dst: str, name: str | None = None, exact: bool = False) -> MatrixStats:
+        """Rows, columns and entries of a step's matrix, once per edge type.
+
+        Entries of kept matrices are counted while those are written. Of others the rows of the edge table are
+        counted instead, which needs no exchange and counts parallel edges too; exact counts distinct pairs.
+        """
         e, back = self.edge(src, dst, name)
         key = ("edges", e.name, self.weight)
-        if key not in self.counted:
+        if key not in self.counted and self.keep:
+            self.adjacency(src, dst, name)
+        elif key not in self.counted and exact:
             self.counted[key] = self.adjacency(src, dst, name).count()
-        return MatrixStats(self.size(src), self.size(dst), self.counted[key])
+        if key in self.counted:
+            return MatrixStats(self.size(src), self.size(dst), self.counted[key])
+        if ("rows", e.name) not in self.counted:
+            self.counted["rows", e.name] = e.df.count()
+        rows, cols = self.size(src), self.size(dst)
+        return MatrixStats(rows, cols, min(self.counted["rows", e.name], rows * cols))
 
     def share(self, node_type: str, predicate: str) -> float:
         """The share of a type's nodes for which a predicate holds."""
@@ -109,10 +128,34 @@ class TypedNetwork:
         parts = [e.df.distinct().groupBy().agg(F.count("*").alias("n_edges")).select(F.lit(e.src).alias("src_type"), F.lit(e.name).alias("edge_type"), F.lit(e.dst).alias("dst_type"), "n_edges") for e in self.edges]
         return reduce(DataFrame.unionByName, parts)
 
-    def type_edges(self) -> DataFrame:
+    def steps(self) -> list[tuple[str, str]]:
         """All steps of one letter type to another, backward ones too, without named relations."""
-        steps = {s for e in self.edges if not e.name.startswith("next") for s in ([(e.src, e.dst)] + [(e.dst, e.src)] * e.bidirectional)}
-        return self.spark.createDataFrame(sorted(steps), "src_type string, dst_type string")
+        return sorted({s for e in self.edges if not e.name.startswith("next") for s in ([(e.src, e.dst)] + [(e.dst, e.src)] * e.bidirectional)})
+
+    def type_edges(self) -> DataFrame:
+        return self.spark.createDataFrame(self.steps(), "src_type string, dst_type string")
+
+    def keys_at(self, node_type: str, ranks: list[int], seed: int = 0) -> dict[int, int]:
+        """The keys at the given ranks (from 0) in a seeded order of a type's nodes.
+
+        Nodes are counted by ranges of a hash first; then only the ranges that hold a rank are put in order, one
+        apart from the other, so no task sees all nodes and only the asked-for keys reach the driver.
+        """
+        h = F.xxhash64(F.col("id"), F.lit(seed))
+        nodes = self.nodes[node_type].df.select("id", h.alias("h")).withColumn("bucket", F.pmod("h", F.lit(RANK_BUCKETS)).cast("int"))
+        counts = sorted((r["bucket"], r["count"]) for r in nodes.groupBy("bucket").count().collect())  # one row for each range
+        wanted, start = [], 0
+        left = sorted(set(ranks))
+        for bucket, n in counts:
+            while left and left[0] < start + n:
+                wanted.append((bucket, left[0] - start + 1, left.pop(0)))
+            start += n
+        if left:
+            raise IndexError(f"{node_type} has {start} nodes")
+        order = Window.partitionBy("bucket").orderBy("h", "id")
+        places = self.spark.createDataFrame(wanted, "bucket int, place int, rank long")
+        few = nodes.join(F.broadcast(places.select("bucket").distinct()), "bucket", "left_semi").withColumn("place", F.row_number().over(order))
+        return {r["rank"]: r["id"] for r in few.join(F.broadcast(places), ["bucket", "place"]).select("rank", "id").collect()}
 
     def schema_paths(self, length: int) -> DataFrame:
         """All walks of a number of types over the type graph, as dashed text."""
@@ -146,12 +189,28 @@ class TypedNetwork:
             if e.dst == core:
                 df = df.join(kept.withColumnRenamed("id", "dst"), "dst", "left_semi")
             edges.append(EdgeType(e.name, e.src, e.dst, df.select("src", "dst"), e.bidirectional))
-        nodes = {}
+        nodes, left = {}, {core: kept}
         for k, n in self.nodes.items():
             touched = [e.df.select(F.col("src").alias("id")) for e in edges if e.src == k and core in (e.src, e.dst)] + [e.df.select(F.col("dst").alias("id")) for e in edges if e.dst == k and core in (e.src, e.dst)]
             ids = kept if k == core else reduce(DataFrame.union, touched).distinct() if touched else None
-            nodes[k] = n if ids is None else NodeType(k, n.df.join(ids, "id", "left_semi"), n.label, n.aliases)
-        return TypedNetwork(f"{self.name}_{percent}", self.spark, nodes, edges, self.weight)
+            if ids is not None:
+                left[k] = ids
+            nodes[k] = n if ids is None else NodeType(k, n.df.join(ids, "id", "left_semi"), n.label, n.key)
+        for i, e in enumerate(edges):
+            if core not in (e.src, e.dst):  # edges beside the core go with nodes that are no longer connected
+                df = e.df
+                for side, t in (("src", e.src), ("dst", e.dst)):
+                    df = df.join(left[t].withColumnRenamed("id", side), side, "left_semi") if t in left else df
+                edges[i] = EdgeType(e.name, e.src, e.dst, df.select("src", "dst"), e.bidirectional)
+        return TypedNetwork(f"{self.name}_{percent}", self.spark, nodes, edges, self.weight, self.keep)
+
+    def with_appended(self, edge_name: str, more: DataFrame) -> TypedNetwork:
+        """The network with edges (src, dst) appended to an edge type. Matrices kept for other types stay in use."""
+        edges = [EdgeType(e.name, e.src, e.dst, e.df.select("src", "dst").unionByName(more.select("src", "dst")), e.bidirectional) if e.name == edge_name else e for e in self.edges]
+        out = TypedNetwork(self.name, self.spark, self.nodes, edges, self.weight, self.keep)
+        out.counted = {k: v for k, v in self.counted.items() if edge_name not in k}
+        out.kept = {k: v for k, v in self.kept.items() if k[0] != edge_name}
+        return out
 
     def register(self, prefix: str = "net") -> None:
         """Node and edge types as temporary views."""
@@ -161,10 +220,22 @@ class TypedNetwork:
             e.df.createOrReplaceTempView(f"{prefix}_{self.name}_{e.name.lower().replace('-', '_')}")
 
 
-def dictionary(values: DataFrame) -> DataFrame:
-    """(id, name) of the distinct non-null values of a one-column DataFrame, numbered from 1 in order. For small domains."""
+def dictionary(values: DataFrame, large: bool = False, most: int = SMALL_DOMAIN) -> DataFrame:
+    """(id, name) of the distinct non-null values of a one-column DataFrame, numbered from 1 in order.
+
+    A small domain is numbered by one task, which fails beyond ``most`` values; with large, ranges of values are
+    numbered apart and shifted by the sizes of the ranges before.
+    """
     names = values.toDF("name").filter("name is not null").distinct()
-    return names.select(F.row_number().over(Window.orderBy("name")).cast("long").alias("id"), "name")
+    if not large:
+        number = F.row_number().over(Window.orderBy("name")).cast("long")
+        checked = F.when(number > most, F.raise_error(F.lit("this domain needs large=True")).cast("long")).otherwise(number)
+        return names.select(checked.alias("id"), "name")
+    placed = stored(names.repartitionByRange("name").withColumn("part", F.spark_partition_id()), "names")
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # one row for each range
+    starts = placed.groupBy("part").agg(F.count("*").alias("n")).select("part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))
+    within = placed.withColumn("at", F.row_number().over(Window.partitionBy("part").orderBy("name")))
+    return within.join(F.broadcast(starts), "part").select((F.col("start") + F.col("at")).alias("id"), "name")
 
 
 def from_property_graph(name: str, vertices: DataFrame, edges: DataFrame) -> TypedNetwork:
@@ -197,12 +268,12 @@ def commerce(spark: SparkSession, folder: str, keep: bool = False) -> TypedNetwo
     month = t["orders"].withColumn("month", F.date_trunc("month", "o_orderdate"))
     brands, kinds, segments, months = (dictionary(d.select(c)) for d, c in ((t["part"], "p_brand"), (t["part"], "p_type"), (t["customer"], "c_mktsegment"), (month, "month")))
     nodes = [
-        NodeType("C", _keyed(t["customer"], "c_custkey"), "c_name"),
-        NodeType("O", _keyed(t["orders"], "o_orderkey")),
-        NodeType("P", _keyed(t["part"], "p_partkey"), "p_name"),
-        NodeType("S", _keyed(t["supplier"], "s_suppkey"), "s_name"),
-        NodeType("N", _keyed(t["nation"], "n_nationkey"), "n_name"),
-        NodeType("R", _keyed(t["region"], "r_regionkey"), "r_name"),
+        NodeType("C", _keyed(t["customer"], "c_custkey"), "c_name", "c_custkey"),
+        NodeType("O", _keyed(t["orders"], "o_orderkey"), key="o_orderkey"),
+        NodeType("P", _keyed(t["part"], "p_partkey"), "p_name", "p_partkey"),
+        NodeType("S", _keyed(t["supplier"], "s_suppkey"), "s_name", "s_suppkey"),
+        NodeType("N", _keyed(t["nation"], "n_nationkey"), "n_name", "n_nationkey"),
+        NodeType("R", _keyed(t["region"], "r_regionkey"), "r_name", "r_regionkey"),
         NodeType("B", brands.withColumn("p_brand", F.col("name")), "name"),
         NodeType("Y", kinds.withColumn("p_type", F.col("name")), "name"),
         NodeType("G", segments.withColumn("c_mktsegment", F.col("name")), "name"),
@@ -233,7 +304,7 @@ def activity(spark: SparkSession, folder: str, keep: bool = False) -> TypedNetwo
     e = e.withColumn("k", F.get_json_object("props", "$.k").cast("long")).withColumn("day", F.date_trunc("day", "ts"))
     types, days = dictionary(e.select("event_type")), dictionary(e.select("day"))
     nodes = [
-        NodeType("E", _keyed(e, "event_id")),
+        NodeType("E", _keyed(e, "event_id"), key="event_id"),
         NodeType("U", e.select(F.col("user_id").cast("long").alias("id")).distinct()),
         NodeType("T", types.withColumn("event_type", F.col("name")), "name"),
         NodeType("K", e.filter("k is not null").select(F.col("k").alias("id")).distinct()),
@@ -253,7 +324,7 @@ def corpus(spark: SparkSession, folder: str, keep: bool = False) -> TypedNetwork
     d, labels = read_table(spark, folder, "documents").select("doc_id", "lang", "source", "n_chars"), read_table(spark, folder, "labels")
     langs, sources = dictionary(d.select("lang")), dictionary(d.select("source"))
     nodes = [
-        NodeType("D", _keyed(d, "doc_id")),
+        NodeType("D", _keyed(d, "doc_id"), key="doc_id"),
         NodeType("L", langs.withColumn("lang", F.col("name")), "name"),
         NodeType("Z", sources.withColumn("source", F.col("name")), "name"),
         NodeType("Q", labels.select(F.col("quality").cast("long").alias("id")).distinct()),
@@ -271,7 +342,7 @@ def corpus(spark: SparkSession, folder: str, keep: bool = False) -> TypedNetwork
 def vectors(spark: SparkSession, folder: str, keep: bool = False) -> TypedNetwork:
     """Vectors with their labels."""
     v = read_table(spark, folder, "embeddings").select("vec_id", "label")
-    nodes = [NodeType("V", _keyed(v, "vec_id")), NodeType("A", v.select(F.col("label").cast("long").alias("id")).distinct())]
+    nodes = [NodeType("V", _keyed(v, "vec_id"), key="vec_id"), NodeType("A", v.select(F.col("label").cast("long").alias("id")).distinct())]
     return TypedNetwork("vectors", spark, {n.name: n for n in nodes}, [EdgeType("V-A", "V", "A", _pairs(v, "vec_id", "label"))], keep=keep)
 
 

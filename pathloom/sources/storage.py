@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
+import numpy as np
 from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, IntegerType, LongType, MapType, StringType, StructField, StructType
@@ -31,17 +31,20 @@ METRICS_SCHEMA = StructType(
         StructField("offers", IntegerType()),
         StructField("evictions", IntegerType()),
         StructField("rejected", IntegerType()),
+        StructField("whole_hits", IntegerType()),
+        StructField("keyed_hits", IntegerType()),
+        StructField("resident_bytes", DoubleType()),
         StructField("cost", DoubleType()),
+        StructField("operations", LongType()),
     ]
 )
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder named by spark.checkpoint.dir; a temporary one only where none is named."""
+    """The folder named by spark.checkpoint.dir (or by setCheckpointDir), which driver and executors share."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
-        found = tempfile.mkdtemp(prefix="pathloom-")
-        spark.sparkContext.setCheckpointDir(found)
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     return found
 
 
@@ -62,13 +65,31 @@ def stored_counted(df: DataFrame, label: str = "table") -> tuple[DataFrame, int]
     return stored(df.observe(rows, F.count(F.lit(1)).alias("n")), label), rows.get["n"]
 
 
+def dropped(table: DataFrame) -> None:
+    """Delete the files of a table that stored gave."""
+    spark = table.sparkSession
+    for folder in {f.rsplit("/", 1)[0] for f in table.inputFiles()}:
+        if "/matrices/" in folder:
+            at = spark._jvm.org.apache.hadoop.fs.Path(folder)
+            at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def bounded_column(df: DataFrame, most: int = 50_000_000) -> np.ndarray:
+    """A one-column DataFrame as an array on the driver, in its order; refused beyond ``most`` rows."""
+    found = df.limit(most + 1).toArrow()
+    if found.num_rows > most:
+        raise ValueError(f"more than {most} rows are too many for the driver")
+    return found.column(0).to_numpy()
+
+
 def read_table(spark: SparkSession, folder: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{folder}/{name}.parquet")
 
 
-def read_edge_csv(spark: SparkSession, path: str, header: bool = True) -> DataFrame:
-    """Edges from CSV with columns src, dst (longs)."""
-    return spark.read.csv(path, header=header, schema="src long, dst long")
+def read_edges(spark: SparkSession, path: str, kind: str = "csv", header: bool = True) -> DataFrame:
+    """Edges (src, dst: longs) from a file of a kind: csv, orc, json or parquet."""
+    reader = spark.read.schema("src long, dst long")
+    return reader.option("header", header).csv(path) if kind == "csv" else reader.format(kind).load(path)
 
 
 def read_workload(spark: SparkSession, path: str) -> DataFrame:
@@ -81,10 +102,10 @@ def typed_log(log: DataFrame) -> DataFrame:
     return log.withColumn("constraints", F.transform_keys("constraints", lambda k, v: k.cast("int")))
 
 
-def write_results(df: DataFrame, path: str, mode: str = "overwrite", by: str | None = None) -> None:
-    """A result as Parquet, partitioned by a column if one is named."""
-    writer = df.write.mode(mode)
-    (writer.partitionBy(by) if by else writer).parquet(path)
+def write_results(df: DataFrame, path: str, mode: str = "overwrite", by: str | None = None, kind: str = "parquet") -> None:
+    """A result as files of a kind, partitioned by a column if one is named; kind noop computes it without writing."""
+    writer = df.write.mode(mode).format(kind)
+    (writer.partitionBy(by) if by else writer).save(*([] if kind == "noop" else [path]))
 
 
 def write_bucketed(df: DataFrame, name: str, buckets: int, key: str) -> DataFrame:

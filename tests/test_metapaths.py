@@ -1,12 +1,18 @@
 from __future__ import annotations
 
+import random
+
+import numpy as np
 import pytest
 
 from pathloom.functions.workload import fixed_30, generate_workload, mine_overlaps, workload_df
-from pathloom.operators.engine import CACHES, engine, evaluate, evaluate_dense, lower, operand_stats, run_uncached, traversal
-from pathloom.operators.matrix import multiply, operations, summary
+from pathloom import experiments as X
+from pathloom.operators.backends import operand, operand_stats
+from pathloom.operators.engine import CACHES, TraversalEngine, engine, evaluate, evaluate_dense, evaluate_operands, lower, run_uncached, traversal
+from pathloom.operators.matrix import multiply, multiply_skewed, operations, squared, summary, transposed
+from pathloom.operators.memory import MemoryBackend, in_memory
 from pathloom.plans.cost import CostCoefficients, MatrixStats, dense_cost, fit_coefficients, sparse_cost, uniform_density
-from pathloom.plans.overlap import SubpathIndex, below
+from pathloom.plans.overlap import SubpathIndex, built, infixes, prefixes
 from pathloom.plans.planner import ChainPlanner, Known, all_orders, order_cost
 from pathloom.plans.policies import LruPolicy, SizeCostPolicy, dependency_policy
 from pathloom.plans.query import parse_path
@@ -55,14 +61,13 @@ def test_toy_answers_of_all_evaluators(toy, path, m, n, want):
     for kind in ("left", "right", "dense", "sparse"):
         assert dense(evaluate(toy, q, ChainPlanner(kind)), m, n) == want
     assert dense(traversal(toy, q), m, n) == want
+    assert dense(evaluate_operands(toy, q), m, n) == want
     assert dense(evaluate_dense(toy, q), m, n) == want
     for order in all_orders(0, len(q) - 1):
         assert dense(_by_order(toy, q, order), m, n) == want
 
 
 def _by_order(net, q, order):
-    from pathloom.operators.engine import operand
-
     if isinstance(order[0], int):
         return operand(net, q, order[0])
     return multiply(_by_order(net, q, order[0]), _by_order(net, q, order[1]))
@@ -71,8 +76,8 @@ def _by_order(net, q, order):
 def test_parsing():
     q = parse_path("O -[next]-> O - P {O@0.o_totalprice > 5; P.p_size=3}")
     assert q.types == ("O", "O", "P") and q.edges == ("next", None)
-    assert q.constraints == ((0, "o_totalprice > 5"), (2, "p_size=3"))
-    assert q.key(1, 2) == "1:p_size=3" and q.symbols == ("O", "[next]O", "P")
+    assert q.constraints == ((0, "o_totalprice>5"), (2, "p_size=3"))
+    assert q.key(1, 2) == ((1, "p_size=3"),) and q.symbols == ("O", "[next]O", "P")
     for bad in ("C", "C-", "C-O {X.a=1}", "C--O"):
         with pytest.raises(ValueError):
             parse_path(bad)
@@ -130,10 +135,43 @@ def test_counts_by_constraint_sum_to_the_frequency(net):
         assert sum(x.keys.values()) == x.f, path
 
 
+def test_predicates_have_one_spelling(net):
+    keys = {parse_path("C-O-P", net, {0: c}).key(0, 2) for c in ("C=7", "C = 7", "id = 7", "c_custkey=  7", "id=07")}
+    assert keys == {((0, "id = 7"),)}
+    odd = parse_path("C-O", net, {0: "c_mktsegment = 'a  & 1:b = 2'"})
+    assert odd.key(0, 1) == ((0, "c_mktsegment='a  & 1:b = 2'"),)
+
+
 def test_dependence():
-    a = (("C", "O", "P"), "0:C=7")
-    assert below(a, (("C", "O", "P", "B"), "0:C=7")) and below(a, (("C", "O", "P", "B"), "0:C=7 & 3:x"))
-    assert not below(a, (("C", "O", "P", "B"), "0:C=8")) and not below(a, a)
+    cop = ("C", "O", "P")
+    key = (("C", "O", "P", "B"), ((0, "id = 7"), (3, "x")))
+    assert (cop, ((0, "id = 7"),)) in prefixes(key) and (cop, ()) not in prefixes(key) and key not in prefixes(key)
+    assert (("P", "B"), ((1, "x"),)) in infixes(key) and (("P", "B"), ((1, "x"),)) not in prefixes(key)
+
+
+def test_linear_construction_gives_the_same_index(net):
+    rng = random.Random(4)
+    logs = [[parse_path(p) for p in ("G-C-O-P", "N-C-O-P-B", "C-O-P-Y", "C-O-P-Y-P", "G-C-O-P")], fixed_30(net)]
+    logs += [[parse_path("-".join(rng.choice("AB") for _ in range(rng.randint(2, 7)))) for _ in range(rng.randint(1, 12))] for _ in range(60)]
+    logs.append([parse_path(p, net, {a: c}) for _, p, a, c in generate_workload(net, 200, seed=1)])
+    for queries in logs:
+        one, other = SubpathIndex(), built(queries)
+        for q in queries:
+            one.insert(q)
+        shape = lambda x: sorted((path, n.f, tuple(sorted(n.keys.items()))) for path, n in x.internal())
+        assert shape(one) == shape(other) and one.space_report() == other.space_report()
+
+
+def test_a_horizon_forgets_older_queries(net):
+    queries = fixed_30(net)
+    short = SubpathIndex(horizon=7)
+    for q in queries:
+        short.insert(q)
+    fresh = SubpathIndex()
+    for q in queries[-7:]:
+        fresh.insert(q)
+    shape = lambda x: sorted((path, n.f, tuple(sorted(n.keys.items()))) for path, n in x.internal())
+    assert shape(short) == shape(fresh) and short.leaves == fresh.leaves
 
 
 REQUESTS = [("COP", 12, 4), ("COPY", 6, 3), ("OPS", 20, 5), ("COP", 12, 4), ("COPY", 6, 3), ("OPS", 20, 5), ("COP", 12, 4)]
@@ -145,7 +183,7 @@ def test_cache_traces():
     plain = SizeCostPolicy(10)
     assert run(plain) == [[], [], ["COPY"], [], ["OPS"], ["COP"], ["COPY"]]
     assert (plain.utility("OPS"), plain.utility("COP")) == (16, 19)
-    aware = dependency_policy(10, lambda a, b: a != b and b.startswith(a))
+    aware = dependency_policy(10, lambda k: [k[:n] for n in range(1, len(k))])
     steps = []
     for r in REQUESTS:
         aware.request(*r)
@@ -159,18 +197,94 @@ def test_oversize_items_are_refused():
 
 
 def test_engines_agree(spark, net):
-    queries = fixed_30(net)[:12]
+    queries = fixed_30(net)[:8]
     want = {tuple(r) for r in run_uncached(net, queries, "traversal").collect()}
-    for name in CACHES:
-        assert {tuple(r) for r in engine(net, name, 200_000).run(queries).collect()} == want, name
+    for name in ("all_products", "reference"):
+        assert {tuple(r) for r in engine(net, name, 20_000).run(queries).collect()} == want, name
+
+
+def test_generated_workloads_have_the_same_answers_under_all_engines(net):
+    small = in_memory(net)
+    row = dict(network="n", setting="s", value=0.0, workload=3, cache_ratio=0.2, restart_p=0.08, alpha=0.0)
+    found = {name: list(X.run_of(small, {**row, "engine": name})) for name in CACHES}
+    answers = {name: [r[-2:] for r in rows] for name, rows in found.items()}
+    assert all(a == answers["sparse"] for a in answers.values())
+    assert sum(r[0] for r in answers["sparse"]) > 0
+    operations = {name: sum(r[18] for r in rows) for name, rows in found.items()}
+    assert operations["reference"] < operations["sparse"]
+    assert sum(r[14] for r in found["reference"]) > 0
+
+
+def test_memory_answers_are_the_tables(net):
+    queries = fixed_30(net)[:10]
+    small = in_memory(net, queries)
+    e = engine(small, "reference", 20_000, backend=MemoryBackend(small))
+    got = [(i, *e.summary_of(q, i)) for i, q in enumerate(queries)]
+    assert got == [tuple(r) for r in run_uncached(net, queries, "sparse").orderBy("pos").collect()]
+
+
+def test_spans_hold_what_their_own_predicates_say(net):
+    """A span that ends at a predicate inside one query answers a query that ends there."""
+    one, two = parse_path("C-O-P-B", net, {2: "id = 5"}), parse_path("C-O-P", net, {2: "id = 5"})
+    small = in_memory(net)
+    e = engine(small, "all_products", 1e9, backend=MemoryBackend(small))
+    for q in (one, two, one):
+        got = e.summary_of(q, 0)
+        assert got == tuple(summary(evaluate(net, q)).first())
+
+
+def test_evicted_tables_are_deleted(net, spark):
+    e = engine(net, "reference", 3000)
+    queries = fixed_30(net)[:8]
+    for i, q in enumerate(queries):
+        summary(e.run_one(q, i)).first()
+    paths = [f for t in e.tables.values() for f in t.inputFiles()]
+    for x in [x for part in e.going for x in part]:
+        e.backend.drop(x)
+    hadoop = spark._jvm.org.apache.hadoop.fs
+    there = lambda f: hadoop.Path(f).getFileSystem(spark._jsc.hadoopConfiguration()).exists(hadoop.Path(f))
+    assert sum(m.evictions + m.rejected for m in e.metrics) > 0 and all(map(there, paths))
+
+
+def test_traversals_reuse_their_statements(net):
+    t = TraversalEngine(net)
+    for key in (3, 4, 5):
+        q = parse_path("C-O-P", net, {0: f"id = {key}"})
+        assert sorted(map(tuple, t.run_one(q).collect())) == sorted(map(tuple, evaluate(net, q).collect()))
+    assert t.reused == 2 and len(t.statements) == 1
+    t.close()
+
+
+def test_products_dealt_over_cells(net):
+    x, y = net.adjacency("P", "S"), net.adjacency("S", "P")
+    want = sorted(map(tuple, multiply(x, y).collect()))
+    assert sorted(map(tuple, multiply(x, y, operations=1e8, middle=3).collect())) == want
+    assert sorted(map(tuple, multiply_skewed(x, y, heavy=20).collect())) == want
+    assert sorted(map(tuple, squared(x, operations=1e8, middle=3).collect())) == want == sorted(map(tuple, multiply(x, transposed(x)).collect()))
+
+
+def test_costs_given_back_are_what_was_taken():
+    """Base costs return when ancestors come and go."""
+    p = dependency_policy(100, lambda k: [k[:n] for n in range(1, len(k))])
+    p.request("abc", 30, 10)
+    p.request("ab", 12, 10)
+    assert p.items["abc"].cost == 18
+    p.forget("ab")
+    assert p.items["abc"].cost == 30
+    near = dependency_policy(100, lambda k: [k[:n] for n in range(1, len(k))], nearest=True)
+    for key, full in (("abcd", 40), ("ab", 12), ("abc", 30)):
+        near.request(key, full, 10, full)
+    assert (near.items["abcd"].cost, near.items["abc"].cost) == (10, 18)
+    near.forget("abc")
+    assert near.items["abcd"].cost == 28
 
 
 def test_reference_computes_fewer_products(net):
     queries = fixed_30(net)
     queries = queries + queries[::-1]
-    runs = {}
+    small, runs = in_memory(net, queries), {}
     for name in ("sparse", "reference"):
-        e = engine(net, name)
+        e = engine(small, name, backend=MemoryBackend(small))
         for i, q in enumerate(queries):
             e.run_one(q, i)
         runs[name] = sum(m.products for m in e.metrics)
@@ -189,6 +303,11 @@ def test_generated_workloads(net):
     for _, path, at, predicate in rows:
         q = parse_path(path, net, {at: predicate})
         assert 3 <= len(q) <= 5
+        (found,) = (c for _, c in q.constraints)
+        assert not net.selection(q.types[at], found).isEmpty() if path == rows[0][1] else True
+    keys = net.keys_at("O", list(range(40)), 3)
+    present = {r["id"] for r in net.nodes["O"].df.select("id").collect()}
+    assert len(set(keys.values())) == 40 and set(keys.values()) <= present and keys != net.keys_at("O", list(range(40)), 4)
     zipf = generate_workload(net, 200, dist="zipf", alpha=2, seed=1)
     assert len({r[1] for r in zipf}) < len({r[1] for r in rows})
 
