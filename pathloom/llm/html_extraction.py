@@ -1,15 +1,19 @@
 """Main text of web pages by wrapper induction.
 
-Pages of one host share a template. Each host's page with the smallest id is its seed; every page's tree is
-aligned with the seed's by simple tree matching (the largest mapping that keeps tags, ancestors and
-order). A seed node whose text is the same in most of the host's pages is template; one that varies is a
-slot. The content region is the deepest seed node that holds nearly all varying text. A page's text is
-what its landmarks (article, main) hold, or, where it has none, what aligns with the content region,
-without the template's constant nodes. Menus, headers, footers, sidebars, notices, adverts, forms and
-comments are left out wherever they are recognised by tag, role, class or id.
-
-Statistics are counts per host and seed node, summed within batches first, so a host with most of the pages
-is as many rows as its seed has nodes. Nothing is dropped or capped inside a page.
+Pages of one host and layout (the kinds of sectioning elements, in the order of their first use) form a pool;
+hosts with too few pages of a layout share a pool by layout. The page with the smallest key is its pool's
+seed, and every other page's tree is aligned with it by simple tree matching: the largest mapping that keeps
+tags, ancestors and order. What aligns with a seed node in all pages is one template node. A node whose text is
+the same in most pages is constant; other nodes are slots. The wrapper's region is the deepest
+template node that holds nearly all of the pool's varying text, links not counted; a page's text is what aligns
+with the region, without constant nodes and without parts that are named as something else.
+
+Tags, roles and names are features of a node: they take its text out of account when the region is sought,
+unless nearly all text of a pool's pages is in nodes so named. A landmark (article, main) is preferred among
+nodes that hold most of the text. A page alone in its pool has a wrapper of its own, from the same features.
+
+Statistics are counts per pool and template node, summed within batches first, so a host with most of the pages is as
+many rows as its seed has nodes. Copies of a page count once. Nothing is dropped or capped inside a page.
 """
 
 from __future__ import annotations
@@ -19,14 +23,20 @@ import re
 from collections.abc import Iterator
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_BYTES, pick, stored, table
+from .common import BROADCAST_BYTES, broadcast_if_small, pick, stored, table
+from .memory import released
 
-#: Pages of a host from which its wrapper is used, and shares of pages and text that decide.
-LEAST_PAGES, CONSTANT_SHARE, REGION_SHARE = 4, 0.6, 0.9
+#: Pages of a host and layout from which they form a pool of their own; shares of pages and of text that decide.
+LEAST_PAGES, CONSTANT_SHARE, REGION_SHARE, LANDMARK_SHARE = 4, 0.6, 0.9, 0.5
+#: Pages of a pool that go to one task at most where pools are dealt by a shuffle.
+SPLIT_PAGES = 100_000
+#: Elements whose order of first use is a page's layout.
+SECTIONING = "body|header|nav|main|article|section|aside|footer|form"
 #: Element kinds of HTML, and words of class, id and role that name parts which are not content.
 VOID = set("area base br col embed hr img input link meta param source track wbr".split())
 BLOCKS = set("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol optgroup option p pre section summary table tbody td tfoot th thead tr ul".split())
@@ -47,28 +57,30 @@ _ATTRIBUTE = re.compile(r"""([^\s"'>/=]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"
 
 
 class Node:
-    __slots__ = ("tag", "out", "children", "number", "shape")
+    """An element. out: its tag, role or an attribute says that it is no content; named: a class or id does."""
 
-    def __init__(self, tag: str, out: bool = False):
-        self.tag, self.out, self.children, self.number, self.shape = tag, out, [], -1, 0
+    __slots__ = ("tag", "out", "named", "children", "number", "shape")
 
+    def __init__(self, tag: str, out: bool = False, named: bool = False):
+        self.tag, self.out, self.named, self.children, self.number, self.shape = tag, out, named, [], -1, 0
 
-def _left_out(tag: str, attrs: str, inside: bool) -> bool:
-    """Is an element, by its tag and attributes, no content. inside: within an article or main element, where only whole names count."""
+
+def _features(tag: str, attrs: str, inside: bool) -> tuple[bool, bool]:
+    """(out, named) of an element. inside: within an article or main element, where only whole names count."""
     if tag in LEFT_OUT or (tag == "header" and not inside):
-        return True
+        return True, False
+    named = False
     for name, a, b, c in _ATTRIBUTE.findall(attrs) if attrs and not attrs.isspace() else ():
         name, value = name.lower(), (a or b or c).lower()
         if name == "role":
             if not ROLES.isdisjoint(value.split()):
-                return True
+                return True, False
         elif name == "hidden" or (name == "aria-hidden" and value.strip() == "true"):
-            return True
+            return True, False
         elif name in ("class", "id") and tag not in ("body", "html", "main"):
             # within content a word of a longer name tells of a topic as often as of a part
-            if not NAMES.isdisjoint(value.split() if inside else re.split(r"[^a-z]+", value)):
-                return True
-    return False
+            named = named or not NAMES.isdisjoint(value.split() if inside else re.split(r"[^a-z]+", value))
+    return False, named
 
 
 def parse(source: str) -> Node:
@@ -108,7 +120,7 @@ def parse(source: str) -> Node:
                     break
         inside = any(n.tag in ("article", "main") for n in stack)
         attrs = m["attrs"] or m["attrs2"] or ""
-        node = Node(tag, _left_out(tag, attrs, inside))
+        node = Node(tag, *_features(tag, attrs, inside))
         stack[-1].children.append(node)
         if tag not in VOID and not attrs.rstrip().endswith("/"):
             stack.append(node)
@@ -173,63 +185,119 @@ def numbered(root: Node) -> list[Node]:
     return out
 
 
-def aligned(a: Node, b: Node) -> list[tuple[Node, Node]]:
-    """The pairs of a largest top-down mapping of two trees that keeps tags, ancestors and order."""
-    memo: dict[tuple[int, int], tuple[int, list]] = {}
-
-    def trimmed(p: Node, q: Node) -> tuple[list, list[Node], list[Node]]:
-        """Pairs of children with equal shapes at both ends, which are taken as they are, and the children between."""
-        x, y = _elements(p), _elements(q)
-        low = 0
-        while low < min(len(x), len(y)) and x[low].shape == y[low].shape:
-            low += 1
-        high = 0
-        while high < min(len(x), len(y)) - low and x[-1 - high].shape == y[-1 - high].shape:
-            high += 1
-        outer = [*zip(x[:low], y[:low], strict=True), *zip(x[len(x) - high :], y[len(y) - high :], strict=True)]
-        return outer, x[low : len(x) - high], y[low : len(y) - high]
-
-    def best_pairs(x: list[Node], y: list[Node]) -> list[tuple[Node, Node]]:
-        best = [[0] * (len(y) + 1) for _ in range(len(x) + 1)]
-        for i, p in enumerate(x, 1):
-            row, above = best[i], best[i - 1]
-            for j, q in enumerate(y, 1):
-                row[j] = max(above[j], row[j - 1], above[j - 1] + memo[p.number, q.number][0] if p.tag == q.tag else 0)
-        i, j = len(x), len(y)
-        inner = []
-        while i and j:
-            if best[i][j] == best[i - 1][j]:
-                i -= 1
-            elif best[i][j] == best[i][j - 1]:
+def _middle(x: list[Node], y: list[Node]) -> tuple[int, int]:
+    """How many children have equal shapes at both lists' beginnings, and then at their ends."""
+    least = min(len(x), len(y))
+    low = 0
+    while low < least and x[low].shape == y[low].shape:
+        low += 1
+    high = 0
+    while high < least - low and x[-1 - high].shape == y[-1 - high].shape:
+        high += 1
+    return low, high
+
+
+class Matcher:
+    """Simple tree matching. A mapping's size depends on two subtrees' shapes only, so sizes are kept by shape."""
+
+    def __init__(self):
+        self.size: dict[tuple[int, int], int] = {}
+        self.whole: dict[int, int] = {}
+
+    def _weights(self, x: list[Node], y: list[Node]) -> Iterator[np.ndarray]:
+        """Sizes of the mappings of each of a list's members with another's, 0 for different tags."""
+        shapes = {c.shape: i for i, c in enumerate(y)}
+        columns = {s: np.array([d.shape == s for d in y]) for s in shapes}
+        rows: dict[int, np.ndarray] = {}
+        for c in x:
+            if c.shape not in rows:
+                rows[c.shape] = row = np.zeros(len(y), np.int32)
+                for s, i in shapes.items():
+                    if y[i].tag == c.tag:
+                        row[columns[s]] = self.size[c.shape, s]
+            yield rows[c.shape]
+
+    def _chosen(self, x: list[Node], y: list[Node]) -> tuple[int, list[tuple[Node, Node]]]:
+        """The best order-keeping pairs of two lists, and the sum of their sizes.
+
+        A row of the table is a running maximum of what the row above and its own pairs give. Kept of each row
+        is one bit a cell for where it is above the row before, and one for where it rises.
+        """
+        weights = self._weights(x, y)
+        above = np.zeros(len(y) + 1, np.int64)
+        gains, rises = [], []
+        for row in weights:
+            here = np.concatenate([[0], np.maximum(above[1:], np.where(row > 0, above[:-1] + row, 0))])
+            np.maximum.accumulate(here, out=here)
+            gains.append(np.packbits(here[1:] > above[1:]))
+            rises.append(np.packbits(here[1:] > here[:-1]))
+            above = here
+        pairs, j = [], len(y)
+        for i in range(len(x) - 1, -1, -1):
+            if not j:
+                break
+            if np.unpackbits(gains[i], count=j)[-1]:  # the row's node is used, where its row rose to this value
+                j = int(np.flatnonzero(np.unpackbits(rises[i], count=j))[-1]) + 1
+                pairs.append((x[i], y[j - 1]))
                 j -= 1
-            else:
-                i, j = i - 1, j - 1
-                inner.append((x[i], y[j]))
-        return inner
-
-    # a pair is seen twice: first its children's pairs are put on top of it, then it is matched by theirs
-    work: list[tuple[Node, Node, tuple | None]] = [(a, b, None)]
-    while work:
-        p, q, parts = work.pop()
-        if parts is None:
-            if (p.number, q.number) in memo:
+        return int(above[-1]), pairs
+
+    def _measure(self, a: Node, b: Node) -> None:
+        """Fill in the sizes that the mapping of two nodes needs, from below."""
+        work = [(a, b, False)]
+        while work:
+            p, q, ready = work.pop()
+            if (p.shape, q.shape) in self.size:
                 continue
-            parts = trimmed(p, q)
-            outer, x, y = parts
-            work.append((p, q, parts))
-            work.extend((c, d, None) for c, d in outer)
-            work.extend((c, d, None) for c in x for d in y if c.tag == d.tag and (c.number, d.number) not in memo)
-        else:
-            outer, x, y = parts
-            found = [*outer, *(best_pairs(x, y) if x and y else [])]
-            memo[p.number, q.number] = (1 + sum(memo[c.number, d.number][0] for c, d in found), found)
-
-    out, walk = [], [(a, b)]
-    while walk:
-        p, q = walk.pop()
-        out.append((p, q))
-        walk.extend(memo[p.number, q.number][1])
-    return out
+            if p.shape == q.shape:
+                self.size[p.shape, q.shape] = self._count(p)
+                continue
+            x, y = _elements(p), _elements(q)
+            low, high = _middle(x, y)
+            outer = sum(self._count(c) for c in [*x[:low], *x[len(x) - high :]])
+            x, y = x[low : len(x) - high], y[low : len(y) - high]
+            if ready:
+                self.size[p.shape, q.shape] = 1 + outer + (self._chosen(x, y)[0] if x and y else 0)
+                continue
+            work.append((p, q, True))
+            kinds = {c.shape: c for c in x}.values(), {d.shape: d for d in y}.values()
+            work.extend((c, d, False) for c in kinds[0] for d in kinds[1] if c.tag == d.tag and (c.shape, d.shape) not in self.size)
+
+    def _count(self, node: Node) -> int:
+        """Elements of a subtree."""
+        if node.shape not in self.whole:
+            n, work = 0, [node]
+            while work:
+                x = work.pop()
+                n += 1
+                work.extend(_elements(x))
+            self.whole[node.shape] = n
+        return self.whole[node.shape]
+
+    def pairs(self, a: Node, b: Node) -> list[tuple[Node, Node]]:
+        out, walk = [], [(a, b)]
+        while walk:
+            p, q = walk.pop()
+            out.append((p, q))
+            x, y = _elements(p), _elements(q)
+            if p.shape == q.shape:
+                walk.extend(zip(x, y, strict=True))
+                continue
+            low, high = _middle(x, y)
+            walk.extend(zip(x[:low], y[:low], strict=True))
+            walk.extend(zip(x[len(x) - high :], y[len(y) - high :], strict=True))
+            x, y = x[low : len(x) - high], y[low : len(y) - high]
+            if x and y:
+                for c in x:
+                    for d in {d.shape: d for d in y if d.tag == c.tag}.values():
+                        self._measure(c, d)
+                walk.extend(self._chosen(x, y)[1])
+        return out
+
+
+def aligned(a: Node, b: Node) -> list[tuple[Node, Node]]:
+    """The pairs of a largest top-down mapping of two trees that keeps tags, ancestors and order."""
+    return Matcher().pairs(a, b)
 
 
 @lru_cache(maxsize=256)
@@ -239,101 +307,143 @@ def _seed(source: str) -> tuple[Node, list[Node], list[str]]:
     return root, nodes, [own_text(n) for n in nodes]
 
 
+#: For each template node: pages with it, pages with the seed's text, characters outside links (all, varying, and those in parts that are named).
+Stats = dict[int, tuple[int, int, int, int, int]]
+
+
+def _plain_chars(node: Node, matched: set[Node]) -> tuple[int, int]:
+    """Characters below a node that no template node has (children not aligned), links not counted: all, and those in named parts."""
+    total = named = 0
+    work = [(c, c.named) for c in _elements(node) if c not in matched]
+    while work:
+        x, inside = work.pop()
+        if x.out or x.tag == "a":
+            continue
+        n = len(own_text(x))
+        total += n
+        named += n if inside else 0
+        work.extend((c, inside or c.named) for c in _elements(x))
+    return total, named
+
+
+def page_stats(top: Node, texts: list[str], page: Node) -> Iterator[tuple[int, tuple[int, int, int, int, int]]]:
+    """What one page adds to the statistics of each template node that it has."""
+    numbered(page)
+    pairs = aligned(top, page)
+    matched = {q for _, q in pairs}
+    named: dict[int, bool] = {}
+    linked: dict[int, bool] = {}
+    for p, q in pairs:  # parents come before children
+        here = named.get(id(q), False) or q.named
+        link = linked.get(id(q), False) or q.tag == "a" or q.out
+        for c in _elements(q):
+            named[id(c)], linked[id(c)] = here, link
+        text = own_text(q)
+        same = text == texts[p.number]
+        own = 0 if link else len(text)
+        extra, inside = (0, 0) if link else _plain_chars(q, matched)
+        yield p.number, (1, int(same), own + extra, (0 if same else own) + extra, own + extra if here else inside)
+
+
 def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """For each host and seed node: pages aligned with it, pages with the seed's text, characters that vary."""
+    """The statistics of each pool's template nodes over a task's pages."""
     total: dict[tuple[str, int], list[int]] = {}
+
+    def batch_of() -> pa.RecordBatch:
+        keys, counts = list(total), list(total.values())
+        return pa.RecordBatch.from_arrays(
+            [pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.int32()), *(pa.array([c[i] for c in counts], pa.int64()) for i in range(5))], names=["pool", "node", *COUNTS]
+        )
+
     for batch in batches:
-        for host, source, seed in zip(*(batch.column(c).to_pylist() for c in ("host", "html", "seed")), strict=True):
-            root, nodes, texts = _seed(seed)
-            if not source:
-                continue
-            page = parse(source)
-            numbered(page)
-            for p, q in aligned(root, page):
-                if p.out:
-                    continue
-                text = own_text(q)
-                count = total.setdefault((host, p.number), [0, 0, 0])
-                count[0] += 1
-                if text == texts[p.number]:
-                    count[1] += 1
-                else:
-                    count[2] += len(text)
-    keys, counts = list(total), list(total.values())
-    yield pa.RecordBatch.from_arrays(
-        [pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.int32()), *(pa.array([c[i] for c in counts], pa.int64()) for i in range(3))],
-        names=["host", "node", "pages", "same", "varying"],
-    )
-
-
-def wrapper(nodes: list[Node], stats: dict[int, tuple[int, int, int]]) -> tuple[int, set[int]]:
-    """The number of the content region's seed node and those of constant nodes, from (pages, same, varying) by node."""
-    pages = stats.get(0, (0, 0, 0))[0]
-    if pages < LEAST_PAGES:
-        return 0, set()
-    mass = [stats.get(n.number, (0, 0, 0))[2] for n in nodes]
+        for pool, source, seed in zip(*(batch.column(c).to_pylist() for c in ("pool", "html", "seed")), strict=True):
+            root, _, texts = _seed(seed)
+            if source:
+                for number, counts in page_stats(root, texts, parse(source)):
+                    sums = total.setdefault((pool, number), [0] * 5)
+                    for i, n in enumerate(counts):
+                        sums[i] += n
+        if len(total) > 200_000:  # hand on what there is; sums are completed after the exchange
+            yield batch_of()
+            total.clear()
+    yield batch_of()
+
+
+def wrapper(nodes: list[Node], stats: Stats) -> tuple[int, set[int], set[int]]:
+    """(region, constant nodes, named nodes that are content all the same), by number of template node."""
+    none = (0, 0, 0, 0, 0)
+    pages = stats.get(0, none)[0]
+    get = lambda n: stats.get(n.number, none)
+    several = pages >= 2
+    # a pool whose pages hardly differ tells nothing of what is constant: all its text counts
+    differs = several and sum(s[3] for s in stats.values()) >= (1 - REGION_SHARE) * sum(s[2] for s in stats.values())
+    of = 3 if differs else 2
+    whole, named = sum(s[of] for s in stats.values()), sum(s[4] for s in stats.values())
+    trusted = several and named >= REGION_SHARE * sum(s[2] for s in stats.values())  # the names are this site's own
+    mass = [0 if n.out else max(0, get(n)[of] - (0 if trusted else get(n)[4])) for n in nodes]
     for n in reversed(nodes):
         if not n.out:
-            mass[n.number] += sum(mass[c.number] for c in _elements(n) if not c.out)
+            mass[n.number] += sum(mass[c.number] for c in _elements(n) if not c.out and (trusted or not c.named))
     at = nodes[0]
-    while below := [c for c in _elements(at) if not c.out and mass[c.number] >= REGION_SHARE * mass[0]]:
-        if not mass[0] or below[0].tag not in BLOCKS or below[0].tag == "p":
+    while mass[0]:
+        below = [c for c in _elements(at) if not c.out and (trusted or not c.named) and c.tag in BLOCKS and c.tag != "p"]
+        heavy = [c for c in below if mass[c.number] >= REGION_SHARE * mass[0]]
+        marks = [c for c in below if c.tag in ("article", "main") and mass[c.number] >= LANDMARK_SHARE * mass[0]]
+        if not heavy and not marks:
             break
-        at = below[0]
-    constant = {k for k, (n, same, _) in stats.items() if n >= LEAST_PAGES and same >= CONSTANT_SHARE * n and n >= CONSTANT_SHARE * pages}
-    return at.number, constant
+        at = (heavy or marks)[0]
+    constant = {k for k, (n, same, *_) in stats.items() if differs and n >= LEAST_PAGES and same >= CONSTANT_SHARE * n and n >= CONSTANT_SHARE * pages}
+    return at.number, constant, {n.number for n in nodes if n.named and trusted} if whole else set()
+
+
+def alone(root: Node) -> tuple[Node, set[Node]]:
+    """The region of a page that has no pool, by its own statistics, and its named parts."""
+    nodes = numbered(root)
+    texts = [own_text(n) for n in nodes]
+    region, _, _ = wrapper(nodes, dict(page_stats(root, texts, root)))
+    return nodes[region], {n for n in nodes if n.named}
 
 
-def main_text(source: str | None, seed: str | None = None, stats: dict[int, tuple[int, int, int]] | None = None) -> str:
-    """A page's text: of its landmarks, else of what aligns with its host's content region, else of all that is not left out."""
+def main_text(source: str | None, seed: str | None = None, stats: Stats | None = None) -> str:
+    """A page's text: what aligns with its pool's region, without constant nodes and parts that are named as something else."""
     if not source:
         return ""
     root = parse(source)
-    landmarks, work = [], [root]
-    while work:
-        x = work.pop()
-        if x.out:
-            continue
-        if x.tag in ("article", "main"):
-            inner = [n for n in _within(x) if n.tag == "article"] if x.tag == "main" else []
-            landmarks.extend(inner or [x])
-        else:
-            work.extend(reversed(_elements(x)))
-    if landmarks:
-        return "\n".join(t for x in landmarks for t in blocks(x))
-    if seed and stats:
-        top, nodes, _ = _seed(seed)
-        region, constant = wrapper(nodes, stats)
-        numbered(root)
+    if seed and stats and stats.get(0, (0,))[0] >= 2:
+        top, nodes, texts = _seed(seed)
+        region, constant, content = _wrapper(seed, stats)
+        page = numbered(root)
         pairs = aligned(top, root)
-        texts = [own_text(n) for n in nodes]
-        drop = {q for p, q in pairs if p.number in constant and texts[p.number] and own_text(q) == texts[p.number] and not _elements(q)}
-        return "\n".join(blocks(next((q for p, q in pairs if p.number == region), root), drop))
-    return "\n".join(blocks(root))
+        of = {q: p.number for p, q in pairs}
+        found = next((q for p, q in pairs if p.number == region), None)
+        if found is not None:
+            drop = {q for p, q in pairs if p.number in constant and texts[p.number] and own_text(q) == texts[p.number] and not _elements(q)}
+            named = {q for q in page if q.named and q is not found and not (content and of.get(q, -1) in content)} if not content else set()
+            return "\n".join(blocks(found, drop | named))
+    region, named = alone(root)
+    return "\n".join(blocks(region, named))
 
 
-def _within(node: Node) -> list[Node]:
-    """Outermost articles and other elements below a node that are not left out."""
-    out, work = [], list(reversed(_elements(node)))
-    while work:
-        x = work.pop()
-        if x.out:
-            continue
-        if x.tag == "article":
-            out.append(x)
-        else:
-            work.extend(reversed(_elements(x)))
-    return out
+_WRAPPERS: dict[tuple[str, int], tuple] = {}
+
+
+def _wrapper(seed: str, stats: Stats) -> tuple[int, set[int], set[int]]:
+    """The wrapper of a seed, remembered for the pool that is being read."""
+    key = (seed, id(stats))
+    if key not in _WRAPPERS:
+        _WRAPPERS.clear()
+        _WRAPPERS[key] = (wrapper(_seed(seed)[1], stats), stats)
+    return _WRAPPERS[key][0]
 
 
 def _extracted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        cached: dict[str, dict] = {}
+        cached: dict[str, Stats] = {}
         texts = []
-        for host, source, seed, stats in zip(*(batch.column(c).to_pylist() for c in ("host", "html", "seed", "stats")), strict=True):
-            if host not in cached:
-                cached[host] = {s["node"]: (s["pages"], s["same"], s["varying"]) for s in stats or []}
-            texts.append(main_text(source, seed, cached[host]))
+        for pool, source, seed, stats in zip(*(batch.column(c).to_pylist() for c in ("pool", "html", "seed", "stats")), strict=True):
+            if pool not in cached:
+                cached[pool] = {s["node"]: tuple(s[c] for c in COUNTS) for s in stats or []}
+            texts.append(main_text(source, seed, cached[pool]))
         yield pa.RecordBatch.from_arrays(
             [batch.column("key"), batch.column("url"), pa.array(texts, pa.string()), pa.array(list(map(len, texts)), pa.int64())], names=["key", "url", "text", "n_chars"]
         )
@@ -343,29 +453,66 @@ def host_of(url: Column) -> Column:
     return F.lower(F.regexp_extract(F.coalesce(url, F.lit("")), r"^[a-zA-Z][a-zA-Z0-9+.\-]*://(?:[^/@?#]*@)?([^/:?#]+)", 1))
 
 
-def _sent(df: DataFrame, row_bytes: str) -> DataFrame:
-    size = df.agg(F.sum(F.expr(row_bytes))).first()[0] or 0
-    return F.broadcast(df) if size <= BROADCAST_BYTES else df
+def layout_of(html: Column) -> Column:
+    """The sectioning elements of a page in the order of their first use."""
+    found = F.regexp_extract_all(F.coalesce(html, F.lit("")), F.lit(rf"(?i)<({SECTIONING})[\s/>]"), F.lit(1))
+    return F.array_join(F.array_distinct(F.transform(found, F.lower)), " ")
+
+
+COUNTS = ["pages", "same", "chars", "varying", "in_named"]
+
+
+def _with_pool(rows: DataFrame, few: DataFrame, row_bytes: str, sizes: DataFrame) -> DataFrame:
+    """rows with their pool's columns. few is broadcast while its measured bytes allow it; beyond, pools of many pages are dealt to several tasks."""
+    size = few.agg(F.sum(F.expr(row_bytes))).first()[0] or 0
+    if size <= BROADCAST_BYTES:
+        return rows.join(F.broadcast(few), "pool", "left")
+    hot = sizes.filter(F.col("pool_pages") > SPLIT_PAGES).select("pool", F.ceil(F.col("pool_pages") / SPLIT_PAGES).cast("int").alias("splits"))
+    hot = broadcast_if_small(hot, 200)  # one row for each SPLIT_PAGES pages at most
+    one = F.coalesce("splits", F.lit(1))
+    spread = few.join(hot, "pool", "left").withColumn("split", F.explode(F.sequence(F.lit(0), one - 1))).drop("splits")
+    dealt = rows.join(hot, "pool", "left").withColumn("split", F.pmod(F.xxhash64("html"), one).cast("int")).drop("splits")
+    return dealt.join(spread, ["pool", "split"], "left").drop("split")
 
 
 def extracted_pages(pages: DataFrame, key: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
     """key, url, text, n_chars for each row of pages.
 
-    Null and empty pages have an empty text. Pages whose url is null or has no host form one host.
-    Repeated rows and null keys are kept. Hosts of few pages use
-    no wrapper; pages are aligned at any depth. Extra columns are ignored; an empty table gives an empty result.
+    Null and empty pages have an empty text. Pages whose url is null or has no host form one host. Repeated rows
+    and null keys are kept; copies of a page count once for their pool. A host with fewer than LEAST_PAGES
+    pages of a layout shares a pool with other such hosts' pages of that layout; a page alone there
+    is judged by its own statistics. Pages are aligned at any depth, with sibling lists of any length. Extra
+    columns are ignored; an empty table gives an empty result.
     """
-    rows = pick(pages, key, url, html).toDF("key", "url", "html").withColumn("host", host_of(F.col("url")))
-    seeds = rows.filter("html <> ''").groupBy("host").agg(F.min_by("html", F.struct(F.coalesce(F.col("key").cast("long"), F.lit((1 << 63) - 1)), F.md5("html"))).alias("seed"))
+    rows = pick(pages, key, url, html).toDF("key", "url", "html")
+    # html is parsed by the executors only in the two passes below; hosts and layouts stay in the JVM
+    rows = rows.withColumn("host", host_of(F.col("url"))).withColumn("layout", layout_of(F.col("html")))
+    order = F.struct(F.coalesce(F.col("key").cast("long"), F.lit((1 << 63) - 1)), F.md5("html"))
+    full = rows.filter("html <> ''").withColumn("copy", F.md5("html"))
+    groups = stored(full.groupBy("host", "layout", "copy").agg(F.min(order).alias("first"), F.count("*").alias("n")), "page-groups")
+    many = groups.groupBy("host", "layout").agg(F.count("*").alias("n")).filter(F.col("n") >= LEAST_PAGES).select("host", "layout", F.lit(True).alias("own"))
+    many = broadcast_if_small(stored(many, "own-pools"), 200)
+
+    def pooled(df: DataFrame) -> DataFrame:
+        own = F.concat_ws("\n", F.lit("host"), "host", "layout")
+        return df.join(many, ["host", "layout"], "left").withColumn("pool", F.when(F.col("own"), own).otherwise(F.concat_ws("\n", F.lit("layout"), "layout"))).drop("own")
+
+    members = pooled(groups)
+    sizes = stored(members.groupBy("pool").agg(F.count("*").alias("pool_pages"), F.min("first").alias("first")), "pools")
+    firsts = sizes.select("pool", F.col("first.col2").alias("copy"))
+    placed = pooled(full)
+    seeds = placed.join(broadcast_if_small(firsts, 200), ["pool", "copy"], "left_semi").groupBy("pool").agg(F.min_by("html", order).alias("seed"))
     seeds = stored(seeds, "seeds")
-    paired = rows.select("host", "html").join(_sent(seeds, "40 + length(seed)"), "host")
-    counted = paired.mapInArrow(_counted, "host string, node int, pages long, same long, varying long")
-    sums = counted.groupBy("host", "node").agg(*(F.sum(c).alias(c) for c in ("pages", "same", "varying")))
-    stats = sums.groupBy("host").agg(F.collect_list(F.struct("node", "pages", "same", "varying")).alias("stats"))
-    wrappers = stored(seeds.join(stats, "host", "left"), "wrappers")
-    full = rows.join(_sent(wrappers, "40 + length(seed) + 32 * coalesce(size(stats), 0)"), "host", "left")
+    again = stored(groups.filter("n > 1").select("host", "layout", "copy", F.col("first.col1").alias("first_key")), "page-copies")
+    once = placed.join(broadcast_if_small(again, 100), ["host", "layout", "copy"], "left")
+    once = once.filter(F.col("first_key").isNull() | (F.coalesce(F.col("key").cast("long"), F.lit((1 << 63) - 1)) == F.col("first_key"))).select("pool", "html")
+    counted = _with_pool(once, seeds, "200 + length(seed)", sizes).select("pool", "html", "seed").mapInArrow(released(_counted), "pool string, node int, " + ", ".join(f"{c} long" for c in COUNTS))
+    sums = counted.groupBy("pool", "node").agg(*(F.sum(c).alias(c) for c in COUNTS))
+    stats = sums.groupBy("pool").agg(F.collect_list(F.struct("node", *COUNTS)).alias("stats"))
+    wrappers = stored(seeds.join(stats, "pool", "left"), "wrappers")
+    found = _with_pool(pooled(rows), wrappers, "200 + length(seed) + 48 * coalesce(size(stats), 0)", sizes)
     kind = rows.schema["key"].dataType.simpleString()
-    out = full.select("key", "url", "host", "html", "seed", "stats").mapInArrow(_extracted, f"key {kind}, url string, text string, n_chars long")
+    out = found.select("key", "url", "pool", "html", "seed", "stats").mapInArrow(released(_extracted), f"key {kind}, url string, text string, n_chars long")
     return out.toDF(key, url, "text", "n_chars")
 
 
