@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .licenses import KNOWN, NOTICE_PATTERN, SPELLINGS
+from .licenses import DIGESTS, SPELLINGS, known_texts
 
 #: The checksum's table and steps, from its polynomial.
 CRC32 = """
@@ -39,12 +39,14 @@ def digest_sql(x: str) -> str:
     return f"(CASE WHEN {canonical_sql(x)} <> '' THEN sha256({canonical_sql(x)}) END)"
 
 
-_KNOWN = " UNION ALL ".join(f"SELECT {_text(i)} AS license_id, {_text(t)} AS text" for i, t in KNOWN)
+_KNOWN = " UNION ALL ".join(f"SELECT {_text(i)} AS license_id, {_text(t)} AS text" for i, t in known_texts())
+_LONG = " UNION ALL ".join(f"SELECT {_text(i)} AS license_id, {_text(d)} AS digest" for i, d in DIGESTS)
 OP10 = f"""
-WITH known AS (SELECT digest, MIN(license_id) AS license_id FROM (SELECT license_id, {digest_sql('text')} AS digest FROM ({_KNOWN}) k) x GROUP BY 1),
+WITH notice AS (SELECT digest, MIN(license_id) AS license_id FROM (SELECT license_id, {digest_sql('text')} AS digest FROM ({_KNOWN}) k) x GROUP BY 1),
+known AS (SELECT digest, MIN(license_id) AS license_id FROM (SELECT license_id, digest FROM notice UNION ALL {_LONG}) y GROUP BY 1),
 d AS (SELECT doc_id, text, {digest_sql('text')} AS text_digest FROM documents),
 l AS (SELECT doc_id, UNNEST(string_split(text, chr(10))) AS line FROM documents),
-n AS (SELECT doc_id, list_sort(list(DISTINCT license_id)) AS notices FROM (SELECT doc_id, {digest_sql('line')} AS digest FROM l WHERE regexp_matches(line, {_text(NOTICE_PATTERN)})) y JOIN known USING (digest) GROUP BY 1)
+n AS (SELECT doc_id, list_sort(list(DISTINCT license_id)) AS notices FROM (SELECT doc_id, {digest_sql('line')} AS digest FROM l) y JOIN notice USING (digest) GROUP BY 1)
 SELECT d.doc_id, d.text_digest, known.license_id, COALESCE(n.notices, []) AS notices FROM d LEFT JOIN known ON d.text_digest = known.digest LEFT JOIN n ON d.doc_id = n.doc_id
 """.strip()
 
