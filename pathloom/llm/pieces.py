@@ -38,6 +38,8 @@ SEED = 11
 MOST_NODES, BATCH_CHARS = 1_000_000, 2 << 20
 #: Every character's factor in a spelling's weight. The same for all spellings of a word, it keeps masses in range.
 LEVEL, LONG = 30.0, 64
+#: Bits of an edge's place within its node's mass, in the tables that draws are looked up in.
+SHARE_BITS = 33
 #: Weight of spelling a character by bytes, as of a piece of this rank.
 BYTE_RANK = 64_000
 
@@ -80,7 +82,7 @@ class PieceSampler:
         # node 0 is the start of every word; above: the node of the beginning that is one character shorter
         self.mass: list[float] = [1.0]
         self.above: list[int] = [0]
-        self.edges = (np.empty(1 << 16), np.empty(1 << 16, np.int32), np.empty(1 << 16, np.int32))
+        self.edges = (np.empty(1 << 16, np.uint64), np.empty(1 << 16, np.int32), np.empty(1 << 16, np.int32))
         self.filled = 0
         self._refresh()
 
@@ -173,9 +175,14 @@ class PieceSampler:
         return nodes[-1]
 
     def _tables(self) -> tuple[np.ndarray, ...]:
-        """Of all edges, by node: the node plus the share of its mass up to the edge, where the edge starts, its piece."""
+        """Of all edges, by node: the node's number above the share of its mass up to the edge, where the edge starts, its piece.
+
+        Number and share have bits of their own, so a share does not depend on which number a node got.
+        """
         counts = np.array(self.counts, np.int64)
-        share = np.array(self.running) / np.repeat(np.array(self.totals), counts) + np.repeat(np.arange(self.first, len(self.mass)), counts)
+        share = np.array(self.running) / np.repeat(np.array(self.totals), counts)
+        number = np.repeat(np.arange(self.first, len(self.mass), dtype=np.uint64), counts)
+        share = (number << np.uint64(SHARE_BITS)) + np.rint(share * (1 << SHARE_BITS)).astype(np.uint64)
         to = self.filled + len(share)
         if to > len(self.edges[0]):
             self.edges = tuple(np.concatenate([x[: self.filled], np.empty(to, x.dtype)]) for x in self.edges)
@@ -213,7 +220,7 @@ class PieceSampler:
         length = np.zeros(len(node), np.int32)
         while len(live):
             u = _uniform(state[live], len(steps))
-            edge = np.searchsorted(top, node[live] + u * (1 - 1e-9), "right")
+            edge = np.searchsorted(top, (node[live].astype(np.uint64) << np.uint64(SHARE_BITS)) + u, "right")
             steps.append((live, piece[edge]))
             length[live] += 1
             node[live] = origin[edge]
@@ -253,11 +260,11 @@ class PieceSampler:
 
 
 def _uniform(state: np.ndarray, step: int) -> np.ndarray:
-    """Numbers in [0, 1) from hashed counters."""
+    """Numbers of SHARE_BITS bits from hashed counters."""
     z = state + np.uint64(((step + 1) * 0xD1342543DE82EF95) % (1 << 64))
     z = (z ^ (z >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
     z = (z ^ (z >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return ((z ^ (z >> np.uint64(31))) >> np.uint64(11)) * (1.0 / (1 << 53))
+    return (z ^ (z >> np.uint64(31))) >> np.uint64(64 - SHARE_BITS)
 
 
 @lru_cache(maxsize=2)
@@ -338,4 +345,4 @@ def decoded(rows: DataFrame, model_path: str, pieces: str = "pieces", text: str
 def op2_lattice_sampled_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    return sampled_pieces(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"), ids=False)
+    return sampled_pieces(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))

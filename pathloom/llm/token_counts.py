@@ -7,10 +7,13 @@ transition carries how much the number of tokens of the prefix changes (it may b
 token can replace several). The count of a pre-token is the sum along its path; whole pre-tokens
 are remembered as macro transitions.
 
-The pre-tokeniser always cuts before white space that follows something else, whatever came before. So
-the state map of a chunk of text needs only what precedes its first such cut, the count between
-its first and last cut, and what follows the last one. These maps form a monoid; long texts are cut
-into chunks whose maps are composed by a scan, and no chunk depends on another's result.
+At some places the pre-tokeniser always cuts, whatever came before: before white space that follows something
+else, and where a run of letters or of digits ends. There the transducer is in its start state, so the state map of
+a chunk of text (how any state before it goes over into the state after it, and how many tokens that adds)
+needs only what precedes its first such place, the count between the first and the last, and what follows the
+last. These maps form a monoid. Long texts are cut into chunks, which are rows of their own and are mapped
+independently; neighbouring maps are then composed, FAN at a time, until each text has one. No chunk waits
+for another's result, and no task sees more than FAN maps of a text.
 """
 
 from __future__ import annotations
@@ -20,16 +23,18 @@ import re
 import sys
 import unicodedata
 from collections.abc import Iterator
-from functools import lru_cache, reduce
+from functools import lru_cache
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType
 
-from .common import pick, table
+from .common import broadcast_if_small, pick, stored, table
 
 CHUNK_CHARS = 1 << 16
+#: Neighbouring maps that are composed at once.
+FAN = 64
 #: Memo sizes at which the compiled tables of a worker start anew; they bound memory, not results.
 MOST_WORDS, MOST_STATES = 600_000, 180_000
 #: The token limit that over_limit is about.
@@ -79,7 +84,9 @@ class BpeTransducer:
         self.find = re.compile(
             f" ?[{word}]+|{CLITICS}| ?[{number}]+| ?[^{WHITE}{word}{number}]+|[{WHITE}]+(?![^{WHITE}])|[{WHITE}]+"
         ).findall
-        self.sync = re.compile(f"(?<=[^{WHITE}])[{WHITE}]")
+        self.sync = re.compile(f"(?<=[^{WHITE}])(?=[{WHITE}])|(?<=[{word}])(?=[^{word}{WHITE}])|(?<=[{number}])(?=[^{number}{WHITE}])")
+        # pairs of characters inside special strings, which no cut may separate
+        self.whole = {s[i : i + 2] for s in self.special for i in range(len(s) - 1)}
         self.trie: list[tuple[dict[int, int], bytes | None]] = [({}, None)]
         for token in (raw(s) for s in spec["model"]["vocab"]):
             self._add(token)
@@ -180,21 +187,24 @@ class BpeTransducer:
         parts = self.cut.split(text)
         return sum(map(self.plain, parts)) + len(parts) - 1
 
+    def _cuts(self, text: str, low: int = 0) -> Iterator[int]:
+        """The places from low on where the pre-tokeniser cuts whatever is before."""
+        return (m.start() for m in self.sync.finditer(text, low) if text[m.start() - 1 : m.start() + 1] not in self.whole)
+
     def chunk_map(self, text: str) -> tuple[str, int, str] | str:
         """A chunk's map: (before the first cut, tokens between, from the last cut on), or the chunk itself if it has no cut."""
-        first = self.sync.search(text)
-        if not first:
+        first = next(self._cuts(text), None)
+        if first is None:
             return text
-        last = first.start()
-        back = 256
+        last, back = first, 256
         while True:  # the last cut, sought from the end in growing windows
-            low = max(first.start(), len(text) - back - 1)
-            found = [m.start() for m in self.sync.finditer(text, low)]
-            if found or low == first.start():
-                last = max(found, default=last)
+            low = max(first, len(text) - back)
+            found = max(self._cuts(text, low), default=None)
+            if found is not None or low == first:
+                last = first if found is None else found
                 break
             back *= 4
-        return text[: first.start()], self.between(text[first.start() : last]), text[last:]
+        return text[:first], self.between(text[first:last]), text[last:]
 
     def compose(self, x, y):
         """The map of two adjoining chunks."""
@@ -210,19 +220,28 @@ class BpeTransducer:
 
     def _joined(self, a: str, b: str):
         """a + b, cut if the seam between them is one."""
-        if a and b and self.sync.match(a[-1] + b[0], 1):
+        if a and b and next(self._cuts(a[-1] + b[0], 1), None) == 1:
             return a, 0, b
         return a + b
 
-    def count(self, text: str | None) -> int:
-        if not text:
-            return 0
-        if len(text) <= CHUNK_CHARS:
-            return self.between(text)
-        maps = (self.chunk_map(text[i : i + CHUNK_CHARS]) for i in range(0, len(text), CHUNK_CHARS))
-        whole = reduce(self.compose, maps)
+    def scan(self, maps: list):
+        """The map of neighbouring chunks, composed as a balanced tree."""
+        while len(maps) > 1:
+            maps = [self.compose(*maps[i : i + 2]) if i + 1 < len(maps) else maps[i] for i in range(0, len(maps), 2)]
+        return maps[0]
+
+    def finished(self, whole) -> int:
+        """The tokens of a text from its map."""
         return self.between(whole) if isinstance(whole, str) else self.between(whole[0]) + whole[1] + self.between(whole[2])
 
+    def count(self, text: str | None) -> int:
+        """The tokens of a text, in one go."""
+        return self.between(text) if text else 0
+
+    def count_by_chunks(self, text: str, size: int) -> int:
+        """As count, by the maps of chunks."""
+        return self.finished(self.scan([self.chunk_map(text[i : i + size]) for i in range(0, len(text), size)])) if text else 0
+
 
 @lru_cache(maxsize=2)
 def transducer(path: str) -> BpeTransducer:
@@ -231,12 +250,64 @@ def transducer(path: str) -> BpeTransducer:
         return BpeTransducer(json.load(f))
 
 
-def token_counts(docs: DataFrame, tokenizer_path: str, key: str = "doc_id", text: str = "text", limit: int = LIMIT) -> DataFrame:
+MAP = "digest string, place int, before string, tokens long, after string"
+
+
+def _as_row(found) -> tuple:
+    """A map as (before, tokens, after); a chunk without a cut has no tokens and no after."""
+    return (found, None, None) if isinstance(found, str) else found
+
+
+def _mapped(path: str):
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        t = transducer(path)
+        for batch in batches:
+            rows = [(d, k, *_as_row(t.chunk_map(x))) for d, k, x in zip(batch["digest"], batch["place"], batch["chunk"], strict=True)]
+            yield _frame(rows)
+
+    return run
+
+
+def _frame(rows: list[tuple]) -> pd.DataFrame:
+    return pd.DataFrame(rows, columns=["digest", "place", "before", "tokens", "after"]).astype({"tokens": "Int64"})
+
+
+def _composed(path: str):
+    def run(rows: pd.DataFrame) -> pd.DataFrame:
+        """Neighbouring maps of one text as one."""
+        t, rows = transducer(path), rows.sort_values("place")
+        maps = [b if pd.isna(n) else (b, int(n), a) for b, n, a in zip(rows["before"], rows["tokens"], rows["after"], strict=True)]
+        return _frame([(rows["digest"].iloc[0], int(rows["place"].iloc[0]) // FAN, *_as_row(t.scan(maps)))])
+
+    return run
+
+
+def _long_counts(rows: DataFrame, path: str, chunk: int) -> DataFrame:
+    """(digest, n) of the texts of more than chunk characters: their chunks' maps, composed in rounds of FAN neighbours."""
+    long = rows.filter(F.length("text") > chunk).select(F.md5("text").alias("digest"), "text")
+    places = F.sequence(F.lit(0), F.floor((F.length("text") - 1) / chunk).cast("int"))
+    cut = long.select("digest", "text", F.explode(places).alias("place")).select("digest", "place", F.substring(F.col("text"), (F.col("place") * chunk + 1).cast("int"), F.lit(chunk)).alias("chunk"))
+    # copies of a text have the same chunks
+    maps = stored(cut.mapInPandas(_mapped(path), MAP).dropDuplicates(["digest", "place"]), "chunk-maps")
+    while (maps.agg(F.max("place")).first()[0] or 0) > 0:
+        maps = stored(maps.groupBy("digest", F.expr(f"place div {FAN}").alias("group")).applyInPandas(_composed(path), MAP), "chunk-maps")
+
+    @F.pandas_udf(LongType())
+    def finished(before: pd.Series, tokens: pd.Series, after: pd.Series) -> pd.Series:
+        t = transducer(path)
+        return pd.Series([t.finished(b if pd.isna(n) else (b, int(n), a)) for b, n, a in zip(before, tokens, after, strict=True)], dtype="int64")
+
+    return stored(maps.select("digest", finished("before", "tokens", "after").alias("n")), "long-counts")
+
+
+def token_counts(docs: DataFrame, tokenizer_path: str, key: str = "doc_id", text: str = "text", limit: int = LIMIT, chunk: int = CHUNK_CHARS) -> DataFrame:
     """key, n_bytes, n_tokens, over_limit for each row of docs.
 
-    Null and empty texts have 0 bytes and 0 tokens; repeated rows and null keys are kept as they come;
-    extra columns are ignored. Texts are read once where they lie: nothing is shuffled.
+    Null and empty texts have 0 bytes and 0 tokens; repeated rows and null keys are kept as they come; extra columns
+    are ignored. Texts of up to ``chunk`` characters are counted where they lie; longer ones by chunk. A
+    stretch of one kind of character (a run of letters, say) that is longer than a chunk is carried whole.
     """
+    rows = pick(docs, key, text).toDF("key", "text")
 
     @F.pandas_udf(LongType())
     def n_tokens(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:
@@ -244,12 +315,16 @@ def token_counts(docs: DataFrame, tokenizer_path: str, key: str = "doc_id", text
         for batch in texts:
             yield pd.Series([count(t) for t in batch], dtype="int64")
 
-    rows = pick(docs, key, text).toDF("key", "text")
-    return rows.select(
-        F.col("key").alias(key),
+    is_long = F.coalesce(F.length("text") > chunk, F.lit(False))
+    long = broadcast_if_small(_long_counts(rows, tokenizer_path, chunk), 100)
+    counted = rows.select(
+        "key",
         F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"),
-        n_tokens("text").alias("n_tokens"),
-    ).withColumn("over_limit", F.col("n_tokens") > limit)
+        n_tokens(F.when(~is_long, F.col("text"))).alias("short"),
+        F.when(is_long, F.md5("text")).alias("digest"),
+    )
+    out = counted.join(long, "digest", "left").select(F.col("key").alias(key), "n_bytes", F.coalesce("n", "short").alias("n_tokens"))
+    return out.withColumn("over_limit", F.col("n_tokens") > limit)
 
 
 def op5_transducer_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

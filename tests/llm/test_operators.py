@@ -182,6 +182,40 @@ def test_quality_of_hard_documents(spark):
     assert {r["s"] for r in pick(docs, "text").select(score("text").alias("s")).collect()} == {0.5}
 
 
+def test_neighbours_vote_as_by_brute_force():
+    """Scores against plain loops over all labelled vectors."""
+    texts = [prose(i, 40) if i % 2 else prose(i, 40).replace(" ", " !! ") for i in range(60)]
+    x = quality._frequencies(texts)
+    rows = [(np.flatnonzero(r), r[np.flatnonzero(r)]) for r in x]
+    labels = np.array([float(i % 2) for i in range(60)])
+    voter = quality.fit_voter(rows, labels)
+    dense = x * 1.0
+    having = (dense > 0).sum(axis=0)
+    weighted = dense * (np.log(61 / (1 + having)) + 1)
+    left, size, _ = np.linalg.svd(weighted, full_matrices=False)
+    want = left[:, : quality.DIMENSIONS] * size[: quality.DIMENSIONS]
+    want /= np.linalg.norm(want, axis=1, keepdims=True)
+    assert np.allclose(want @ want.T, voter.vectors @ voter.vectors.T, atol=0.02)
+    for text in [prose(100, 30), prose(101, 30).replace(" ", " !! "), ""]:
+        z = voter.project(quality._frequencies([text]))[0]
+        near = sorted(((float(z @ v), y) for v, y in zip(voter.vectors, voter.labels)), reverse=True)[: quality.NEIGHBOURS]
+        votes = sum(max(c, 0) * y for c, y in near) + quality.PRIOR_VOTES * voter.prior
+        score = votes / (sum(max(c, 0) for c, _ in near) + quality.PRIOR_VOTES)
+        assert abs(voter.scores([text])[0] - score) < 1e-4
+
+
+def test_texts_that_differ_in_words_only_differ(spark):
+    a, b = quality._frequencies(["the red house stands here", "der neue Motor lief lange"])
+    assert float(a @ b) / float(np.linalg.norm(a) * np.linalg.norm(b)) < 0.8
+
+
+def test_scored_documents_of_hard_tables(spark):
+    labels = spark.createDataFrame([(0, 1, 9), (0, 0, 9), (12, 0, 9), (None, 1, 9), (5, None, 9), (18, 1, 9)], "doc_id long, quality int, DOC_ID int")
+    rows = quality.scored_documents(hostile(spark), labels).collect()
+    assert len(rows) == len(hostile_rows()) and all(0 <= r["score"] <= 1 and r["predicted"] == int(r["score"] >= quality.THRESHOLD) for r in rows)
+    assert quality.scored_documents(empty(spark), labels).count() == 0
+
+
 def test_held_out_rows(spark):
     got = by_id(spark.range(50).select(F.col("id").alias("doc_id"), quality.is_held_out(F.col("id")).alias("h")))
     assert {i for i, r in got.items() if r["h"]} == {i for i in range(50) if zlib.crc32(str(i).encode()) % 4 == 2}
@@ -206,14 +240,23 @@ def test_token_counts_are_the_librarys(spark, library):
     assert token_counts.token_counts(empty(spark), BYTES).count() == 0
 
 
-def test_chunk_maps_compose_anywhere(library, monkeypatch):
+def test_long_texts_are_counted_by_chunks(spark, library):
+    """Texts without white space, runs longer than a chunk, special strings over seams; several rounds of composition."""
+    texts = ["w" * 700, "日本語、" * 200, "ab12-" * 300 + "<|endoftext|>" * 40 + prose(3, 200), prose(4, 400), "a" * 31, "\n \n" * 200 + "x"]
+    docs = spark.createDataFrame([(i % 4, t) for i, t in enumerate(texts + texts)], "doc_id long, text string")
+    for chunk in (3, 31):
+        got = sorted((r["n_bytes"], r["n_tokens"]) for r in token_counts.token_counts(docs, BYTES, chunk=chunk).collect())
+        assert got == sorted((len(t.encode()), len(library.encode(t, add_special_tokens=False).ids)) for t in texts + texts)
+
+
+def test_chunk_maps_compose_anywhere(library):
     t = token_counts.transducer(BYTES)
     rng = random.Random(1)
     letters = "ab'sT tré \n\t  1²½٣_-.,!日本ñ\U0001f600\u0085"
     for _ in range(600):
         text = "".join(rng.choice(letters) if rng.random() < 0.9 else "<|endoftext|>" for _ in range(rng.randint(0, 60)))
-        monkeypatch.setattr(token_counts, "CHUNK_CHARS", rng.choice((1, 2, 3, 7, 20, 1000)))
-        assert t.count(text) == len(library.encode(text, add_special_tokens=False).ids), repr(text)
+        want = len(library.encode(text, add_special_tokens=False).ids)
+        assert t.count(text) == want == t.count_by_chunks(text, rng.choice((1, 2, 3, 7, 20, 1000))), repr(text)
 
 
 # 6
