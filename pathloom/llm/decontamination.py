@@ -1,8 +1,10 @@
 """Benchmark decontamination by template canonicalisation, in DataFrame functions only.
 
-Words are lower-cased and stripped of punctuation; numbers, units and names (capitalised words inside a
-sentence) become typed placeholders. Windows of five such words are hash-joined to the windows of all
-benchmark items. Where enough of an item's windows occur in a document, the words behind the placeholders
+Words are lower-cased and stripped of punctuation; numbers (in digits or spelled out), units and names (capitalised
+words, wherever in a sentence, so that a name reads the same at its start) become typed placeholders.
+Windows of five such words are hash-joined to the windows of all benchmark items; an item of fewer words is one
+window of its own length. Windows of placeholders alone, which any table of figures has, find no items but
+those that have no others. Where enough of an item's windows occur in a document, the words behind the placeholders
 are compared along the best alignment: a leaked question may have other numbers and names than the
 item, but one value of the item must then have become one value in the document.
 
@@ -27,6 +29,10 @@ MOST_DISAGREEING = 0.25
 UNITS = "mm cm m km mi ft in mg g kg lb lbs oz ml l gal ms s sec min h hr hrs hour hours minute minutes second seconds day days week weeks month months year years mph kmh kph hz khz mhz ghz kb mb gb tb w kw v a j kj cal kcal usd eur gbp dollar dollars euro euros cent cents percent % $ € £ °c °f".split()
 
 
+#: Numbers spelled out.
+NUMBERS = "two three four five six seven eight nine ten eleven twelve thirteen fourteen fifteen sixteen seventeen eighteen nineteen twenty thirty forty fifty sixty seventy eighty ninety hundred thousand million".split()
+
+
 def words(text: Column) -> Column:
     """Words between white space; none for null."""
     return F.filter(F.split(F.coalesce(text, F.lit("")), r"\s+"), lambda w: w != "")
@@ -35,47 +41,59 @@ def words(text: Column) -> Column:
 def templated(w: Column) -> Column:
     """The canonical words: as many as there are words."""
 
-    def canonical(word: Column, i: Column) -> Column:
+    def canonical(word: Column) -> Column:
         bare = F.regexp_replace(word, r"^[^\p{L}\p{N}%$€£°]+|[^\p{L}\p{N}%$€£°]+$", "")
         low = F.lower(bare)
-        before = F.when(i > 0, F.get(w, i - 1)).otherwise(F.lit("."))
-        plain = F.when(low.isin(UNITS), F.lit("#u"))
+        listed = lambda x: F.when(x.isin(UNITS), F.lit("#u")).when(x.isin(NUMBERS), F.lit("#n"))
         return (
-            F.when(word.rlike(r"^\p{Ll}+$"), F.coalesce(F.when(word.isin(UNITS), F.lit("#u")), word))
+            F.when(word.rlike(r"^\p{Ll}+$"), F.coalesce(listed(word), word))
             .when(bare == "", word)
             .when(bare.rlike(r"^[$€£]?[0-9][0-9.,:/\-]*$"), F.lit("#n"))
             .when(bare.rlike(r"^[$€£]?[0-9][0-9.,]*(?:\p{L}{1,3}|%|°\p{L})$"), F.lit("#n#u"))
-            .when(low.isin(UNITS), plain)
-            .when(bare.rlike(r"^\p{Lu}\p{Ll}+$") & before.rlike(r"[\p{L}\p{N},;]$"), F.lit("#p"))
+            .when(low.isin(UNITS) | low.isin(NUMBERS), listed(low))
+            .when(bare.rlike(r"^\p{Lu}[\p{L}'’\-]*\p{Ll}[\p{L}'’]*$"), F.lit("#p"))
             .otherwise(low)
         )
 
     return F.transform(w, canonical)
 
 
-def window_hashes(t: Column) -> Column:
-    """Hashes of all windows, by place; none for fewer words than a window."""
-    n = F.size(t) - (WINDOW - 1)
-    return F.when(n > 0, F.transform(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: F.xxhash64(F.array_join(F.slice(t, i, WINDOW), " "))))
+def window_hashes(t: Column, size: int = WINDOW) -> Column:
+    """Hashes of all windows of a number of words, by place; null for fewer words than that."""
+    n = F.size(t) - (size - 1)
+    return F.when(n > 0, F.transform(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: F.xxhash64(F.array_join(F.slice(t, i, size), " "))))
 
 
 def leaked_items(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item: str = "item_id", item_text: str = "text", share: float = LEAST_SHARE) -> DataFrame:
     """A row for each document and benchmark item leaked into it: key, item, n_windows, n_found, kind.
 
     kind is ``verbatim`` if all words behind placeholders are the item's, else ``reparameterised``.
-    Documents and items with null keys or of fewer than five words match nothing. Rows that repeat a key
+    An item of fewer than five words is leaked where all of them occur in a row. Documents and items with null keys,
+    and items without words, match nothing. Rows that repeat a key
     count as one document; each of its texts can match. Copies of a document are reported each. Extra
     columns are ignored; empty tables give an empty result.
     """
-    items = pick(benchmark, item, item_text).toDF("item", "text").filter("item is not null").withColumn("w", words(F.col("text")))
-    items = stored(items.withColumn("t", templated(F.col("w"))).withColumn("h", window_hashes(F.col("t"))).select("item", "w", "t", "h"), "items").filter("h is not null")
-    known = items.select("item", F.size("h").alias("of"), F.posexplode("h").alias("p", "hash"))
+    items = pick(benchmark, item, item_text).toDF("item", "text").filter("item is not null").withColumn("w", words(F.col("text"))).filter("size(w) > 0")
+    items = items.withColumn("t", templated(F.col("w"))).withColumn("width", F.least(F.size("w"), F.lit(WINDOW)))
+    shorter = F.coalesce(*(F.when(F.col("width") == k, window_hashes(F.col("t"), k)) for k in range(1, WINDOW + 1)))
+    items = stored(items.select("item", "w", "t", "width", shorter.alias("h")), "items")
+    plain = lambda p: F.exists(F.slice("t", p + 1, WINDOW), lambda x: ~x.startswith("#"))
+    places = F.sequence(F.lit(0), F.size("h") - 1)
+    some = F.filter(places, plain)
+    used = items.withColumn("ps", F.when(F.size(some) > 0, some).otherwise(places))
+    known = used.select("item", "width", F.size("ps").alias("of"), F.explode(F.transform("ps", lambda p: F.struct(p.alias("p"), F.get(F.col("h"), p).alias("hash")))).alias("x")).select("item", "width", "of", "x.p", "x.hash")
+    widths = sorted(r["width"] for r in items.select("width").distinct().collect())  # WINDOW at most
 
     rows = pick(docs, key, text).toDF("key", "text").filter("key is not null")
-    found = rows.select("key", words(F.col("text")).alias("w")).select("key", "w", templated(F.col("w")).alias("t")).select("key", window_hashes(F.col("t")).alias("h"))
+    found = rows.select("key", words(F.col("text")).alias("w")).select("key", templated(F.col("w")).alias("t"))
+    found = found.select("key", F.array(*(F.struct(F.lit(k).alias("width"), window_hashes(F.col("t"), k).alias("h")) for k in widths or [WINDOW])).alias("all"))
+    if len(widths) <= 1:
+        found = found.select("key", F.lit((widths or [WINDOW])[0]).alias("width"), F.get("all", F.lit(0))["h"].alias("h"))
+    else:
+        found = found.select("key", F.explode("all").alias("one")).select("key", "one.width", "one.h")
     # outer: else the optimizer would test the arrays' sizes below, and evaluate all of the above again inside itself
-    places = found.select("key", F.posexplode_outer("h").alias("q", "hash"))
-    hits = stored(places.join(broadcast_if_small(known, 40), "hash").select("key", "item", "of", "p", "q"), "hits")
+    places = found.select("key", "width", F.posexplode_outer("h").alias("q", "hash"))
+    hits = stored(places.join(broadcast_if_small(known, 40), ["hash", "width"]).select("key", "item", "of", "p", "q"), "hits")
 
     # places p and q of one alignment differ by the same number
     lines = hits.groupBy("key", "item", "of", (F.col("q") - F.col("p")).alias("shift")).agg(F.collect_set("p").alias("ps"))
@@ -84,13 +102,16 @@ def leaked_items(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", tex
     near = stored(near.filter(F.col("n_found") >= share * F.col("n_windows")), "near")
 
     # the words behind the placeholders, in the few documents that are left
-    few = near.join(items.select("item", F.col("w").alias("iw"), "t"), "item")
-    at = F.array_distinct(F.flatten(F.transform("ps", lambda p: F.sequence(p, p + WINDOW - 1))))
+    few = near.join(items.select("item", F.col("w").alias("iw"), "t", "width"), "item")
+    at = F.array_distinct(F.flatten(F.transform("ps", lambda p: F.sequence(p, p + F.col("width") - 1))))
     slots = F.filter(at, lambda i: F.get(F.col("t"), i).startswith("#"))
-    few = few.select("key", "item", "n_windows", "n_found", "shift", "iw", slots.alias("slots"))
+    few = few.select("key", "item", "n_windows", "n_found", "shift", "iw", F.col("t").alias("it"), at.alias("at"), slots.alias("slots"))
     full = stored(rows.join(broadcast_if_small(few, 2000), "key").withColumn("w", words(F.col("text"))).drop("text"), "near-words")
     strip = lambda x: F.lower(F.regexp_replace(x, r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$", ""))
     pairs = F.transform("slots", lambda i: F.struct(strip(F.get(F.col("iw"), i)).alias("a"), strip(F.get(F.col("w"), (i + F.col("shift")).cast("int"))).alias("b")))
+    # equal hashes are taken for equal words no longer: all words of the windows are compared
+    full = full.withColumn("t", templated(F.col("w")))
+    full = full.filter(F.forall("at", lambda i: F.get(F.col("it"), i) == F.get(F.col("t"), (i + F.col("shift")).cast("int"))))
     full = stored(full.select("key", "item", "n_windows", "n_found", pairs.alias("pairs")), "slots")
     disagree = F.size(F.array_distinct("pairs")) - F.size(F.array_distinct(F.transform("pairs", lambda x: x["a"])))
     same = ~F.exists("pairs", lambda x: F.coalesce(x["a"] != x["b"], F.lit(True)))

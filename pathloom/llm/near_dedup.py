@@ -60,10 +60,14 @@ def shingle_set(text: str | None, size: int = SHINGLE) -> set[tuple[bytes, ...]]
 class WordHashes(dict):
     """64-bit hashes of words, remembered up to a bound."""
 
+    def __init__(self, seed: int = SEED):
+        super().__init__()
+        self.seed = seed
+
     def __missing__(self, w: bytes) -> int:
         if len(self) >= MEMO:
             self.clear()
-        self[w] = h = xxhash.xxh3_64_intdigest(w, SEED)
+        self[w] = h = xxhash.xxh3_64_intdigest(w, self.seed)
         return h
 
 
@@ -72,7 +76,7 @@ def shingle_hashes(w: list[bytes], memo: WordHashes, size: int = SHINGLE) -> np.
     if not w:
         return np.empty(0, np.uint64)
     if len(w) < size:
-        return np.array([xxhash.xxh3_64_intdigest(b" ".join(w), SEED + len(w))], np.uint64)
+        return np.array([xxhash.xxh3_64_intdigest(b" ".join(w), memo.seed + len(w))], np.uint64)
     h = np.fromiter(map(memo.__getitem__, w), np.uint64, len(w))
     n = len(w) - size + 1
     out = np.zeros(n, np.uint64)
@@ -168,8 +172,9 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     component_id is the smallest key reachable over links (Jaccard similarity of five-word shingle
     sets of at least 0.75), the row's own included; kept marks the row that has it. Null and empty
     texts have no shingles and are linked with nothing. Rows with a null key are returned with a null
-    component and kept. Rows that repeat a key are treated as copies of one document if their words
-    agree. Empty tables give empty results; extra columns are ignored.
+    component and kept. Rows that repeat a key are one document each if their words agree; if not, each is
+    linked by its own words, and as both have one id they are in one component. Empty tables give empty results;
+    extra columns are ignored.
     """
     rows = pick(docs, key, text).toDF("key", "text").withColumn("key", F.col("key").cast("long"))
     signed = stored(rows.mapInArrow(released(_signed), "key long, n_shingles long, k1 long, k2 long, bands array<long>"), "signatures")
@@ -188,9 +193,16 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     named = stored(named, "named")
     several = named.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min("rep").alias("lead")).filter("low <> high")
     rest = stored(named.join(several.select("bucket", "lead"), "bucket"), "open")
-    if not rest.isEmpty():
-        merges = _relabelled(_joined_in_blocks(rest, texts), label)
-        label = stored(_merged(label, components(merges)), "labels")
+    seed = SEED
+    while not rest.isEmpty():
+        # blocks count common hashes; what they name is confirmed on full sets, and if any is not, blocks are joined again under other hashes
+        found = _joined_in_blocks(rest, texts, seed)
+        links = _verified(found, texts)
+        label = stored(_merged(label, components(_relabelled(links, label))), "labels")
+        if links.count() == found.count():
+            break
+        seed += 1
+        rest = stored(rest.drop("component").join(label.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep")), "open")
 
     reps = classes.select("k1", "k2", "rep").join(label.select(F.col("node").alias("rep"), "component"), "rep", "left")
     reps = reps.select("k1", "k2", F.coalesce("component", "rep").alias("component"))
@@ -201,13 +213,16 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     )
 
 
-def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    memo = WordHashes()
-    for batch in batches:
-        for i in range(0, batch.num_rows, 1000):
-            part = batch.slice(i, 1000)
-            sets = [shingle_hashes(words(t.as_py()), memo).tobytes() for t in part.column("text")]
-            yield pa.RecordBatch.from_arrays([part.column("key"), pa.array(sets, pa.binary())], names=["key", "hashes"])
+def _sets(seed: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        memo = WordHashes(seed)
+        for batch in batches:
+            for i in range(0, batch.num_rows, 1000):
+                part = batch.slice(i, 1000)
+                sets = [shingle_hashes(words(t.as_py()), memo).tobytes() for t in part.column("text")]
+                yield pa.RecordBatch.from_arrays([part.column("key"), pa.array(sets, pa.binary())], names=["key", "hashes"])
+
+    return run
 
 
 def common_counts(a: list[np.ndarray], b: list[np.ndarray]) -> np.ndarray:
@@ -263,7 +278,7 @@ def _spanning(a: np.ndarray, b: np.ndarray) -> list[int]:
     return out
 
 
-def _joined_in_blocks(rest: DataFrame, texts: DataFrame) -> DataFrame:
+def _joined_in_blocks(rest: DataFrame, texts: DataFrame, seed: int = SEED) -> DataFrame:
     """All links within the open buckets between different components; rest: bucket, lead, rep, size, component."""
     family = stored(components(rest.select(F.col("rep").alias("a"), F.col("lead").alias("b"))), "families").withColumnRenamed("node", "rep").withColumnRenamed("component", "family")
     small = family.groupBy("family").agg(F.count("*").alias("members")).filter(F.col("members") <= FAMILY).select("family")
@@ -276,7 +291,7 @@ def _joined_in_blocks(rest: DataFrame, texts: DataFrame) -> DataFrame:
     dealt = placed.join(sizes.withColumn("blocks", blocks).drop("n", "total"), ["by_bucket", "group"])
     dealt = dealt.withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     ids = stored(placed.select(F.col("rep").alias("key")).distinct(), "open-ids")
-    sets = texts.join(broadcast_if_small(ids, 16), "key", "left_semi").mapInArrow(released(_sets), "key long, hashes binary")
+    sets = texts.join(broadcast_if_small(ids, 16), "key", "left_semi").mapInArrow(released(_sets(seed)), "key long, hashes binary")
     full = dealt.join(sets.withColumnRenamed("key", "rep"), "rep").select(
         "by_bucket", "group", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rep", "component", "hashes"
     )

@@ -9,7 +9,7 @@ import public_tokenizers
 import pytest
 from pyspark.sql import functions as F
 
-from pathloom.llm import html_extraction, licenses, near_dedup, pieces, quality, suffix_dedup, token_counts
+from pathloom.llm import fingerprints, html_extraction, licenses, near_dedup, pieces, quality, suffix_dedup, token_counts
 from pathloom.llm.common import pick
 from pathloom.llm.components import components
 from pathloom.llm.decontamination import leaked_items
@@ -68,6 +68,24 @@ def test_loosely_alike_texts_are_joined_in_blocks(spark, monkeypatch):
     assert {i: (r["n_shingles"], r["component_id"]) for i, r in got.items()} == near_components(dict(rows))
 
 
+def test_false_block_links_are_not_taken(spark, monkeypatch):
+    """Hashes that collide in the first round of blocks: full sets decide, and a second round finds the true links."""
+    real = near_dedup._sets
+    monkeypatch.setattr(near_dedup, "_sets", lambda seed: _colliding_sets if seed == near_dedup.SEED else real(seed))
+    rows = [(i, f"{prose(31, 60)} {prose(100 + i // 2, 14 + i % 2)}") for i in range(16)]
+    got = by_id(near_dedup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")))
+    assert {i: (r["n_shingles"], r["component_id"]) for i, r in got.items()} == near_components(dict(rows))
+
+
+def _colliding_sets(batches):
+    """All texts have the same hashes."""
+    import pyarrow as pa
+
+    for batch in batches:
+        same = np.arange(1, 40, dtype=np.uint64).tobytes()
+        yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array([same] * batch.num_rows, pa.binary())], names=["key", "hashes"])
+
+
 def test_circulant_signature_estimates_similarity():
     a = np.arange(1, 2001, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
     x, y = near_dedup.signature(np.sort(a[:1500]), 512), near_dedup.signature(np.sort(a[500:]), 512)
@@ -98,6 +116,15 @@ def test_sampled_pieces_are_lossless_and_reproducible(spark):
     assert all(r["lossless"] for r in digests)
 
 
+def test_draws_do_not_depend_on_what_was_seen_before():
+    """Other texts before, and tables that start anew after every text, change nothing."""
+    texts = [prose(i, 60) for i in range(12)]
+    fresh, used = pieces.PieceSampler(PIECES, most_nodes=1), pieces.PieceSampler(PIECES)
+    used.sample([prose(900 + i, 300) for i in range(40)], list(range(40)))
+    for i, t in enumerate(texts):
+        assert list(fresh.sample([t], [i])[0]) == list(used.sample([t], [i])[0])
+
+
 def test_sampling_follows_the_lattice():
     model = pieces.PieceSampler(PIECES)
     word, n = "than", 20000
@@ -146,6 +173,46 @@ def test_leaks_and_reparameterised_questions(spark):
     assert leaked_items(hostile(spark), benchmark).count() == 0
 
 
+@pytest.mark.parametrize(
+    "item,leak,clean",
+    [
+        ("Tom has 3 apples. Tom buys 5 more. Tom eats 2. How many are left?", "Anna has 4 apples. Anna buys 6 more. Anna eats 1. How many are left?", "Anna sold all her pears. How many friends came by is not known."),
+        ("McDonald sells three hats to O'Neil for twelve dollars each day", "Baker sells four hats to D'Arcy for thirty dollars each day", "Baker sells shoes"),
+        ("what is love", "he asked: What is love? Nobody knew.", "what love is"),
+        ("Kyoto", "They went to Kyoto in May.", "they went home"),
+    ],
+)
+def test_short_items_names_and_numbers(spark, item, leak, clean):
+    docs = spark.createDataFrame([(1, prose(1, 40) + " " + leak + " " + prose(2, 40)), (2, prose(3, 40) + " " + clean), (3, "1 2 3 4 5 6 7 8 9"), (4, item)], "doc_id long, text string")
+    got = {r["doc_id"]: r["kind"] for r in leaked_items(docs, spark.createDataFrame([(1, item), (2, "")], "item_id long, text string")).collect()}
+    assert 1 in got and got[4] == "verbatim" and 3 not in got
+    assert 2 not in got
+
+
+def test_tables_of_figures_find_only_items_of_figures(spark):
+    docs = spark.createDataFrame([(1, " ".join(map(str, range(2000)))), (2, "sum 1 2 3 4 5 6 7 up")], "doc_id long, text string")
+    items = spark.createDataFrame([(1, "sum 1 2 3 4 5 6 7 up"), (2, "900 901 902 903 904 905")], "item_id long, text string")
+    assert {(r["doc_id"], r["item_id"]) for r in leaked_items(docs, items).collect()} >= {(2, 1), (1, 2)}
+    assert (1, 1) not in {(r["doc_id"], r["item_id"]) for r in leaked_items(docs, items).collect()}
+
+
+def test_reparameterised_leaks_are_recalled(spark):
+    """Questions from one template with other names, numbers and units, hidden in prose, against plain items."""
+    rng = random.Random(8)
+    names, units = ["Ada", "Boris", "Carla", "Dmitri", "Elena", "Farid"], ["km", "kg", "hours", "dollars"]
+    forms = [
+        "{a} walks {x} {u} to the old mill and {b} walks {y} {u} to the new mill before {a} rests for {z} {u} near {b}",
+        "If {a} gives {x} {u} of grain to {b} and keeps {y} {u} then how much grain did {a} have before {b} came with {z} {u}",
+        "A shop of {a} sells {x} {u} on Monday while the shop of {b} sells {y} {u} so that {a} and {b} sell {z} {u} together",
+    ]
+    fill = lambda f: f.format(a=(p := rng.sample(names, 2))[0], b=p[1], u=rng.choice(units), **dict(zip("xyz", rng.sample(range(2, 900), 3))))
+    items = [(i, fill(f)) for i, f in enumerate(forms)]
+    docs = [(i * 100 + k, f"{prose(k, 30)} {fill(f)} {prose(k + 50, 30)}") for i, f in enumerate(forms) for k in range(12)] + [(1000 + k, prose(k, 80)) for k in range(30)]
+    got = {(r["doc_id"], r["item_id"]) for r in leaked_items(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")).collect()}
+    want = {(i * 100 + k, i) for i in range(3) for k in range(12)}
+    assert len(want & got) >= 0.9 * len(want) and not got - want
+
+
 def test_inconsistent_slots_are_no_leak(spark):
     item = "Take 5 red and 5 blue and 5 green balls then draw 5 of them at 5 o'clock for 5 days"
     wrong = "Take 1 red and 2 blue and 3 green balls then draw 4 of them at 6 o'clock for 7 days"
@@ -477,6 +544,34 @@ def test_neighbour_fingerprints(spark):
     assert np.mean([r["near_edited"] > r["near_next"] for r in got.values()]) > 0.9
 
 
+def test_likeness_estimates_exact_similarity(spark):
+    """Against exact Jaccard similarities of plain shingle sets."""
+    docs = small_documents(spark)
+    texts = {r["doc_id"]: r["text"] for r in docs.collect()}
+
+    def exact(a, b):
+        x, y = near_dedup.shingle_set(a), near_dedup.shingle_set(b)
+        return len(x & y) / len(x | y) if x | y else 1.0, len(x | y)
+
+    order, got, errors = sorted(texts, reverse=True), by_id(neighbour_fingerprints(docs)), []
+    for i, j in zip(order, order[1:] + order[:1]):
+        for near, other in ((got[i]["near_next"], texts[j]), (got[i]["near_edited"], edited(texts[i], texts[j]))):
+            want, n = exact(texts[i], other)
+            if n >= 200:
+                errors.append(abs(near - want))
+    assert len(errors) > 100 and max(errors) < 0.25 and np.mean(errors) < 0.03
+
+
+def test_ranges_by_bytes_and_digest(spark, monkeypatch):
+    """Many ranges, one key with half of the rows, rows without a key: neighbours are those of the plain order."""
+    monkeypatch.setattr(fingerprints, "RANGE_BYTES", 300)
+    rows = [(7 if i % 2 else i, prose(i, 20)) for i in range(120)] + [(None, prose(500 + i, 10)) for i in range(20)]
+    got = neighbour_fingerprints(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
+    order = sorted(rows, key=lambda r: (r[0] is not None, r[0] or 0, hashlib.md5(r[1].encode()).hexdigest()), reverse=True)
+    want = sorted((len(t), hashlib.sha256(edited(t, n).encode()).hexdigest()) for (_, t), (_, n) in zip(order, order[1:] + order[:1]))
+    assert sorted((r["n_chars"], r["edited_sha256"]) for r in got) == want
+
+
 def test_fingerprints_of_hard_documents(spark):
     rows = neighbour_fingerprints(hostile(spark)).collect()
     assert len(rows) == len(hostile_rows())
