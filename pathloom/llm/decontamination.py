@@ -86,12 +86,12 @@ def leaked_items(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", tex
 
     rows = pick(docs, key, text).toDF("key", "text").filter("key is not null")
     found = rows.select("key", words(F.col("text")).alias("w")).select("key", templated(F.col("w")).alias("t"))
-    found = found.select("key", F.array(*(F.struct(F.lit(k).alias("width"), window_hashes(F.col("t"), k).alias("h")) for k in widths or [WINDOW])).alias("all"))
+    # outer: else the optimizer would test the arrays' sizes below, and evaluate all of the above again inside itself
     if len(widths) <= 1:
-        found = found.select("key", F.lit((widths or [WINDOW])[0]).alias("width"), F.get("all", F.lit(0))["h"].alias("h"))
+        found = found.select("key", F.lit((widths or [WINDOW])[0]).alias("width"), window_hashes(F.col("t"), (widths or [WINDOW])[0]).alias("h"))
     else:
-        found = found.select("key", F.explode("all").alias("one")).select("key", "one.width", "one.h")
-    # outer: else the optimizer would test the arrays' sizes below, and evaluate all of the above again inside itself
+        each = F.array(*(F.struct(F.lit(k).alias("width"), window_hashes(F.col("t"), k).alias("h")) for k in widths))
+        found = found.select("key", F.explode_outer(each).alias("one")).select("key", "one.width", "one.h")
     places = found.select("key", "width", F.posexplode_outer("h").alias("q", "hash"))
     hits = stored(places.join(broadcast_if_small(known, 40), ["hash", "width"]).select("key", "item", "of", "p", "q"), "hits")
 
@@ -106,12 +106,12 @@ def leaked_items(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", tex
     at = F.array_distinct(F.flatten(F.transform("ps", lambda p: F.sequence(p, p + F.col("width") - 1))))
     slots = F.filter(at, lambda i: F.get(F.col("t"), i).startswith("#"))
     few = few.select("key", "item", "n_windows", "n_found", "shift", "iw", F.col("t").alias("it"), at.alias("at"), slots.alias("slots"))
-    full = stored(rows.join(broadcast_if_small(few, 2000), "key").withColumn("w", words(F.col("text"))).drop("text"), "near-words")
+    full = rows.join(broadcast_if_small(few, 2000), "key").withColumn("w", words(F.col("text"))).drop("text")
+    full = stored(full.withColumn("dt", templated(F.col("w"))), "near-words")  # stored, so that the lambdas below do not evaluate it for each place
     strip = lambda x: F.lower(F.regexp_replace(x, r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$", ""))
     pairs = F.transform("slots", lambda i: F.struct(strip(F.get(F.col("iw"), i)).alias("a"), strip(F.get(F.col("w"), (i + F.col("shift")).cast("int"))).alias("b")))
     # equal hashes are taken for equal words no longer: all words of the windows are compared
-    full = full.withColumn("t", templated(F.col("w")))
-    full = full.filter(F.forall("at", lambda i: F.get(F.col("it"), i) == F.get(F.col("t"), (i + F.col("shift")).cast("int"))))
+    full = full.filter(F.forall("at", lambda i: F.get(F.col("it"), i) == F.get(F.col("dt"), (i + F.col("shift")).cast("int"))))
     full = stored(full.select("key", "item", "n_windows", "n_found", pairs.alias("pairs")), "slots")
     disagree = F.size(F.array_distinct("pairs")) - F.size(F.array_distinct(F.transform("pairs", lambda x: x["a"])))
     same = ~F.exists("pairs", lambda x: F.coalesce(x["a"] != x["b"], F.lit(True)))

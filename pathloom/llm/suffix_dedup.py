@@ -301,8 +301,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", t
     facts = stored(rows.select("order", "digest", F.octet_length("text").cast("long").alias("n")), "text-keys")
     total = facts.agg(F.sum("n")).first()[0] or 0
     bits = max(LEAST_BITS, int(np.ceil(np.log2(max(1, total * len(COVER) / PERIOD / BUCKET_WINDOWS)))))
-    if bits > 24:
-        raise ValueError("over 2**24 buckets: raise BUCKET_WINDOWS")
+    bits = min(bits, 24)  # buckets get larger beyond 2**24 of them, some 500 TB of text
     copies = stored(facts.groupBy("digest").agg(F.count("*").alias("c"), F.min("order").alias("first")).filter("c > 1").select("digest", "first"), "copies")
     rows = _joined(rows, copies, "24", "left")
     is_copy = F.col("first").isNotNull() & (F.col("order") != F.col("first"))
