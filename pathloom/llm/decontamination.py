@@ -1,7 +1,8 @@
 """Benchmark decontamination by template canonicalisation, in DataFrame functions only.
 
 Words are lower-cased and stripped of punctuation; numbers (in digits or spelled out), units and names (capitalised
-words, wherever in a sentence, so that a name reads the same at its start) become typed placeholders.
+words but for common ones, wherever in a sentence, so that a name reads the same at its start) become typed
+placeholders.
 Windows of five such words are hash-joined to the windows of all benchmark items; an item of fewer words is one
 window of its own length. Windows of placeholders alone, which any table of figures has, find no items but
 those that have no others. Where enough of an item's windows occur in a document, the words behind the placeholders
@@ -32,6 +33,9 @@ UNITS = "mm cm m km mi ft in mg g kg lb lbs oz ml l gal ms s sec min h hr hrs ho
 #: Numbers spelled out.
 NUMBERS = "two three four five six seven eight nine ten eleven twelve thirteen fourteen fifteen sixteen seventeen eighteen nineteen twenty thirty forty fifty sixty seventy eighty ninety hundred thousand million".split()
 
+#: Words that are no names where a sentence begins with them.
+COMMON = "a an the this that these those it he she we they you i if when while where who what which why how is are was were do does did has have had can could will would there then thus so and or but for from in on at by to of as with after before each every some all both no not find let given suppose der die das ein eine wenn wie was wer wo und in im le la les un une des si il elle on dans que qui où comment el los las una si como qué quién dónde en y".split()
+
 
 def words(text: Column) -> Column:
     """Words between white space; none for null."""
@@ -51,7 +55,7 @@ def templated(w: Column) -> Column:
             .when(bare.rlike(r"^[$€£]?[0-9][0-9.,:/\-]*$"), F.lit("#n"))
             .when(bare.rlike(r"^[$€£]?[0-9][0-9.,]*(?:\p{L}{1,3}|%|°\p{L})$"), F.lit("#n#u"))
             .when(low.isin(UNITS) | low.isin(NUMBERS), listed(low))
-            .when(bare.rlike(r"^\p{Lu}[\p{L}'’\-]*\p{Ll}[\p{L}'’]*$"), F.lit("#p"))
+            .when(bare.rlike(r"^\p{Lu}[\p{L}'’\-]*\p{Ll}[\p{L}'’]*$") & ~low.isin(COMMON), F.lit("#p"))
             .otherwise(low)
         )
 
