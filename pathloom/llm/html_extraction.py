@@ -118,8 +118,8 @@ def parse(source: str) -> Node:
                     break
                 if stack[i].tag in LIST_SCOPE:
                     break
-        inside = any(n.tag in ("article", "main") for n in stack)
         attrs = m["attrs"] or m["attrs2"] or ""
+        inside = (attrs or tag == "header") and any(n.tag in ("article", "main") for n in stack)
         node = Node(tag, *_features(tag, attrs, inside))
         stack[-1].children.append(node)
         if tag not in VOID and not attrs.rstrip().endswith("/"):
@@ -274,10 +274,13 @@ class Matcher:
             self.whole[node.shape] = n
         return self.whole[node.shape]
 
-    def pairs(self, a: Node, b: Node) -> list[tuple[Node, Node]]:
+    def pairs(self, a: Node, b: Node, wanted: set[Node] | None = None) -> list[tuple[Node, Node]]:
+        """The mapping's pairs; with wanted, only those of these nodes of the first tree (and, unused, some more)."""
         out, walk = [], [(a, b)]
         while walk:
             p, q = walk.pop()
+            if wanted is not None and p not in wanted:
+                continue
             out.append((p, q))
             x, y = _elements(p), _elements(q)
             if p.shape == q.shape:
@@ -287,8 +290,11 @@ class Matcher:
             walk.extend(zip(x[:low], y[:low], strict=True))
             walk.extend(zip(x[len(x) - high :], y[len(y) - high :], strict=True))
             x, y = x[low : len(x) - high], y[low : len(y) - high]
-            if x and y:
-                for c in x:
+            tags = [c.tag for c in x]
+            if tags == [d.tag for d in y] and len(set(tags)) == len(tags):
+                walk.extend(zip(x, y, strict=True))  # each has one partner only, and all fit
+            elif x and y:
+                for c in {c.shape: c for c in x}.values():
                     for d in {d.shape: d for d in y if d.tag == c.tag}.values():
                         self._measure(c, d)
                 walk.extend(self._chosen(x, y)[1])
@@ -410,10 +416,9 @@ def main_text(source: str | None, seed: str | None = None, stats: Stats | None =
         return ""
     root = parse(source)
     if seed and stats and stats.get(0, (0,))[0] >= 2:
-        top, nodes, texts = _seed(seed)
-        region, constant, content = _wrapper(seed, stats)
+        top, texts, region, constant, content, wanted = _wrapper(seed, stats)
         page = numbered(root)
-        pairs = aligned(top, root)
+        pairs = Matcher().pairs(top, root, wanted)
         of = {q: p.number for p, q in pairs}
         found = next((q for p, q in pairs if p.number == region), None)
         if found is not None:
@@ -427,12 +432,19 @@ def main_text(source: str | None, seed: str | None = None, stats: Stats | None =
 _WRAPPERS: dict[tuple[str, int], tuple] = {}
 
 
-def _wrapper(seed: str, stats: Stats) -> tuple[int, set[int], set[int]]:
-    """The wrapper of a seed, remembered for the pool that is being read."""
+def _wrapper(seed: str, stats: Stats) -> tuple[Node, list[str], int, set[int], set[int], set[Node]]:
+    """A seed's tree and texts, its wrapper, and the seed's nodes that pages are aligned with for it, remembered for the pool that is being read."""
     key = (seed, id(stats))
     if key not in _WRAPPERS:
         _WRAPPERS.clear()
-        _WRAPPERS[key] = (wrapper(_seed(seed)[1], stats), stats)
+        top, nodes, texts = _seed(seed)
+        region, constant, content = wrapper(nodes, stats)
+        # alignment is needed down to the region, to constant nodes with text, and to parts whose names do not count
+        wanted, ends = set(), {region, *content, *(k for k in constant if texts[k])}
+        for n in reversed(nodes):
+            if n.number in ends or any(c in wanted for c in _elements(n)):
+                wanted.add(n)
+        _WRAPPERS[key] = ((top, texts, region, constant, content, wanted), stats)
     return _WRAPPERS[key][0]
 
 
