@@ -363,3 +363,21 @@ def test_lowered_plans_have_no_python(net):
     q = parse_path("N-C-O-P", net)
     df = lower(net, q, ChainPlanner().plan(operand_stats(net, q)))
     assert "Python" not in df._jdf.queryExecution().toString()
+
+
+def test_tables_need_a_shared_folder_on_a_cluster():
+    from types import SimpleNamespace
+
+    from pathloom.sources.storage import shared_dir
+
+    def session(master, folder=None):
+        context = SimpleNamespace(master=master, folder=folder)
+        context.getCheckpointDir, context.setCheckpointDir = lambda: context.folder, lambda f: setattr(context, "folder", f)
+        return SimpleNamespace(sparkContext=context, conf={})
+
+    assert shared_dir(session("spark://host:7077", "/shared")) == "/shared"
+    for master in ("spark://host:7077", "yarn", "local-cluster[3,1,1024]"):
+        with pytest.raises(ValueError):
+            shared_dir(session(master))
+    alone = session("local[2]")
+    assert shared_dir(alone) == shared_dir(alone)
