@@ -671,3 +671,20 @@ def test_digests_of_long_licences(spark):
     texts = [(n, open(f"{folder}/{n}", encoding="utf-8").read()) for n in ("Apache-2.0", "GPL-3", "MPL-2.0")]
     got = license_scan(spark.createDataFrame([(i, t) for i, (_, t) in enumerate(texts)], "doc_id long, text string"), known_licenses(spark))
     assert {r["doc_id"]: r["license_id"] for r in got.collect()} == {0: "Apache-2.0", 1: "GPL-3.0", 2: "MPL-2.0"}
+
+
+def test_operators_need_a_shared_folder_on_a_cluster():
+    from types import SimpleNamespace
+
+    from pathloom.llm.common import shared_dir
+
+    def session(master, folder=None):
+        context = SimpleNamespace(master=master, folder=folder)
+        context.getCheckpointDir, context.setCheckpointDir = lambda: context.folder, lambda f: setattr(context, "folder", f)
+        return SimpleNamespace(sparkContext=context, conf={})
+
+    assert shared_dir(session("yarn", "/shared")) == "/shared"
+    with pytest.raises(ValueError):
+        shared_dir(session("local-cluster[3,1,1024]"))
+    alone = session("local[2]")
+    assert shared_dir(alone) == shared_dir(alone)
