@@ -49,6 +49,9 @@ NAMES = set(
 CELL_PARENTS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 LIST_SCOPE = set("ul ol dl table select menu".split())
 
+#: Longest attributes whose features are remembered.
+MOST_REMEMBERED = 512
+
 _TOKEN = re.compile(
     r"""<!--.*?(?:-->|\Z)|<(?P<raw>script|style)\b(?:"[^"]*"|'[^']*'|[^>"'])*>.*?(?:</(?P=raw)[^>]*>|\Z)|<(?P<end>/?)(?P<tag>[a-zA-Z][^\s/>]*)(?P<attrs>(?:"[^"]*"|'[^']*'|[^>"'])*)>|<(?P<end2>/?)(?P<tag2>[a-zA-Z][^\s/>]*)(?P<attrs2>[^>]*)>|<[!?/][^>]*(?:>|\Z)|<[a-zA-Z][^>]*\Z""",
     re.DOTALL | re.IGNORECASE,
@@ -65,6 +68,7 @@ class Node:
         self.tag, self.out, self.named, self.children, self.number, self.shape = tag, out, named, [], -1, 0
 
 
+@lru_cache(maxsize=1 << 14)
 def _features(tag: str, attrs: str, inside: bool) -> tuple[bool, bool]:
     """(out, named) of an element. inside: within an article or main element, where only whole names count."""
     if tag in LEFT_OUT or (tag == "header" and not inside):
@@ -119,8 +123,11 @@ def parse(source: str) -> Node:
                 if stack[i].tag in LIST_SCOPE:
                     break
         attrs = m["attrs"] or m["attrs2"] or ""
-        inside = (attrs or tag == "header") and any(n.tag in ("article", "main") for n in stack)
-        node = Node(tag, *_features(tag, attrs, inside))
+        if attrs and attrs.isspace():
+            attrs = ""
+        inside = bool(attrs or tag == "header") and any(n.tag == "article" or n.tag == "main" for n in stack)
+        # pages of a site repeat their tags with their attributes; long ones (data in a URL, say) are not remembered
+        node = Node(tag, *(_features(tag, attrs, inside) if len(attrs) <= MOST_REMEMBERED else _features.__wrapped__(tag, attrs, inside)))
         stack[-1].children.append(node)
         if tag not in VOID and not attrs.rstrip().endswith("/"):
             stack.append(node)
@@ -133,7 +140,8 @@ def parse(source: str) -> Node:
 
 def own_text(node: Node) -> str:
     """A node's own strings, decoded, with white space as single spaces."""
-    return " ".join(html_lib.unescape(" ".join(c for c in node.children if isinstance(c, str))).split())
+    text = " ".join([c for c in node.children if isinstance(c, str)])
+    return " ".join((html_lib.unescape(text) if "&" in text else text).split())
 
 
 def blocks(node: Node, drop: frozenset | set = frozenset()) -> list[str]:

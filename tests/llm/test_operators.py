@@ -688,3 +688,13 @@ def test_operators_need_a_shared_folder_on_a_cluster():
         shared_dir(session("local-cluster[3,1,1024]"))
     alone = session("local[2]")
     assert shared_dir(alone) == shared_dir(alone)
+
+
+def test_page_features_are_found_once_for_equal_tags():
+    from pathloom.llm import html_extraction as H
+
+    H._features.cache_clear()
+    page = '<div class="story lead">a</div>' * 40 + '<div data-x="' + "y" * 2000 + '" class="menu">b</div>'
+    kinds = [(n.out, n.named) for n in H.numbered(H.parse(page))[1:]]
+    assert kinds == [(False, False)] * 40 + [(False, True)]
+    assert H._features.cache_info().misses == 1  # long attributes are not remembered
