@@ -17,6 +17,7 @@ are not shuffled while the tables joined to them are small.
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -35,6 +36,8 @@ PERIOD, COVER = 57, (0, 1, 3, 13, 32, 36, 43, 52)
 SLICE_BYTES = 4 << 20
 LEAST_BITS = 10
 BUCKET_WINDOWS = 4_000_000
+#: Rounds of the second pass for texts of more bytes than this: each ranks its share of the buckets, and what it shuffled goes before the next.
+ROUNDS, ROUND_BYTES = 2, 32 << 20
 
 _ROW = "part int, slice long, kind int, a binary, b binary, c binary, d binary"
 _NAMES = ["part", "slice", "kind", "a", "b", "c", "d"]
@@ -193,8 +196,8 @@ def _union(low: np.ndarray, high: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return low[new], high[last]
 
 
-def _open_windows(bits: int, length: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """Second pass: all windows in open ranges, the first of equal ones in each slice, dealt to buckets."""
+def _open_windows(bits: int, length: int, number: int = 0, rounds: int = 1) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """Second pass: all windows in open ranges, the first of equal ones in each slice, dealt to buckets; of several rounds, one's buckets."""
     width = -(-(64 - bits) // 8)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -207,6 +210,11 @@ def _open_windows(bits: int, length: int) -> Callable[[Iterator[pa.RecordBatch]]
             place = np.arange(len(doc)) - np.repeat(np.cumsum(many) - many - low, many)
             where = s.raw[doc] + place
             value = _fingerprints(s.data, where, length)
+            if rounds > 1:
+                mine = (value >> np.uint64(64 - bits)) % np.uint64(rounds) == number
+                value, where, doc = value[mine], where[mine], doc[mine]
+                if not len(value):
+                    continue
             second = _fingerprints(s.data, where, length, _ODD_TOO)
             where += doc
             _, first, which = np.unique(value, return_index=True, return_inverse=True)
@@ -261,7 +269,7 @@ def _spans(length: int):
         head = rows[rows["kind"] == 1].iloc[0]
         n = _numbers(head["b"], 5).astype(np.int64)
         start = np.concatenate([[0], np.cumsum(n + 1)[:-1]])
-        left, right = _numbers(head["c"], 5).astype(np.int64).reshape(2, -1)
+        left, right = np.concatenate([_numbers(c, 5).astype(np.int64).reshape(2, -1) for c in rows[rows["kind"] == 1]["c"]], axis=1)
         where = np.concatenate([np.empty(0, np.uint64), *(_numbers(x, 5) for x in rows[rows["kind"] == 0]["b"])]).astype(np.int64)
         low, high = _union(np.concatenate([left, where]), np.concatenate([right, where + 1]) + length - 1)
         doc = np.searchsorted(start, low, "right") - 1
@@ -315,8 +323,15 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", t
     ranges = stored(shared.groupBy("slice").applyInPandas(_open_ranges(length), "digest binary, ranges binary"), "ranges")
 
     near = _joined(own, ranges, "24 + length(ranges)", "inner").select("key", "digest", "text", "ranges")
-    sent = near.mapInArrow(released(_open_windows(bits, length)), _ROW)
-    later = sent.groupBy("part").applyInPandas(_later_windows(bits), _ROW)
+    rounds = ROUNDS if total > ROUND_BYTES else 1
+    found = []
+    for number in range(rounds):
+        sent = near.mapInArrow(released(_open_windows(bits, length, number, rounds)), _ROW)
+        found.append(sent.groupBy("part").applyInPandas(_later_windows(bits), _ROW))
+        if rounds > 1:
+            found[-1] = stored(found[-1], "later")
+            docs.sparkSession._jvm.System.gc()  # Spark deletes shuffled files when the driver no longer refers to them
+    later = reduce(DataFrame.union, found)
     spans = stored(
         later.groupBy("slice").applyInPandas(_spans(length), "digest binary, n_removed long, n_spans long, starts array<long>, sizes array<long>"), "spans"
     )

@@ -698,3 +698,16 @@ def test_page_features_are_found_once_for_equal_tags():
     kinds = [(n.out, n.named) for n in H.numbered(H.parse(page))[1:]]
     assert kinds == [(False, False)] * 40 + [(False, True)]
     assert H._features.cache_info().misses == 1  # long attributes are not remembered
+
+
+def test_repeats_are_the_same_in_several_rounds(spark, monkeypatch):
+    docs = small_documents(spark).filter("doc_id < 100").select("doc_id", "text")
+    columns = ["doc_id", "text", "n_removed", "n_spans", "starts", "sizes"]
+    want = sorted(map(str, suffix_dedup.repeated_spans(docs).select(columns).collect()))
+    monkeypatch.setattr(suffix_dedup, "ROUND_BYTES", 0)
+    monkeypatch.setattr(suffix_dedup, "ROUNDS", 3)
+    monkeypatch.setattr(suffix_dedup, "SLICE_BYTES", 3000)
+    tables = []
+    monkeypatch.setattr(suffix_dedup, "stored", lambda df, label, real=suffix_dedup.stored: tables.append(label) or real(df, label))
+    assert sorted(map(str, suffix_dedup.repeated_spans(docs).select(columns).collect())) == want
+    assert tables.count("later") == 3
