@@ -135,15 +135,16 @@ def fit_voter(rows: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, dim
     n = len(rows)
     if not n:
         return Voter(np.zeros((TERMS, 1), np.float32), np.zeros((0, 1), np.float32), labels, 0.5)
-    places, values = np.concatenate([p for p, _ in rows]).astype(np.int64), np.concatenate([v for _, v in rows])
-    text = np.repeat(np.arange(n), [len(p) for p, _ in rows])
+    places, values = np.concatenate([p for p, _ in rows]), np.concatenate([v for _, v in rows])
+    text = np.repeat(np.arange(n, dtype=np.int32), [len(p) for p, _ in rows])
     weights = (np.log((1 + n) / (1 + np.bincount(places, minlength=TERMS))) + 1).astype(np.float32)
     values = values * weights[places]
-    order = np.argsort(places, kind="stable")
+    order = np.argsort(places, kind="stable").astype(np.uint32)
     places, values, text = places[order], values[order], text[order]
+    del order
 
     def block(at: int) -> np.ndarray:
-        i, j = np.searchsorted(places, (at, at + COLUMNS))
+        i, j = np.searchsorted(places, np.array([at, at + COLUMNS], places.dtype))
         out = np.zeros((n, min(COLUMNS, TERMS - at)), np.float32)
         out[text[i:j], places[i:j] - at] = values[i:j]
         return out
@@ -151,7 +152,8 @@ def fit_voter(rows: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, dim
     gram = np.zeros((n, n), np.float32)
     for at in range(0, TERMS, COLUMNS):
         x = block(at)
-        gram += x @ x.T
+        for i in range(0, n, BLOCK):  # some rows at a time, so that one such matrix is held and not two
+            gram[i : i + BLOCK] += x[i : i + BLOCK] @ x.T
     k = min(n, dimensions)
     base = np.random.Generator(np.random.PCG64(3)).standard_normal((n, min(n, k + 16))).astype(np.float32)
     for _ in range(ROUNDS):
@@ -194,9 +196,11 @@ def quality_scorer(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text
     texts = rows.join(F.broadcast(sample), "key").groupBy("key").agg(F.max("label").cast("double").alias("label"), F.min("text").alias("text"))
     found = texts.select("label", "text").mapInArrow(_with_frequencies, "label double, places binary, frequencies binary").collect()  # bounded by most
     found.sort(key=lambda r: (r["label"], bytes(r["places"]), bytes(r["frequencies"])))
-    voter = docs.sparkSession.sparkContext.broadcast(
-        fit_voter([(np.frombuffer(r["places"], "<u2"), np.frombuffer(r["frequencies"], "<f4")) for r in found], np.array([r["label"] for r in found]))
-    )
+    rows = [(np.frombuffer(r["places"], "<u2"), np.frombuffer(r["frequencies"], "<f4")) for r in found]
+    fitted = fit_voter(rows, np.array([r["label"] for r in found]))
+    del rows, found
+    release()  # what fitting took is not kept from the driver's other work
+    voter = docs.sparkSession.sparkContext.broadcast(fitted)
 
     @F.pandas_udf("double")
     def score(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:

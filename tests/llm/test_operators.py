@@ -711,3 +711,16 @@ def test_repeats_are_the_same_in_several_rounds(spark, monkeypatch):
     monkeypatch.setattr(suffix_dedup, "stored", lambda df, label, real=suffix_dedup.stored: tables.append(label) or real(df, label))
     assert sorted(map(str, suffix_dedup.repeated_spans(docs).select(columns).collect())) == want
     assert tables.count("later") == 3
+
+
+def test_fitting_holds_one_matrix_of_all_pairs():
+    import tracemalloc
+
+    n, rng = 2048, np.random.default_rng(5)
+    rows = [(np.sort(rng.choice(quality.TERMS, 20, replace=False)).astype("<u2"), rng.random(20).astype("<f4")) for _ in range(n)]
+    labels = rng.integers(0, 2, n).astype(float)
+    tracemalloc.start()
+    quality.fit_voter(rows, labels)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 2.2 * 4 * n * n
