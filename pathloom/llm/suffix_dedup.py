@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_BYTES, pick, stored, table
+from .common import BROADCAST_BYTES, pick, shuffles_dropped, stored, table
 from .memory import released
 
 LENGTH = 100
@@ -320,7 +320,8 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", t
 
     sent = own.mapInArrow(released(_cover_samples(bits, length)), _ROW)
     shared = sent.groupBy("part").applyInPandas(_shared_samples, _ROW)
-    ranges = stored(shared.groupBy("slice").applyInPandas(_open_ranges(length), "digest binary, ranges binary"), "ranges")
+    with shuffles_dropped(docs.sparkSession):
+        ranges = stored(shared.groupBy("slice").applyInPandas(_open_ranges(length), "digest binary, ranges binary"), "ranges")
 
     near = _joined(own, ranges, "24 + length(ranges)", "inner").select("key", "digest", "text", "ranges")
     rounds = ROUNDS if total > ROUND_BYTES else 1
@@ -329,12 +330,13 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", t
         sent = near.mapInArrow(released(_open_windows(bits, length, number, rounds)), _ROW)
         found.append(sent.groupBy("part").applyInPandas(_later_windows(bits), _ROW))
         if rounds > 1:
-            found[-1] = stored(found[-1], "later")
-            docs.sparkSession._jvm.System.gc()  # Spark deletes shuffled files when the driver no longer refers to them
+            with shuffles_dropped(docs.sparkSession):
+                found[-1] = stored(found[-1], "later")
     later = reduce(DataFrame.union, found)
-    spans = stored(
-        later.groupBy("slice").applyInPandas(_spans(length), "digest binary, n_removed long, n_spans long, starts array<long>, sizes array<long>"), "spans"
-    )
+    with shuffles_dropped(docs.sparkSession):
+        spans = stored(
+            later.groupBy("slice").applyInPandas(_spans(length), "digest binary, n_removed long, n_spans long, starts array<long>, sizes array<long>"), "spans"
+        )
     out = _joined(rows, spans, "40 + 16 * size(starts)", "left")
     none = F.array().cast("array<long>")
     n = F.octet_length("text").cast("long")

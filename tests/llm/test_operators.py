@@ -10,7 +10,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from pathloom.llm import fingerprints, html_extraction, licenses, near_dedup, pieces, quality, suffix_dedup, token_counts
-from pathloom.llm.common import pick
+from pathloom.llm.common import CLEANUP, pick, shuffles_dropped, stored
 from pathloom.llm.components import components
 from pathloom.llm.decontamination import leaked_items
 from pathloom.llm.fingerprints import containment, edited, likeness, merged, neighbour_fingerprints, read, sketch, written
@@ -724,3 +724,26 @@ def test_fitting_holds_one_matrix_of_all_pairs():
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert peak < 2.2 * 4 * n * n
+
+
+def test_shuffled_files_go_with_their_execution(spark):
+    """Within shuffles_dropped a stored table leaves no shuffled files behind, without waiting for a garbage collection."""
+    disk = spark._jsc.sc().env().blockManager().diskBlockManager()
+
+    def left(store):
+        before = {f.getName() for f in files()}
+        store()
+        return sum(f.length() for f in files() if f.getName() not in before)
+
+    def files():
+        found = disk.getAllFiles().iterator()
+        out = []
+        while found.hasNext():
+            out.append(found.next())
+        return [f for f in out if f.getName().startswith("shuffle_") and f.getName().endswith(".data")]
+
+    docs = spark.range(100_000).repartition(3, "id")
+    assert left(lambda: stored(docs, "kept")) > 100_000
+    with shuffles_dropped(spark):
+        assert left(lambda: stored(docs, "dropped")) == 0
+    assert spark.conf.get(CLEANUP) == "false"
