@@ -20,7 +20,7 @@ from __future__ import annotations
 
 import html as html_lib
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -90,20 +90,22 @@ def _features(tag: str, attrs: str, inside: bool) -> tuple[bool, bool]:
 def parse(source: str) -> Node:
     """The page's tree. Children are nodes and strings; unclosed, misnested and cut-off markup is allowed."""
     root = Node("#root")
-    stack = [root]
-    at = inside = 0
+    stack, within = [root], [False]  # within: is a member of the stack, or one before it, an article or main element
+    at = 0
     for m in _TOKEN.finditer(source):
-        if m.start() > at:
-            stack[-1].children.append(source[at : m.start()])
-        at = m.end()
-        tag = m["tag"] or m["tag2"]
+        start, after = m.span()
+        if start > at:
+            stack[-1].children.append(source[at:start])
+        at = after
+        _, end, tag, attrs, end2, tag2, attrs2 = m.groups()
+        tag = tag or tag2
         if not tag:
             continue
         tag = tag.lower()
-        if m["end"] or m["end2"]:
+        if end or end2:
             for i in range(len(stack) - 1, 0, -1):
                 if stack[i].tag == tag:
-                    del stack[i:]
+                    del stack[i:], within[i:]
                     break
                 if tag not in BLOCKS and stack[i].tag in BLOCKS and stack[i].tag != "p":
                     break
@@ -111,28 +113,27 @@ def parse(source: str) -> Node:
         if tag in CLOSES_P:
             for i in range(len(stack) - 1, 0, -1):
                 if stack[i].tag == "p":
-                    del stack[i:]
+                    del stack[i:], within[i:]
                     break
                 if stack[i].tag in BLOCKS:
                     break
         if tag in CELL_PARENTS:
             for i in range(len(stack) - 1, 0, -1):
                 if stack[i].tag in CELL_PARENTS[tag]:
-                    del stack[i:]
+                    del stack[i:], within[i:]
                     break
                 if stack[i].tag in LIST_SCOPE:
                     break
-        attrs = m["attrs"] or m["attrs2"] or ""
+        attrs = attrs or attrs2 or ""
         if attrs and attrs.isspace():
             attrs = ""
-        inside = bool(attrs or tag == "header") and any(n.tag == "article" or n.tag == "main" for n in stack)
+        inside = bool(attrs or tag == "header") and within[-1]
         # pages of a site repeat their tags with their attributes; long ones (data in a URL, say) are not remembered
         node = Node(tag, *(_features(tag, attrs, inside) if len(attrs) <= MOST_REMEMBERED else _features.__wrapped__(tag, attrs, inside)))
         stack[-1].children.append(node)
-        if tag not in VOID and not attrs.rstrip().endswith("/"):
-            stack.append(node)
-        elif tag not in VOID and tag in BLOCKS:
+        if tag not in VOID and (tag in BLOCKS or not attrs.rstrip().endswith("/")):
             stack.append(node)
+            within.append(within[-1] or tag == "article" or tag == "main")
     if at < len(source):
         stack[-1].children.append(source[at:])
     return root
@@ -182,14 +183,16 @@ def _elements(node: Node) -> list[Node]:
 
 def numbered(root: Node) -> list[Node]:
     """All elements in document order; sets their numbers and, from below, hashes of their shapes."""
-    out, work = [], [root]
+    out, below, work = [], [], [root]
     while work:
         x = work.pop()
         x.number = len(out)
         out.append(x)
-        work.extend(reversed(_elements(x)))
-    for x in reversed(out):
-        x.shape = hash((x.tag, tuple(c.shape for c in _elements(x))))
+        elements = _elements(x)
+        below.append(elements)
+        work.extend(reversed(elements))
+    for x, elements in zip(reversed(out), reversed(below), strict=True):
+        x.shape = hash((x.tag, tuple([c.shape for c in elements])))
     return out
 
 
@@ -369,9 +372,10 @@ def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             [pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.int32()), *(pa.array([c[i] for c in counts], pa.int64()) for i in range(5))], names=["pool", "node", *COUNTS]
         )
 
+    seeds: dict[str, str] = {}
     for batch in batches:
-        for pool, source, seed in zip(*(batch.column(c).to_pylist() for c in ("pool", "html", "seed")), strict=True):
-            root, _, texts = _seed(seed)
+        for i, (pool, source) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("pool", "html")), strict=True)):
+            root, _, texts = _seed(_of_pool(seeds, pool, lambda i=i, b=batch: b.column("seed")[i].as_py()))
             if source:
                 for number, counts in page_stats(root, texts, parse(source)):
                     sums = total.setdefault((pool, number), [0] * 5)
@@ -437,14 +441,28 @@ def main_text(source: str | None, seed: str | None = None, stats: Stats | None =
     return "\n".join(blocks(region, named))
 
 
+#: Pools whose seeds and statistics a task remembers: rows repeat them, and they are decoded once for each pool.
+MOST_POOLS = 256
+
+
+def _of_pool(known: dict, pool: str, decode: Callable):
+    """What a task knows of a pool; decoded from a row of it if it is not known, or no longer."""
+    if pool not in known:
+        if len(known) >= MOST_POOLS:
+            known.clear()
+        known[pool] = decode()
+    return known[pool]
+
+
 _WRAPPERS: dict[tuple[str, int], tuple] = {}
 
 
 def _wrapper(seed: str, stats: Stats) -> tuple[Node, list[str], int, set[int], set[int], set[Node]]:
-    """A seed's tree and texts, its wrapper, and the seed's nodes that pages are aligned with for it, remembered for the pool that is being read."""
+    """A seed's tree and texts, its wrapper, and the seed's nodes that pages are aligned with for it, remembered for the pools that are being read."""
     key = (seed, id(stats))
     if key not in _WRAPPERS:
-        _WRAPPERS.clear()
+        if len(_WRAPPERS) >= MOST_POOLS:
+            _WRAPPERS.clear()
         top, nodes, texts = _seed(seed)
         region, constant, content = wrapper(nodes, stats)
         # alignment is needed down to the region, to constant nodes with text, and to parts whose names do not count
@@ -457,13 +475,16 @@ def _wrapper(seed: str, stats: Stats) -> tuple[Node, list[str], int, set[int], s
 
 
 def _extracted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    known: dict[str, tuple[str | None, Stats]] = {}
+
+    def decoded(batch: pa.RecordBatch, i: int) -> tuple[str | None, Stats]:
+        stats = batch.column("stats")[i].as_py()
+        return batch.column("seed")[i].as_py(), {s["node"]: tuple(s[c] for c in COUNTS) for s in stats or []}
+
     for batch in batches:
-        cached: dict[str, Stats] = {}
         texts = []
-        for pool, source, seed, stats in zip(*(batch.column(c).to_pylist() for c in ("pool", "html", "seed", "stats")), strict=True):
-            if pool not in cached:
-                cached[pool] = {s["node"]: tuple(s[c] for c in COUNTS) for s in stats or []}
-            texts.append(main_text(source, seed, cached[pool]))
+        for i, (pool, source) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("pool", "html")), strict=True)):
+            texts.append(main_text(source, *_of_pool(known, pool, lambda i=i, b=batch: decoded(b, i))))
         yield pa.RecordBatch.from_arrays(
             [batch.column("key"), batch.column("url"), pa.array(texts, pa.string()), pa.array(list(map(len, texts)), pa.int64())], names=["key", "url", "text", "n_chars"]
         )

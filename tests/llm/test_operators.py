@@ -747,3 +747,21 @@ def test_shuffled_files_go_with_their_execution(spark):
     with shuffles_dropped(spark):
         assert left(lambda: stored(docs, "dropped")) == 0
     assert spark.conf.get(CLEANUP) == "false"
+
+
+def test_wrappers_are_made_once_for_each_pool_however_rows_alternate(monkeypatch):
+    import pyarrow as pa
+
+    from pathloom.llm import html_extraction as H
+
+    page = lambda site, i: f"<body><div>menu of {site}</div><div><p>text {i} of the page</p><p>more {i * i}</p></div></body>"
+    rows = [(site, page(site, i)) for i in range(20) for site in ("a", "b")]
+    pools, html = ([r[k] for r in rows] for k in (0, 1))
+    seeds = [page(site, 0) for site in pools]
+    counted = next(H._counted(iter([pa.RecordBatch.from_arrays([pa.array(pools), pa.array(html), pa.array(seeds)], names=["pool", "html", "seed"])]))).to_pylist()
+    stats = pa.array([[r for r in counted if r["pool"] == site] for site in pools])
+    calls = []
+    monkeypatch.setattr(H, "wrapper", lambda *a, f=H.wrapper: calls.append(1) or f(*a))
+    batch = pa.RecordBatch.from_arrays([pa.array(range(40)), pa.array(pools), pa.array(pools), pa.array(html), pa.array(seeds), stats], names=["key", "url", "pool", "html", "seed", "stats"])
+    texts = next(H._extracted(iter([batch]))).column("text").to_pylist()
+    assert texts == [f"text {i} of the page\nmore {i * i}" for i in range(20) for _ in "ab"] and len(calls) == 2
